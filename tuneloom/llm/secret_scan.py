@@ -88,8 +88,9 @@ def labelled_findings(spark: SparkSession, n: int = 6000) -> DataFrame:
     secret = pick("kind", F.left(hexa("a"), F.lit(40)), F.left(hexa("b"), F.lit(32)), F.left(base("c"), size), F.concat(pick("tag", "sk_live_", "ghp_", "AKIA", "xoxb-", ""), F.left(base("d"), size)), hexa("e"))
     uuid = F.regexp_replace(F.left(hexa("f"), F.lit(32)), "^(.{8})(.{4})(.{4})(.{4})(.{12})$", "$1-$2-$3-$4-$5")
     camel = F.concat(word("w1"), F.initcap(word("w2")), F.initcap(word("w3")), F.initcap(word("w4")), (r("no") % 90).cast("string"))
-    snake = F.concat_ws(pick("join", "_", "-", "/"), word("w5"), word("w6"), word("w7"), word("w8"), (r("no") % 900).cast("string"))
-    harmless = pick("sham", uuid, camel, snake, F.left(hexa("g"), F.lit(40)), hexa("h"), F.lpad((r("num") * F.lit(7919)).cast("string"), 16, "4"), F.repeat(pick("rep", "0", "x1", "ab0"), 16 + r("size") % 9), F.concat(word("w1"), F.lit("/"), word("w2"), F.lit("/"), F.left(hexa("i"), F.lit(20))))
+    snake = F.translate(F.concat_ws(" ", word("w5"), word("w6"), word("w7"), word("w8"), (r("no") % 900).cast("string")), " ", "_")
+    snake = F.when(r("join") % 3 == 0, F.replace(snake, F.lit("_"), F.lit("-"))).when(r("join") % 3 == 1, F.replace(snake, F.lit("_"), F.lit("/"))).otherwise(snake)
+    harmless = pick("sham", uuid, camel, snake, F.left(hexa("g"), F.lit(40)), hexa("h"), F.lpad((r("num").cast("long") * 7919).cast("string"), 16, "4"), F.repeat(pick("rep", "0", "x1", "ab0"), 16 + r("size") % 9), F.concat(word("w1"), F.lit("/"), word("w2"), F.lit("/"), F.left(hexa("i"), F.lit(20))))
     before = F.concat_ws(" ", word("v1"), word("v2"), pick("near", 'token = "', "token: ", "api_key='", "secret=", "password: ", 'access_key = "', "Authorization: Bearer ", "auth_token = '"))
     calm = F.concat_ws(" ", word("v1"), word("v2"), pick("near", "commit ", "sha256: ", "in ", "the ", 'id = "', "checksum=", "https://host.example/", "see /usr/share/", "uuid: ", "md5 ", "import ", "(", ""))
     after = F.concat(F.regexp_extract(F.col("before"), "[\"']$", 0), F.lit(" "), word("v3"))
