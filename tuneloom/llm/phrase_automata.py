@@ -55,7 +55,7 @@ def cleaned(docs: DataFrame, width: int = 50, id_col: str = "doc_id", text_col:
     final_schema = pa.schema([("doc", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("kept", pa.binary())])
 
     def find_anchors(batches):
-        for batch in pieces(batches, "body", 3 << 20):
+        for batch in pieces(batches, "body", 1 << 17):
             doc, shard = np.array(column(batch, "doc"), np.int64), np.array(column(batch, "shard"), np.int32)
             text = Words(column(batch, "body"))
             h, place, _, _ = anchors(text.units, text.owner, ANCHOR_WORDS, width)
@@ -76,7 +76,7 @@ def cleaned(docs: DataFrame, width: int = 50, id_col: str = "doc_id", text_col:
         wanted = np.unique(np.asarray(side.column("anchor").combine_chunks())).view(np.uint64)
         bodies, doc = docs_.column("body").to_pylist(), np.asarray(docs_.column("doc").combine_chunks())
         out = []
-        for a, b in batches_of(bodies) if len(wanted) else ():
+        for a, b in batches_of(bodies, 1 << 17) if len(wanted) else ():
             text = Words(bodies[a:b])
             runs = _chosen(text, width, wanted)
             run, start, digests = _windows(text, runs, width)
@@ -95,7 +95,7 @@ def cleaned(docs: DataFrame, width: int = 50, id_col: str = "doc_id", text_col:
         owner_of = dict(zip(zip(anchor.view(np.uint64).tolist(), hashes.tolist()), side.column("owner").to_pylist()))
         bodies, doc = docs_.column("body").to_pylist(), docs_.column("doc").to_pylist()
         out = [[], [], [], []]
-        for a, b in batches_of(bodies) if len(wanted) else ():
+        for a, b in batches_of(bodies, 1 << 17) if len(wanted) else ():
             text = Words(bodies[a:b])
             runs = _chosen(text, width, wanted)
             anchor_of = runs[0].tolist()

@@ -105,7 +105,7 @@ def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
     out = pa.schema([("doc_id", pa.int64()), *((c, pa.int64()) for c in _LONG), *((c, pa.bool_()) for c in _FLAG), *((c, pa.float64()) for c in _REAL)])
 
     def run(batches):
-        for batch in pieces(batches, "body", 4 << 20):
+        for batch in pieces(batches, "body", 1 << 19):
             found = measures(column(batch, "body"))
             yield batch_of(out, [column(batch, "doc_id"), *(found[c] for c in (*_LONG, *_FLAG, *_REAL))])
 
@@ -117,7 +117,7 @@ def keep_good(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """The rows of docs that pass, with all their columns and no shuffle: the verdict is made beside the row."""
 
     def run(batches):
-        for batch in pieces(batches, text_col, 4 << 20):
+        for batch in pieces(batches, text_col, 1 << 19):
             yield batch.filter(pa.array(measures(column(batch, text_col))["kept"]))
 
     return docs.mapInArrow(run, docs.schema)
