@@ -32,77 +32,83 @@ _BLANK = re.compile(r"[ \t\n\r\f\v]+")
 _NOT_BLANK = "\x1c\x1d\x1e\x1f"
 
 
+class _Numbers(dict):
+    """Chunk -> number; a chunk not seen before gets the next one and is noted."""
+
+    def __init__(self):
+        super().__init__()
+        self.new: list[str] = []
+
+    def __missing__(self, chunk: str) -> int:
+        self[chunk] = n = len(self)
+        self.new.append(chunk)
+        return n
+
+
 class Encoder:
     """Token ids (as little-endian 32-bit bytes) of whole texts.
 
     The vocabulary's splitter never joins text across white space, nor letters with what are not letters, so each
-    blank-free chunk is encoded once and kept; the cache is emptied when full, which changes speed and not results. A new
-    chunk of Latin letters with plain marks behind them is put together from its lower-case letters and its marks; new
+    blank-free chunk is encoded once and kept; the cache is emptied when full, which changes speed and not results. New
+    chunks of Latin letters with plain marks behind them are put together from their lower-case letters and their marks;
     letter words are encoded many at a time and parted at the tokens that end a word.
     """
 
     MARKS = "!\"#$%&()*+,-./:;<=>?@[]^_{|}~"
 
-    def __init__(self, path: str, end_id: int, cache: int = 700_000):
+    def __init__(self, path: str, end_id: int, cache: int = 1_000_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.model, self.limit = Tokenizer.from_file(path), cache
-        self.known: dict[str, bytes] = {}
         vocab = self.model.get_vocab()
         self.ends = np.zeros(max(vocab.values(), default=0) + 1, bool)
         self.ends[[i for token, i in vocab.items() if token.endswith("</w>")]] = True
         self.end = np.uint32(end_id).astype("<u4").tobytes()
+        self._clear()
 
-    def _encode(self, chunks: list[str]):
-        for at in range(0, len(chunks), 4096):
-            part = chunks[at : at + 4096]
-            for w, e in zip(part, self.model.encode_batch_fast(part, add_special_tokens=False)):
-                self.known[w] = np.array(e.ids, "<u4").tobytes()
-
-    def _encode_words(self, words: list[str]):
-        for at in range(0, len(words), 2048):
-            part = words[at : at + 2048]
-            ids = np.array(self.model.encode_batch_fast([" ".join(part)], add_special_tokens=False)[0].ids, "<u4")
-            stops = 4 * (np.flatnonzero(self.ends[ids]) + 1)
-            if len(stops) != len(part):
-                self._encode(part)
-                continue
-            raw, start = ids.tobytes(), 0
-            for w, stop in zip(part, stops.tolist()):
-                self.known[w] = raw[start:stop]
-                start = stop
+    def _clear(self):
+        self.number, self.ids = _Numbers(), []
+        self.parts: dict[str, bytes] = {"": b""}
+
+    def _plain(self, chunks: list[str]) -> list[bytes]:
+        return [np.array(e.ids, "<u4").tobytes() for e in self.model.encode_batch_fast(chunks, add_special_tokens=False)]
+
+    def _words(self, words: list[str]) -> list[bytes]:
+        ids = np.array(self.model.encode_batch_fast([" ".join(words)], add_special_tokens=False)[0].ids, "<u4")
+        stops = 4 * (np.flatnonzero(self.ends[ids]) + 1)
+        if len(stops) != len(words):
+            return self._plain(words)
+        raw, stops = ids.tobytes(), stops.tolist()
+        return [raw[a:b] for a, b in zip([0, *stops], stops)]
 
     def _learn(self, new: list[str]):
-        known, joined, words, rest = self.known, [], set(), set()
-        for w in new:
-            head = w.rstrip(self.MARKS)
-            if head.isalpha() and max(head) < "\u0100":
-                tail, head = w[len(head) :], head.lower()
-                if head not in known:
-                    words.add(head)
-                if tail and tail not in known:
-                    rest.add(tail)
-                if head != w:
-                    joined.append((w, head, tail))
-            else:
-                rest.add(w)
-        self._encode(list(rest))
-        self._encode_words(list(words))
-        for w, head, tail in joined:
-            known[w] = known[head] + known[tail] if tail else known[head]
+        parts, marks = self.parts, self.MARKS
+        for at in range(0, len(new), 2048):
+            chunks = new[at : at + 2048]
+            heads = [w.rstrip(marks).lower() for w in chunks]
+            for lo in range(0, len(chunks), 32):
+                few = heads[lo : lo + 32]
+                joined = "".join(few)
+                if not (joined.isalpha() and max(joined) < "\u0100" and all(few)):
+                    heads[lo : lo + 32] = [h if h.isalpha() and max(h) < "\u0100" else None for h in few]
+            tails = [w if h is None else w[len(h) :] for w, h in zip(chunks, heads)]
+            if words := list({h for h in heads if h is not None and h not in parts}):
+                parts.update(zip(words, self._words(words)))
+            if rest := list({t for t in tails if t not in parts}):
+                parts.update(zip(rest, self._plain(rest)))
+            self.ids += [parts[t] if h is None else parts[h] + parts[t] for h, t in zip(heads, tails)]
 
     def __call__(self, texts: list[str | None]) -> list[bytes]:
+        if len(self.number) > self.limit:
+            self._clear()
+        number = self.number.__getitem__
         chunks = [[] if not t else _BLANK.split(t) if any(map(t.__contains__, _NOT_BLANK)) else t.split() for t in texts]
-        if len(self.known) > self.limit:
-            self.known = {}
-        found = [list(map(self.known.get, c)) for c in chunks]
-        missed = [i for i, f in enumerate(found) if None in f]
-        if missed:
-            self._learn(list({w for i in missed for w, ids in zip(chunks[i], found[i]) if ids is None}))
-            for i in missed:
-                found[i] = map(self.known.__getitem__, chunks[i])
-        return [b"".join(f) + self.end for f in found]
+        numbers = [list(map(number, c)) for c in chunks]
+        self._learn(self.number.new)
+        self.number.new = []
+        ids = self.ids.__getitem__
+        return [b"".join(map(ids, n)) + self.end for n in numbers]
 
 
 _encoders: dict[tuple, Encoder] = {}

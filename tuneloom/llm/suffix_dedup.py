@@ -83,7 +83,7 @@ def cleaned(docs: DataFrame, length: int = 100, id_col: str = "doc_id", text_col
         for batch in pieces(batches, "body", 4 << 20):
             shard = np.array(column(batch, "shard"), np.int32)
             bodies = column(batch, "body")
-            for a, b in batches_of(bodies, 8 << 20):
+            for a, b in batches_of(bodies):
                 text = Bytes(bodies[a:b])
                 h, place, _, _ = anchors(text.units, text.owner, ANCHOR_BYTES, length)
                 if not len(h):
@@ -140,6 +140,14 @@ def cleaned(docs: DataFrame, length: int = 100, id_col: str = "doc_id", text_col
     def sort_shards(batches):
         held, size, last = [], 0, None
         for batch in batches:
+            anchor = np.asarray(batch.column(0))
+            # an anchor with one distinct stretch holds no string twice: its strings begin at different distances from it
+            alone = np.concatenate([[False], anchor[1:] != anchor[:-1], [False]])
+            alone = alone[:-1] & alone[1:]
+            if alone.any():
+                one = batch.filter(pa.array(alone))
+                yield batch_of(repeat_schema, [*(column(one, c) for c in ("anchor", "h", "doc", "pos")), [[]] * one.num_rows])
+                batch = batch.filter(pa.array(~alone))
             for row in zip(*(column(batch, c) for c in ("anchor", "h", "doc", "pos", "stretch"))):
                 if size > shard_bytes and row[0] != last:
                     yield solved(held)

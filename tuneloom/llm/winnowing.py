@@ -87,8 +87,8 @@ class Bytes:
         self.base = np.concatenate([[0], np.cumsum(self.counts)])
 
 
-def batches_of(bodies: list[bytes], limit: int = 3 << 20):
-    """Index ranges of bodies of about `limit` bytes each."""
+def batches_of(bodies: list[bytes], limit: int = 1 << 16):
+    """Index ranges of bodies of about `limit` bytes each, so that the arrays over them stay in the processor's cache."""
     start = size = 0
     for i, b in enumerate(bodies):
         if size and size + len(b) > limit:
