@@ -423,7 +423,7 @@ def _esd_sql(direction: str = "both", stop: str = "first", scale: float = 1.0, c
         SELECT metric, count(*) AS n, 0 AS k, list(resid ORDER BY resid, ts) AS v, list({_EPOCH} ORDER BY resid, ts) AS t, CAST(NULL AS DOUBLE) AS resid, CAST(NULL AS BIGINT) AS ts, CAST(NULL AS DOUBLE) AS score FROM r GROUP BY metric
         UNION ALL SELECT metric, n, k + 1, v[1:pos - 1] || v[pos + 1:], t[1:pos - 1] || t[pos + 1:], v[pos], t[pos], greatest(CASE WHEN low THEN mid - v[1] ELSE v[-1] - mid END, 0) / spread FROM (
           SELECT *, CASE WHEN low THEN 1 ELSE list_position(v, v[-1]) END AS pos FROM (SELECT *, {low} AS low, {spread} AS spread FROM (SELECT *, {mid} AS mid FROM s WHERE k < {bound}))) WHERE spread > 0)
-      SELECT metric, CAST(k AS INT) AS k, ts, round(resid, 4) AS resid, round(score, 4) AS score, round(lam, 6) AS "lambda", {flag} = 1 AS is_anomaly FROM (
+      SELECT metric, CAST(k AS INT) AS k, ts, round(resid, 4) AS resid, round(score, 4) AS score, round(CAST(lam AS DOUBLE), 6) AS "lambda", {flag} = 1 AS is_anomaly FROM (
         SELECT s.*, l.lam, CASE WHEN score > lam THEN 1 ELSE 0 END AS hit FROM s JOIN (VALUES {lam}) l(n, k, lam) ON l.n = s.n AND l.k = s.k WHERE s.k > 0)"""
 
 
