@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import batch_of, column, pieces, stored
-from .winnowing import Words, anchors, batches_of, per_shard, recurring, shard_of, sharded
+from .winnowing import Words, among, anchors, batches_of, per_shard, recurring, shard_of, sharded
 
 ANCHOR_WORDS = 8
 
@@ -41,7 +41,7 @@ def _windows(text: Words, runs, width: int):
 
 def _chosen(text: Words, width: int, wanted: np.ndarray):
     runs = anchors(text.units, text.owner, ANCHOR_WORDS, width)
-    keep = np.isin(runs[0], wanted)
+    keep = among(runs[0], wanted)
     return tuple(x[keep] for x in runs)
 
 
@@ -73,7 +73,7 @@ def cleaned(docs: DataFrame, width: int = 50, id_col: str = "doc_id", text_col:
     again = stored(recurring(found), "anchors")
 
     def find_windows(docs_, side):
-        wanted = np.unique(np.asarray(side.column("anchor").combine_chunks())).view(np.uint64)
+        wanted = np.unique(np.asarray(side.column("anchor").combine_chunks()).view(np.uint64))
         bodies, doc = docs_.column("body").to_pylist(), np.asarray(docs_.column("doc").combine_chunks())
         out = []
         for a, b in batches_of(bodies, 1 << 17) if len(wanted) else ():
@@ -90,7 +90,7 @@ def cleaned(docs: DataFrame, width: int = 50, id_col: str = "doc_id", text_col:
 
     def find_phrases(docs_, side):
         anchor = np.asarray(side.column("anchor").combine_chunks())
-        wanted = np.unique(anchor).view(np.uint64)
+        wanted = np.unique(anchor.view(np.uint64))
         hashes = np.asarray(side.column("h").combine_chunks()).view(np.uint64)
         owner_of = dict(zip(zip(anchor.view(np.uint64).tolist(), hashes.tolist()), side.column("owner").to_pylist()))
         bodies, doc = docs_.column("body").to_pylist(), docs_.column("doc").to_pylist()

@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 
 from .common import batch_of, column, pieces, stored
 from .suffix_sort import common_prefixes, suffix_array
-from .winnowing import Bytes, anchors, batches_of, per_shard, recurring, shard_of, sharded
+from .winnowing import Bytes, among, anchors, batches_of, per_shard, recurring, shard_of, sharded
 
 ANCHOR_BYTES = 32
 
@@ -34,7 +34,7 @@ ANCHOR_BYTES = 32
 def _stretches(text: Bytes, length: int, wanted: np.ndarray):
     """(anchor, first, last, hash of the bytes first .. last + length - 1) of the runs with a wanted anchor."""
     h, _, first, last = anchors(text.units, text.owner, ANCHOR_BYTES, length)
-    keep = np.isin(h, wanted)
+    keep = among(h, wanted)
     h, first, last = h[keep], first[keep], last[keep]
     joined, digest = text.joined, xxhash.xxh3_64_intdigest
     return h, first, last, np.array([digest(joined[a:b]) for a, b in zip(first.tolist(), (last + length).tolist())], np.uint64)
@@ -97,7 +97,7 @@ def cleaned(docs: DataFrame, length: int = 100, id_col: str = "doc_id", text_col
     again = stored(recurring(parts.mapInArrow(find_anchors, "anchor long, shard int, n int")), "anchors").select("shard", "anchor")
 
     def wanted_of(side):
-        return np.unique(np.asarray(side.column("anchor").combine_chunks())).view(np.uint64)
+        return np.unique(np.asarray(side.column("anchor").combine_chunks()).view(np.uint64))
 
     def find_copies(docs_, side):
         wanted, out = wanted_of(side), []

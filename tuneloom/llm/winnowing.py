@@ -57,6 +57,13 @@ def anchors(units: np.ndarray, owner: np.ndarray, n: int, width: int) -> tuple[n
     return h[place], place, first, last
 
 
+def among(values: np.ndarray, wanted: np.ndarray) -> np.ndarray:
+    """Which values are in wanted (sorted); wanted is not sorted anew for each small batch."""
+    if not len(wanted):
+        return np.zeros(len(values), bool)
+    return wanted[np.minimum(np.searchsorted(wanted, values), len(wanted) - 1)] == values
+
+
 class Words:
     """Words of several texts in a row: hashes, owners, and slices of the blank-joined text."""
 
