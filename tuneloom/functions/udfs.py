@@ -6,18 +6,24 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .vectors import register as register_vectors
 
 
-@F.pandas_udf("double")
+def _row(**fields) -> T.StructType:
+    """Types as objects: the module can be imported without a session."""
+    return T.StructType([T.StructField(k, t) for k, t in fields.items()])
+
+
+@F.pandas_udf(T.DoubleType())
 def mad(v: pd.Series) -> float:
     """Median absolute deviation of a group, nulls aside."""
     v = v.dropna().to_numpy(float)
     return float(np.median(np.abs(v - np.median(v)))) if len(v) else None
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def trimmed_mean(v: pd.Series) -> float:
     """Mean without the lowest and highest tenth."""
     v = np.sort(v.dropna().to_numpy(float))
@@ -25,12 +31,12 @@ def trimmed_mean(v: pd.Series) -> float:
     return float(v[k : len(v) - k].mean()) if len(v) else None
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
 def l2_normalise(v: pd.Series) -> pd.Series:
     return v.map(lambda x: None if x is None or not np.any(x) else (np.asarray(x, float) / np.linalg.norm(x)).tolist())
 
 
-@F.udtf(returnType="k int, place int, value double, score double, lambda double, is_anomaly boolean")
+@F.udtf(returnType=_row(k=T.IntegerType(), place=T.IntegerType(), value=T.DoubleType(), score=T.DoubleType(), **{"lambda": T.DoubleType()}, is_anomaly=T.BooleanType()))
 class EsdTable:
     """esd(values): one row for each test of a series."""
 
@@ -42,7 +48,7 @@ class EsdTable:
             yield i + 1, p, x[p], float(score), float(lam), bool(bad)
 
 
-@F.udtf(returnType="place int, value double, seasonal double, trend double, resid double")
+@F.udtf(returnType=_row(place=T.IntegerType(), value=T.DoubleType(), seasonal=T.DoubleType(), trend=T.DoubleType(), resid=T.DoubleType()))
 class StlTable:
     """stl_components(values, period)."""
 
