@@ -1,11 +1,14 @@
 """Repeated passages of word windows, found by anchors and located by Aho-Corasick automata.
 
-1. Anchors that recur are found by one shuffle of their hashes.
-2. Windows with such an anchor are hashed (128 bits with the anchor's own hash) and aggregated: a window that starts in two documents is confirmed,
-   and its first document owns it. The aggregation combines before the shuffle, so hot passages do not pile up.
-3. Owners give the texts of the confirmed stretches, one phrase for each anchor.
-4. Each shard of documents gets the phrases whose anchor occurs in it, compiles them into one automaton (the anchor's
-   words are the pattern), streams all its documents through it, and compares every hit with the phrase word by word.
+Windows that share an anchor form a stretch: the words of the windows first .. last of that anchor (see winnowing).
+
+1. One shuffle of the stretches' hashes on their anchors finds those whose anchor occurs in two documents. Equal stretches
+   have one owner, the document of smallest id; a hot stretch has at most one row for each task and shard.
+2. Where an anchor stands in stretches that differ, the owners hash their single windows; a window that starts in two
+   documents is confirmed. A hot window has at most one row for each shard.
+3. Each shard of documents gets the anchors that occur in it, compiles their words into one automaton, and streams all its
+   documents through it. A hit is confirmed by the hash of the stretch around it (64 bits, beside the anchor's equal words):
+   a stretch of a smaller owner goes whole, of any other the confirmed windows of smaller owners go.
 
 Edges: null and empty texts have no words and are returned with zeros; a row with a null id counts as later than all
 others; rows with equal ids never take from each other; texts shorter than a window lose nothing.
@@ -14,124 +17,114 @@ others; rows with equal ids never take from each other; texts shorter than a win
 from __future__ import annotations
 
 import hashlib
+from bisect import bisect_left
+from itertools import accumulate
 
 import ahocorasick
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import batch_of, column, pieces, stored
-from .winnowing import Words, among, anchors, batches_of, per_shard, recurring, shard_of, sharded
+from .winnowing import Words, anchors, per_shard, sharded
 
 ANCHOR_WORDS = 8
+_hash = xxhash.xxh3_64_intdigest
+
+
+def _signed(values) -> np.ndarray:
+    return np.array(values, np.uint64).view(np.int64)
 
 
-def _windows(text: Words, runs, width: int):
-    """Hashes of the windows of the given runs: (run number, start, hash) lists."""
-    run, start = [], []
-    for i, (a, b) in enumerate(zip(runs[2].tolist(), runs[3].tolist())):
-        run += [i] * (b - a + 1)
-        start += range(a, b + 1)
-    at, joined, digest = text.at, text.joined, xxhash.xxh3_64_intdigest
-    lo, hi = at[np.array(start, np.int64)].tolist(), (at[np.array(start, np.int64) + width] - 1).tolist()
-    return run, start, [digest(joined[a:b]) for a, b in zip(lo, hi)]
+def _long(h: int) -> int:
+    """The same 64 bits as a signed number."""
+    return h - (1 << 64) if h >> 63 else h
 
 
-def _chosen(text: Words, width: int, wanted: np.ndarray):
-    runs = anchors(text.units, text.owner, ANCHOR_WORDS, width)
-    keep = among(runs[0], wanted)
-    return tuple(x[keep] for x in runs)
+def _groups(*keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(order, first of each group, last of each group) of rows with equal keys; the first key given orders within a group."""
+    order = np.lexsort(keys)
+    change = np.zeros(len(order), bool)
+    change[:1] = True
+    for k in keys[1:]:
+        k = k[order]
+        change[1:] |= k[1:] != k[:-1]
+    first = np.flatnonzero(change)
+    return order, first, np.append(first[1:], len(order)) - 1
 
 
 def cleaned(docs: DataFrame, width: int = 50, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_words, n_removed, kept): each row of docs without the words covered by windows of `width` words that also
     start in a document of smaller id. kept: the words left, joined by one blank (UTF-8 bytes)."""
-    parts, n_shards = sharded(docs, id_col, text_col)
-    anchor_schema = pa.schema([("anchor", pa.int64()), ("shard", pa.int32()), ("lo", pa.int64()), ("hi", pa.int64()), ("n", pa.int64())])
-    window_schema = pa.schema([("anchor", pa.int64()), ("h", pa.int64()), ("doc", pa.int64())])
-    phrase_schema = pa.schema([("anchor", pa.int64()), ("owner", pa.int64()), ("phrase", pa.binary()), ("lead", pa.int32())])
+    parts, _ = sharded(docs, id_col, text_col)
+    stretch_schema = pa.schema([("anchor", pa.int64()), ("h", pa.int64()), ("shard", pa.int32()), ("lo", pa.int64()), ("hi", pa.int64()), ("lead", pa.int32()), ("size", pa.int32()), ("phrase", pa.binary())])
+    window_schema = pa.schema([("anchor", pa.int64()), ("w", pa.int64()), ("shard", pa.int32()), ("lo", pa.int64()), ("hi", pa.int64())])
     final_schema = pa.schema([("doc", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("kept", pa.binary())])
 
-    def find_anchors(batches):
+    def find_stretches(batches):
         for batch in pieces(batches, "body", 1 << 17):
             doc, shard = np.array(column(batch, "doc"), np.int64), np.array(column(batch, "shard"), np.int32)
             text = Words(column(batch, "body"))
-            h, place, _, _ = anchors(text.units, text.owner, ANCHOR_WORDS, width)
-            if not len(h):
+            anchor, place, first, last = anchors(text.units, text.owner, ANCHOR_WORDS, width)
+            if not len(anchor):
                 continue
-            own = text.owner[place]
-            order = np.lexsort((doc[own], shard[own], h))
-            h, s, d = h[order], shard[own][order], doc[own][order]
-            new = np.flatnonzero(np.concatenate([[True], (h[1:] != h[:-1]) | (s[1:] != s[:-1])]))
-            end = np.append(new[1:], len(h))
-            yield batch_of(anchor_schema, [h[new].view(np.int64), s[new], d[new], d[end - 1], end - new])
-
-    found = parts.mapInArrow(find_anchors, "anchor long, shard int, lo long, hi long, n long")
+            joined, own = text.joined, text.owner[place]
+            h = np.array([_hash(joined[a:b]) for a, b in zip(text.at[first].tolist(), (text.at[last + width] - 1).tolist())], np.uint64)
+            order, head, tail = _groups(doc[own], shard[own], h, anchor)
+            lo, hi = order[head], order[tail]
+            phrase = [joined[a:b] for a, b in zip(text.at[place[lo]].tolist(), (text.at[place[lo] + ANCHOR_WORDS] - 1).tolist())]
+            yield batch_of(stretch_schema, [anchor[lo].view(np.int64), h[lo].view(np.int64), shard[own[lo]], doc[own[lo]], doc[own[hi]], place[lo] - first[lo], last[lo] + width - first[lo], phrase])
+
+    found = parts.mapInArrow(find_stretches, "anchor long, h long, shard int, lo long, hi long, lead int, size int, phrase binary")
+    anchor, stretch = Window.partitionBy("anchor"), Window.partitionBy("anchor", "h")
+    found = found.withColumns({"least": F.min("lo").over(anchor), "most": F.max("hi").over(anchor), "several": F.min("h").over(anchor) != F.max("h").over(anchor)})
     # an anchor of one document alone cannot recur across documents
-    again = stored(recurring(found), "anchors")
+    found = found.filter("least < most").withColumn("owner", F.min("lo").over(stretch))
+    found = stored(found.select("anchor", "h", "shard", "lo", "owner", "several", "lead", "size", "phrase"), "stretches")
 
     def find_windows(docs_, side):
-        wanted = np.unique(np.asarray(side.column("anchor").combine_chunks()).view(np.uint64))
-        bodies, doc = docs_.column("body").to_pylist(), np.asarray(docs_.column("doc").combine_chunks())
-        out = []
-        for a, b in batches_of(bodies, 1 << 17) if len(wanted) else ():
-            text = Words(bodies[a:b])
-            runs = _chosen(text, width, wanted)
-            run, start, digests = _windows(text, runs, width)
-            if run:
-                out.append(batch_of(window_schema, [runs[0][run].view(np.int64), np.array(digests, np.uint64).view(np.int64), doc[a:b][text.owner[start]]]))
-        return pa.Table.from_batches(out, window_schema)
-
-    windows = per_shard(parts, again.select("shard", "anchor"), find_windows, "anchor long, h long, doc long")
-    confirmed = windows.groupBy("anchor", "h").agg(F.min("doc").alias("owner"), F.max("doc").alias("hi")).filter("owner < hi")
-    owned = confirmed.select(shard_of(F.col("owner"), n_shards).alias("shard"), "anchor", "h", "owner")
-
-    def find_phrases(docs_, side):
-        anchor = np.asarray(side.column("anchor").combine_chunks())
-        wanted = np.unique(anchor.view(np.uint64))
-        hashes = np.asarray(side.column("h").combine_chunks()).view(np.uint64)
-        owner_of = dict(zip(zip(anchor.view(np.uint64).tolist(), hashes.tolist()), side.column("owner").to_pylist()))
-        bodies, doc = docs_.column("body").to_pylist(), docs_.column("doc").to_pylist()
-        out = [[], [], [], []]
-        for a, b in batches_of(bodies, 1 << 17) if len(wanted) else ():
-            text = Words(bodies[a:b])
-            runs = _chosen(text, width, wanted)
-            anchor_of = runs[0].tolist()
-            held, found = None, []  # (run, first start, last start) of confirmed neighbours
-            for run, start, h in zip(*_windows(text, runs, width)):
-                if owner_of.get((anchor_of[run], h)) != doc[a + text.owner[start]]:
-                    continue
-                if held and held[0] == run and held[2] == start - 1:
-                    held = (run, held[1], start)
-                else:
-                    found += [held] if held else []
-                    held = (run, start, start)
-            for run, s, e in found + ([held] if held else []):
-                for c, v in zip(out, (int(runs[0][run].view(np.int64)), doc[a + text.owner[s]], text.text(s, e + width), int(runs[1][run] - s))):
-                    c.append(v)
-        return pa.Table.from_batches([batch_of(phrase_schema, out)], phrase_schema)
-
-    phrase_rows = per_shard(parts, owned, find_phrases, "anchor long, owner long, phrase binary, lead int")
-    sent = again.select("shard", "anchor", "hi").join(phrase_rows, "anchor").filter("owner < hi").select("shard", "owner", "phrase", "lead")
+        place_of: dict[int, list] = {}
+        for a, h, owner, lead, size, phrase in sorted(set(zip(*(side.column(c).to_pylist() for c in ("anchor", "h", "owner", "lead", "size", "phrase"))))):
+            place_of.setdefault(owner, []).append((a, h, lead, size, phrase))
+        shard, seen = side.column("shard")[0].as_py() if side.num_rows else 0, ([], [], [])
+        for doc, body in zip(docs_.column("doc").to_pylist(), docs_.column("body").to_pylist()):
+            if doc in place_of:
+                text = _Stream(body, _automaton(place_of[doc]))
+                for a, _, _, lo, m in text.hits():
+                    n = m - width + 1
+                    seen[0].extend([a] * n)
+                    seen[1].extend(text.hash(i, width) for i in range(lo, lo + n))
+                    seen[2].extend([doc] * n)
+        a, w, doc = np.array(seen[0], np.int64), _signed(seen[1]), np.array(seen[2], np.int64)
+        order, head, tail = _groups(doc, w, a)
+        lo, hi = order[head], order[tail]
+        return pa.Table.from_batches([batch_of(window_schema, [a[lo], w[lo], np.full(len(lo), shard, np.int32), doc[lo], doc[hi]])], window_schema)
+
+    owned = found.filter("several and lo = owner").select("shard", "anchor", "h", "owner", "lead", "size", "phrase")
+    windows = per_shard(parts, owned, find_windows, "anchor long, w long, shard int, lo long, hi long")
+    confirmed = windows.withColumn("owner", F.min("lo").over(Window.partitionBy("anchor", "w"))).filter("owner < hi")
+    none = {"lead": F.lit(None).cast("int"), "size": F.lit(None).cast("int"), "phrase": F.lit(None).cast("binary")}
+    sent = found.select("shard", "anchor", "h", "owner", "lead", "size", "phrase").unionByName(confirmed.select("shard", "anchor", F.col("w").alias("h"), "owner").withColumns(none))
 
     def locate(docs_, side):
-        uses: dict[bytes, dict] = {}
-        for owner, phrase, lead in zip(*(side.column(c).to_pylist() for c in ("owner", "phrase", "lead"))):
-            words = phrase.split(b" ")
-            uses.setdefault(b" ".join(words[lead : lead + ANCHOR_WORDS]), {})[(phrase, lead)] = (owner, words)
-        auto = ahocorasick.Automaton()
-        for pattern, all_ in uses.items():
-            # blanks around the pattern keep it to whole words; bytes are read as Latin-1 characters, one for one
-            auto.add_word(f" {pattern.decode('latin-1')} ", (len(pattern) + 2, sorted((o, lead, w) for (_, lead), (o, w) in all_.items())))
-        if uses:
-            auto.make_automaton()
+        anchor, h, owner, lead, size, phrase = (side.column(c).to_pylist() for c in ("anchor", "h", "owner", "lead", "size", "phrase"))
+        first = {(a, x): o for a, x, o, p in zip(anchor, h, owner, phrase) if p is None}
+        owner_of = {(a, x): o for a, x, o, p in zip(anchor, h, owner, phrase) if p is not None}
+        auto = _automaton([x for x in zip(anchor, h, lead, size, phrase) if x[4] is not None])
         out = [[], [], [], []]
         for doc, body in zip(docs_.column("doc").to_pylist(), docs_.column("body").to_pylist()):
-            words = body.split()
-            gone = _removed(words, doc, auto, width) if uses and len(words) >= width else None
-            kept = words if gone is None else [w for w, g in zip(words, gone) if not g]
+            text = _Stream(body, auto)
+            words, gone = text.words, bytearray(len(text.words))
+            for a, x, _, lo, m in text.hits(gone) if len(words) >= width else ():
+                if owner_of[a, x] < doc:
+                    gone[lo : lo + m] = b"\1" * m
+                    continue
+                for i in range(lo, lo + m - width + 1) if first else ():
+                    if first.get((a, _long(text.hash(i, width))), doc) < doc:
+                        gone[i : i + width] = b"\1" * width
+            kept = [w for w, g in zip(words, gone) if not g] if any(gone) else words
             for c, v in zip(out, (doc, len(words), len(words) - len(kept), b" ".join(kept))):
                 c.append(v)
         return pa.Table.from_batches([batch_of(final_schema, out)], final_schema)
@@ -140,36 +133,50 @@ def cleaned(docs: DataFrame, width: int = 50, id_col: str = "doc_id", text_col:
     return done.select(F.when(F.col("doc") < 2**63 - 1, F.col("doc")).alias("doc_id"), "n_words", "n_removed", "kept")
 
 
-def _removed(words: list[bytes], doc: int, auto, width: int) -> bytearray | None:
-    """Marks of the words covered by phrases of smaller documents."""
-    text = " " + b" ".join(words).decode("latin-1") + " "
-    ends, gone, n = None, None, len(words)
-    for end, (size, phrases) in auto.iter(text):
-        if ends is None:
-            ends = {}
-            at = 0
-            for i, w in enumerate(words):
-                ends[at] = i
-                at += len(w) + 1
-        p = ends[end + 1 - size]
-        for owner, lead, phrase in phrases:
-            if owner >= doc:
-                break
-            left, right, m = 0, 0, len(phrase)
-            lo = p - lead
-            if gone and lo >= 0 and gone.count(1, lo, lo + m) == m:
-                continue
-            if lo >= 0 and words[lo : lo + m] == phrase:
-                left, right = lead, m - lead
-            else:
-                while left < lead and left < p and phrase[lead - left - 1] == words[p - left - 1]:
-                    left += 1
-                while right < m - lead and p + right < n and phrase[lead + right] == words[p + right]:
-                    right += 1
-            if left + right >= width:
-                gone = gone or bytearray(n)
-                gone[p - left : p + right] = b"\1" * (left + right)
-    return gone
+def _automaton(stretches):
+    """Automaton over the anchors' words of (anchor, hash, lead, size, phrase) rows; None without rows.
+
+    A pattern's value: its length and, for each shape (lead, size) of its stretches, their anchor and hashes.
+    """
+    shapes: dict[bytes, dict] = {}
+    for anchor, h, lead, size, phrase in stretches:
+        shapes.setdefault(phrase, {}).setdefault((lead, size, anchor), set()).add(h)
+    auto = ahocorasick.Automaton()
+    for phrase, of in shapes.items():
+        # blanks around the words keep a pattern to whole words; bytes are read as Latin-1 characters, one for one
+        auto.add_word(f" {phrase.decode('latin-1')} ", (len(phrase) + 2, sorted(of.items())))
+    if not shapes:
+        return None
+    auto.make_automaton()
+    return auto
+
+
+class _Stream:
+    """One document's words as they pass through an automaton."""
+
+    def __init__(self, body: bytes, auto):
+        self.words, self.auto = body.split(), auto
+
+    def hash(self, start: int, n: int) -> int:
+        return _hash(self.joined[self.at[start] : self.at[start + n] - 1])
+
+    def hits(self, gone: bytearray | None = None):
+        """(anchor, hash, lead, start, size) of each known stretch; not of those that lie wholly in what is gone."""
+        if self.auto is None or not self.words:
+            return
+        self.joined = b" ".join(self.words)
+        self.at, n = None, len(self.words)
+        for end, (length, shapes) in self.auto.iter(" " + self.joined.decode("latin-1") + " "):
+            if self.at is None:
+                self.at = [0, *accumulate(len(w) + 1 for w in self.words)]
+            place = bisect_left(self.at, end + 1 - length)
+            for (lead, size, anchor), hashes in shapes:
+                lo = place - lead
+                if lo < 0 or lo + size > n or gone is not None and gone.find(0, lo, lo + size) < 0:
+                    continue
+                h = _long(self.hash(lo, size))
+                if h in hashes:
+                    yield anchor, h, lead, lo, size
 
 
 def digest(docs: DataFrame, width: int = 50) -> DataFrame:
