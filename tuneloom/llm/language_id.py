@@ -21,6 +21,7 @@ from pyspark.sql import functions as F
 from .common import batch_of, column, pieces
 
 MAX_BYTES = 32
+HASHES, SPARE = 1 << 31, 4
 _GATES = ("z", "r", "h")
 
 
@@ -200,12 +201,25 @@ def labeller(net: Network, langs: list[str]) -> Labeller:
     return _labellers[mark]
 
 
-def fit(labelled: DataFrame, text_col: str, lang_col: str, id_col: str, docs_per_lang: int = 250, max_chars: int = 20_000, words_per_lang: int = 30_000, **how) -> tuple[Network | None, list[str]]:
-    """Train on at most docs_per_lang rows of each language, those of smallest hash whose text has at most max_chars."""
+def fit(labelled: DataFrame, text_col: str, lang_col: str, id_col: str, docs_per_lang: int = 250, max_chars: int = 20_000, words_per_lang: int = 30_000, max_langs: int = 1_000, **how) -> tuple[Network | None, list[str]]:
+    """Train on at most docs_per_lang rows of each language, those of smallest hash whose text has at most max_chars.
+
+    A count of each language tells below which hash SPARE times as many rows lie; only these are ranked, so that what is
+    shuffled does not grow with the input. More than max_langs languages are refused.
+    """
+    rows = labelled.select(F.col(lang_col).cast("string").alias("lang"), F.col(text_col).cast("string").alias("body"), F.pmod(F.xxhash64(F.col(id_col)), F.lit(HASHES)).alias("h"))
+    rows = rows.filter(F.col("lang").isNotNull() & F.length("body").between(1, max_chars))
+    sizes = rows.groupBy("lang").agg(F.count(F.lit(1)).alias("n"), F.min("h").alias("least")).limit(max_langs + 1).collect()
+    if len(sizes) > max_langs:
+        raise ValueError(f"more than {max_langs} languages")
+    if not sizes:
+        return None, []
+    # the smallest hash always passes, should ids repeat
+    upto = labelled.sparkSession.createDataFrame([(lang, max(least, min(HASHES, SPARE * docs_per_lang * HASHES // n))) for lang, n, least in sizes], "lang string, upto long")
     rank = Window.partitionBy("lang").orderBy("h", "body")
     rows = (
-        labelled.select(F.col(lang_col).cast("string").alias("lang"), F.col(text_col).cast("string").alias("body"), F.xxhash64(F.col(id_col)).alias("h"))
-        .filter(F.col("lang").isNotNull() & F.length("body").between(1, max_chars))
+        rows.join(F.broadcast(upto), "lang")  # at most max_langs rows
+        .filter(F.col("h") <= F.col("upto"))
         .withColumn("n", F.row_number().over(rank))
         .filter(F.col("n") <= docs_per_lang)
         .select("lang", "body")
