@@ -283,7 +283,8 @@ def udtf_esd(spark, sf_dir):
 @query("SELECT user_id, CAST(epoch(min(ts)) AS BIGINT) AS start, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, CASE WHEN epoch_us(ts) - epoch_us(lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id)) < 1800000000 THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, s")
 def session_windows(spark, sf_dir):
     g = events(spark, sf_dir).groupBy("user_id", F.session_window("ts", "30 minutes")).agg(F.min("ts").alias("t"), F.count(F.lit(1)).alias("n"))
-    return g.select("user_id", F.unix_timestamp("t").alias("start"), "n")
+    # the nearest second, as a cast of seconds to a whole number gives in the SQL
+    return g.select("user_id", F.rint(F.unix_micros(F.col("t").cast("timestamp")) / 1e6).cast("long").alias("start"), "n")
 
 
 @query("SELECT CAST(epoch(b) AS BIGINT) AS start, event_type, count(*) AS n FROM (SELECT event_type, unnest(generate_series(date_trunc('hour', ts) - INTERVAL 5 HOUR, date_trunc('hour', ts), INTERVAL 1 HOUR)) AS b FROM events) GROUP BY 1, 2")
