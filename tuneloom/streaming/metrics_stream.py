@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
-from pyspark.sql.types import StructType
+from pyspark.sql.types import ArrayType, DoubleType, LongType, StructType
 
 from ..operators.esd import esd_steps
 
@@ -64,7 +64,8 @@ class Ring(StatefulProcessor):
     size, period, alpha = 240, 24, 0.05
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.ring = handle.getValueState("ring", StructType.fromDDL("ts array<long>, value array<double>"))
+        # types as objects: the worker that calls this has no session to parse DDL
+        self.ring = handle.getValueState("ring", StructType().add("ts", ArrayType(LongType())).add("value", ArrayType(DoubleType())))
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
         state = self.ring.get() if self.ring.exists() else ([], [])
