@@ -314,6 +314,18 @@ def plm_multilabel(spark, sf_dir):
     return baselines.plm_predict(model, v.filter("doc_id % 10 = 9").withColumnRenamed("doc_id", "qid"), 0.11)
 
 
+@query()
+def plm_augmented(spark, sf_dir):
+    """The same classifier with its training rows joined by synthetic ones: each row mirrored through the mean of its label."""
+    v = vectors(spark, sf_dir)
+    train = v.filter("doc_id % 10 < 7")
+    center = train.select("knobs", F.posexplode("vec").alias("i", "x")).groupBy("knobs", "i").agg(F.avg("x").alias("x"))
+    center = center.groupBy("knobs").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "x"))), lambda s: s["x"]).alias("mean"))
+    more = train.join(F.broadcast(center), "knobs").withColumn("vec", F.zip_with("vec", "mean", lambda a, m: 2 * m - a))  # one row for each label
+    model = baselines.plm_fit_augmented(train, more, [str(i) for i in range(10)], 64, iters=20)
+    return baselines.plm_predict(model, v.filter("doc_id % 10 = 9").withColumnRenamed("doc_id", "qid"), 0.11)
+
+
 # ---------------------------------------------------------------- telemetry
 
 _START, _STOP = "2024-01-01 00:00:00", "2024-01-30 23:00:00"
@@ -626,6 +638,41 @@ def representation_ablation(spark, sf_dir):
     return experiments.representation(questions, docs, questions.select("qid", F.explode("knobs").alias("knob")))
 
 
+@query()
+def telemetry_ablation(spark, sf_dir):
+    """Success by knob kind with documents only, telemetry only, and both."""
+    questions, docs = _questions_and_docs(spark, sf_dir)
+    kinds = catalog(spark, sf_dir).select("knob", "kind")
+    return experiments.telemetry_ablation(questions, docs, debugging.encode(described(spark, sf_dir)), questions.select("qid", F.explode("knobs").alias("knob")), kinds)
+
+
+@query()
+def runtime_breakdown(spark, sf_dir):
+    """Mean seconds a question of retrieval, telemetry and reasoning, and their total."""
+    questions, docs = _questions_and_docs(spark, sf_dir)
+    hits = vindex.topk_blocked(questions.select("qid", "vec"), docs, 5).persist()
+    stages = {
+        "retrieval": lambda: hits,
+        "telemetry": lambda: describe.select(questions.select("qid", "vec"), debugging.encode(described(spark, sf_dir)), 3),
+        "reasoning": lambda: reason.EvidenceVote().answer(hits),
+    }
+    seconds = experiments.runtime(stages, questions.count())
+    hits.unpersist()
+    return spark.createDataFrame(seconds, "stage string, seconds double")
+
+
+_STYLED = "chr(10) || 'Question: ' || question || chr(10) || 'Name the settings to change as a JSON list of strings.'"
+
+
+@query(f"""SELECT qid, style, md5(opening || {_STYLED}) AS text_md5 FROM ({_PAIRS}) CROSS JOIN (VALUES ('plain', 'You advise on database settings.'),
+    ('cot', 'You advise on database settings. Reason in small steps before you answer.'), ('decompose', 'You advise on database settings. Split the problem into parts, solve each, then combine.')) s(style, opening)""")
+def prompt_styles(spark, sf_dir):
+    """Prompts without evidence: plain, step by step, task decomposition."""
+    q = corpus.question_pairs(read(spark, sf_dir, "conversations")).select("qid", F.col("question").alias("text"))
+    parts = [prompt.build(q, style=s).select("qid", F.lit(s).alias("style"), F.md5("text").alias("text_md5")) for s in prompt.STYLES]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+
+
 @query(f"""SELECT qid, to_json(struct_pack(instruction := 'Name the settings to change as a JSON list of strings.', "input" := question, "output" := '[' || string_agg('"' || knob || '"', ',' ORDER BY knob) || ']')) AS line FROM ({_LABELS}) JOIN ({_PAIRS}) USING (qid) GROUP BY qid, question""")
 def sft_export(spark, sf_dir):
     return baselines.sft_pairs(labelled_questions(spark, sf_dir))
