@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tuneloom.llm import decontamination, packing, quality_rules, secret_scan, simhash_dedup
+from tuneloom.llm import decontamination, packing, quality_rules, secret_scan, similar_pairs
 from tuneloom.llm.common import stored, table
 from tuneloom.llm.queries import tokenizer_path
 
@@ -19,8 +19,8 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies stays, that of smallest id. Fingerprints of five-word shingles."""
-    groups = simhash_dedup.near_duplicates(docs, width=5)
+    """One document of each group of near copies (five-word similarity 0.8 or more) stays, that of smallest id."""
+    groups = similar_pairs.similar_groups(docs, width=5, threshold=0.8)
     gone = groups.filter("component_id <> doc_id").select("doc_id").distinct()
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
 
