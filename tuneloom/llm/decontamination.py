@@ -85,7 +85,7 @@ class Matcher:
     def __call__(self, text: str) -> dict[int, tuple[int, int]]:
         """item number -> (distance, end in the normalised text) of its nearest copy."""
         found: dict[int, tuple[int, int]] = {}
-        checked: dict[int, int] = {}
+        checked: dict[int, list[int]] = {}
         if not self.ready:
             return found
         for end, (size, uses) in self.auto.iter(text):
@@ -98,10 +98,11 @@ class Matcher:
                 if start >= 0 and text.startswith(item, start):
                     found[i] = (0, start + len(item))
                     continue
-                if checked.get(i, -1) >= start:  # that stretch was looked at with slack already
+                slack, seen = k // 2, checked.setdefault(i, [])
+                if any(abs(s - start) <= slack for s in seen):  # that stretch was looked at with slack already
                     continue
-                lo, hi = max(0, start - k), start + pattern.length + 2 * k
-                checked[i] = start + k // 2
+                lo, hi = max(0, start - k - slack), start + pattern.length + 2 * k
+                seen[:] = [s for s in seen if s + slack + pattern.length >= end] + [start]  # later hits start no further left
                 if k and (hit := pattern.best(text[lo : hi + k], old[0] - 1 if old else k)):
                     found[i] = (hit[0], lo + hit[1])
         return found
