@@ -6,7 +6,12 @@ result lies inside), and the inverse map writes the result in the layout of the
 pseudonyms in every document, different values different ones, and every pseudonym is valid again. What fails validation
 is left as it is.
 
-Edges: a null text stays null; an empty text stays empty; matches that overlap are taken from the left, longest kind first;
+A card or IBAN may be followed by more digits or capitals after a blank or hyphen. Where the match of such a number has
+groups, it is read up to the end of any of them: a card up to the first that makes it valid, an IBAN up to its country's
+length, else up to the last that makes it valid. Values are permuted again until they are read back to the same length.
+
+Edges: a 19-digit card in groups whose first 16 digits are by chance valid is read as one of 16; digits before a card may,
+with its new digits, form a valid number and are then not read back; a null text stays null; an empty text stays empty; matches that overlap are taken from the left, longest kind first;
 repeated rows give repeated results; an empty table gives an empty result.
 """
 
@@ -191,6 +196,20 @@ KINDS = {
     "card": (r"(?<![\d])\d(?:[ \-]?\d){12,18}(?!\d)", card),
 }
 
+#: Characters of an IBAN by country.
+IBAN_LENGTHS = {c: n for n, cs in {15: "NO", 16: "BE", 18: "DK FI FO GL NL", 19: "MK SI", 20: "AT BA EE KZ LT LU XK", 21: "CH CR HR LI LV", 22: "BG BH DE GB GE IE ME RS", 23: "AE GI IL TL", 24: "AD CZ ES MD PK RO SA SE SK TN VG", 25: "PT", 26: "IS TR", 27: "FR GR IT MC MR SM", 28: "AL AZ CY DO GT HU LB PL", 29: "BR PS QA UA", 30: "JO KW MU", 31: "MT"}.items() for c in cs.split()}
+
+
+def _readings(kind: str, text: str) -> list[int]:
+    """How many characters of a match to try, in order: for cards and IBANs its whole and its prefixes of whole groups."""
+    if kind not in ("card", "iban"):
+        return [len(text)]
+    ends = [i for i, c in enumerate(text) if c in " -"] + [len(text)]
+    if kind == "card":
+        return [e for e in ends if sum(map(str.isdigit, text[:e])) >= 13]
+    known = IBAN_LENGTHS.get(text[:2])
+    return sorted((e for e in ends if e - text[:e].count(" ") >= 15), key=lambda e: (e - text[:e].count(" ") != known, -e))
+
 
 def _pattern() -> tuple[re.Pattern, list[str]]:
     parts, shift = [], 0
@@ -205,22 +224,39 @@ class Pseudonymiser:
     def __init__(self, key: bytes):
         self.feistel, (self.pattern, self.kinds) = Feistel(key), _pattern()
         self.value = lru_cache(1 << 16)(lambda kind, text, back: KINDS[kind][1](text, self.feistel, back))
+        self.each = {k: re.compile(p, re.ASCII) for k, (p, _) in KINDS.items()}
         self.start = re.compile(r"[0-9@]")
 
+    def _read(self, kind: str, text: str, back: bool) -> tuple[str, int] | None:
+        """(new value, characters of text it stands for) of the first reading that is valid."""
+        tried = []
+        for end in _readings(kind, text):
+            if (new := self.value(kind, text[:end], back)) is not None:
+                # again until no earlier reading holds, so that the result is read to the same end
+                while any(self.value(kind, (new + text[end:])[:e], back) is not None for e in tried):
+                    new = self.value(kind, new, back)
+                return new, end
+            tried.append(end)
+        return None
+
     def __call__(self, text: str | None, back: bool = False) -> tuple[str | None, dict[str, int]]:
         """The text with its pseudonyms (or, with back, the original again), and how many values of each kind."""
         seen = dict.fromkeys(self.kinds, 0)
         if not text or not self.start.search(text):
             return text, seen
 
-        def swap(m):
+        out, done, at = [], 0, 0
+        while m := self.pattern.search(text, at):
+            at = m.start()
             for kind in self.kinds:
-                if m[kind] is not None and (new := self.value(kind, m[kind], back)) is not None:
+                if (one := self.each[kind].match(text, at)) and (read := self._read(kind, one[0], back)):
                     seen[kind] += 1
-                    return new
-            return m[0]
-
-        return self.pattern.sub(swap, text), seen
+                    out += text[done:at], read[0]
+                    done = at = at + read[1]
+                    break
+            else:
+                at += 1  # what failed may hide a value that starts later
+        return "".join(out) + text[done:], seen
 
 
 def pseudonymise(docs: DataFrame, key: bytes, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
