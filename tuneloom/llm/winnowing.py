@@ -31,7 +31,26 @@ def anchors(units: np.ndarray, owner: np.ndarray, n: int, width: int) -> tuple[n
     """(hash, place, first, last): each anchor of the windows that begin at first .. last.
 
     units: hashed units of many documents in a row; owner: the document number of each. Windows do not cross documents.
+    More units than places have bits for go in slices that overlap by width - 1 units; an anchor's run that goes on over a
+    seam is joined.
     """
+    most = max(width, (1 << PLACE_BITS) - 1)
+    if len(units) <= most:
+        return _anchors(units, owner, n, width)
+    parts = []
+    for lo in range(0, len(units) - width + 1, most - width + 1):
+        h, place, first, last = _anchors(units[lo : lo + most], owner[lo : lo + most], n, width)
+        place, first, last = place + lo, first + lo, last + lo
+        if parts and len(h) and len(parts[-1][0]) and parts[-1][1][-1] == place[0] and parts[-1][3][-1] + 1 == first[0]:
+            parts[-1][3][-1] = last[0]
+            h, place, first, last = h[1:], place[1:], first[1:], last[1:]
+        if len(h):
+            parts.append((h, place, first, last))
+    return tuple(map(np.concatenate, zip(*parts))) if parts else _anchors(units[:0], owner[:0], n, width)
+
+
+def _anchors(units: np.ndarray, owner: np.ndarray, n: int, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """anchors() of one slice."""
     none = np.empty(0, np.int64)
     if len(units) < width:
         return np.empty(0, np.uint64), none, none, none
