@@ -473,7 +473,7 @@ def esd_mean_std(spark, sf_dir):
 @query()
 def esd_redecomposed(spark, sf_dir):
     parts = stl.decompose_none(hourly(spark, sf_dir))
-    found = esd.detect(parts, ["metric"], redecompose=lambda y: stl.stl(y, 24)[2], bound=3)
+    found = esd.detect(parts, ["metric"], redecompose=lambda y: stl.stl(y, 24)[2])
     return _second(found).select("metric", "k", "ts", F.round("score", 4).alias("score"), "is_anomaly")
 
 
