@@ -1,7 +1,7 @@
 """Groups of texts whose sets of word shingles have a Jaccard similarity of at least a threshold, each link verified.
 
 1. Each text gets 128 minimum hashes of its shingles. Five of them make a key, 25 keys in all, so two texts of similarity J
-   share none with probability (1 - J^5)^25: 5e-5 at 0.8, 1e-6 at 0.85. One bit of each minimum makes a sketch of 128 bits.
+   share none with probability (1 - J^5)^25: 5e-5 at 0.8, 4e-7 at 0.85. One bit of each minimum makes a sketch of 128 bits.
 2. Texts that share a key and whose sketches differ in at most 32 bits (at J = 0.8 13 are expected; more than 32 have a
    probability under 1e-6) are compared by their whole shingle sets; only pairs that reach the threshold are linked.
 3. Buckets of up to `small` texts give all their pairs. A larger one first gives the pairs with its smallest text, and
