@@ -1,20 +1,16 @@
 """Suffix arrays by induced sorting, and permuted common prefixes, for one shard's bytes.
 
 Suffixes are classified as smaller or larger than their right neighbour; the leftmost-smaller substrings are sorted by one
-induction, named, and sorted recursively where names repeat; a second induction gives the whole array. On bytes the
-induction goes bucket by bucket: all suffixes that a bucket induces in one wave are dealt to their buckets by a stable radix
-sort, which keeps the order of the sequential scan, so each pass is linear and runs in numpy. The recursion goes on in the
-same way while the names are few enough for buckets; beyond that, ranks of names are refined by doubling.
+induction, named, and sorted by the same function where names repeat; a second induction gives the whole array. Buckets are
+counted ranges of one array at every level, whatever the alphabet: a step of the scan takes a stretch of it inside which
+nothing is induced any more, and deals what the stretch induces by a stable sort, which keeps the order of the sequential
+scan. So each pass runs in numpy.
 """
 
 from __future__ import annotations
 
 import numpy as np
 
-#: Largest alphabet for which the induction deals to buckets.
-BUCKETS = 2048
-
-
 def _smaller(s: np.ndarray) -> np.ndarray:
     """True for suffixes smaller than the next one; the last symbol is the unique least."""
     n = len(s)
@@ -28,82 +24,69 @@ def _smaller(s: np.ndarray) -> np.ndarray:
     return up
 
 
-def _deal(lists, at, s):
-    """Append positions to the lists of their symbols, in order."""
-    if not len(at):
-        return
-    c = s[at]
-    order = np.argsort(c, kind="stable")
-    at, c = at[order], c[order]
-    cut = np.flatnonzero(c[1:] != c[:-1]) + 1
-    edges = [0, *cut.tolist(), len(c)]
-    for a, b in zip(edges, edges[1:]):
-        lists[c[a]].append(at[a:b])
+#: Slots of the array that one step of the scan looks at, at least and at most.
+CHUNK = (1 << 10, 1 << 18)
 
 
-def _join(parts):
-    return parts[0] if len(parts) == 1 else np.concatenate(parts) if parts else np.empty(0, np.int32)
+def _scan(slots: np.ndarray, s: np.ndarray, picks: np.ndarray, head: np.ndarray) -> None:
+    """One pass of induction over the slots of the suffix array (-1: empty), in order.
+
+    Behind each suffix found, the suffix in front of it in the text, if picked, takes the next free slot of its symbol. A step
+    takes as many found suffixes as none of them can be preceded by what the others induce: from the first that lies at or
+    behind the symbol of an earlier one's result, the scan goes on in the next step. So buckets are counters, an alphabet may
+    be as large as the text, and many small buckets go in one step.
+    """
+    n, i, chunk = len(slots), 0, CHUNK[0]
+    never = np.int32(2**31 - 1)
+    while i < n:
+        stop = min(n, i + chunk)
+        filled = np.flatnonzero(slots[i:stop] >= 0)
+        if not len(filled):
+            i, chunk = stop, min(2 * chunk, CHUNK[1])
+            continue
+        found = slots[i:stop][filled]
+        front = found - 1  # -1 of the first suffix meets the last symbol, which is never picked
+        take = picks[front]
+        symbol = np.where(take, s[front].astype(np.int32), never)
+        least = np.minimum.accumulate(symbol)
+        own = s[found]
+        late = (least[:-1] < own[1:]) | ((least[:-1] == own[1:]) & ~picks[found[1:]])
+        cut = int(late.argmax()) + 1 if late.any() else len(found)
+        front, symbol = front[:cut][take[:cut]], symbol[:cut][take[:cut]]
+        end = i + int(filled[cut]) if cut < len(found) else stop
+        if len(front):
+            order = np.argsort(symbol.astype(s.dtype), kind="stable")
+            symbol = symbol[order]
+            first = np.flatnonzero(np.concatenate([[True], symbol[1:] != symbol[:-1]]))
+            size = np.diff(np.append(first, len(symbol)))
+            at = np.repeat(head[symbol[first]] - first, size) + np.arange(len(symbol))
+            slots[at] = front[order]
+            head[symbol[first]] += size
+            ahead = at[at >= i]
+            end = min(end, int(ahead.min())) if len(ahead) else end
+        chunk = min(max(2 * (end - i), CHUNK[0]), CHUNK[1])
+        i = end
 
 
 def _induce(s: np.ndarray, up: np.ndarray, symbols: int, seeds: np.ndarray) -> np.ndarray:
     """All suffixes in order, from the leftmost-smaller ones in (presumed) order."""
-    large = [[] for _ in range(symbols)]
-    small = [[] for _ in range(symbols)]
-    lead = [[] for _ in range(symbols)]
-    _deal(lead, seeds, s)
-    for c in range(symbols):
-        wave, done = _join(large[c]), []
-        while len(wave):
-            done.append(wave)
-            back = wave[wave > 0] - 1
-            back = back[~up[back]]
-            same = s[back] == c
-            _deal(large, back[~same], s)
-            wave = back[same]
-        large[c] = _join(done)
-        first = _join(lead[c])
-        back = first[first > 0] - 1
-        _deal(large, back[~up[back]], s)
-    for c in range(symbols - 1, -1, -1):
-        wave, done = _join(small[c]), []
-        while len(wave):
-            done.append(wave)
-            back = wave[wave > 0] - 1
-            back = back[up[back]]
-            same = s[back] == c
-            _deal(small, back[~same], s)
-            wave = back[same]
-        small[c] = _join(done)
-        last = large[c][::-1]
-        back = last[last > 0] - 1
-        _deal(small, back[up[back]], s)
-    small[0] = np.array([len(s) - 1], np.int32)  # the end mark
-    return np.concatenate([x for c in range(symbols) for x in (large[c], small[c][::-1])]).astype(np.int32)
-
-
-def _order_names(names: np.ndarray) -> np.ndarray:
-    """Suffix array of a string of names whose alphabet is too large for buckets: ranks of unsettled places are refined by
-    the ranks 1, 2, 4 ... names further on."""
-    m = len(names)
-    size = np.bincount(names)
-    rank = (np.cumsum(size) - size)[names]
-    open_, step = np.flatnonzero(size[names] > 1), 1
-    while len(open_):
-        ahead = np.where(open_ + step < m, rank[np.minimum(open_ + step, m - 1)] + 1, 0)
-        key = rank[open_] * (m + 1) + ahead
-        order = np.argsort(key)
-        at, key = open_[order], key[order]
-        i = np.arange(len(at))
-        group = rank[at]
-        head = np.maximum.accumulate(np.where(np.concatenate([[True], group[1:] != group[:-1]]), i, 0))
-        new = np.concatenate([[True], key[1:] != key[:-1]])
-        sub = np.maximum.accumulate(np.where(new, i, 0))
-        rank[at] = group + sub - head
-        open_ = np.sort(at[np.append(~new[1:], False) | ~new])
-        step *= 2
-    out = np.empty(m, np.int64)
-    out[rank] = np.arange(m)
-    return out
+    n = len(s)
+    size = np.bincount(s, minlength=symbols)
+    after = np.cumsum(size)
+    slots = np.full(n, -1, np.int32)
+    c = s[seeds]
+    order = np.argsort(c, kind="stable")
+    many = np.bincount(c, minlength=symbols)
+    place = np.arange(len(seeds)) - np.repeat(np.cumsum(many) - many, many) + np.repeat(after - many, many)
+    slots[place] = seeds[order]
+    down = ~up
+    _scan(slots, s, down, after - size)
+    slots[place] = -1
+    # the mirror image: from the last slot to the first, symbols counted from the largest
+    slots[0] = n - 1  # the end mark
+    mirror = (symbols - 1 - s.astype(np.int32)).astype(s.dtype)
+    _scan(slots[::-1], mirror, up & (np.arange(n) < n - 1), (n - after)[::-1].copy())
+    return slots
 
 
 def _names(s: np.ndarray, lead: np.ndarray, order: np.ndarray) -> np.ndarray:
@@ -139,7 +122,7 @@ def _sorted(s: np.ndarray, symbols: int) -> np.ndarray:
         named = np.empty(n, np.int32)
         named[order] = name
         names = named[lead]  # the last is that of the end mark, unique and least
-        order = lead[_sorted(names.astype(np.int16), int(name[-1]) + 1) if name[-1] < BUCKETS else _order_names(names)]
+        order = lead[_sorted(names.astype(np.int16 if name[-1] < 1 << 15 else np.int32), int(name[-1]) + 1)]
     return _induce(s, up, symbols, order)
 
 
