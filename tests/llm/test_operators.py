@@ -9,7 +9,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from tuneloom.llm import decontamination, language_id, license_scan, packing, phrase_automata, pseudonyms, quality_rules, secret_scan, simhash_dedup, suffix_dedup, suffix_sort
+from tuneloom.llm import decontamination, language_id, license_scan, packing, pseudonyms, quality_rules, secret_scan, simhash_dedup, suffix_sort
 from tuneloom.llm.queries import tokenizer_path
 
 rng = random.Random(7)
@@ -41,18 +41,6 @@ def keyed(rows):
     return sorted((tuple(r) for r in rows), key=str)
 
 
-def test_repeated_phrases(docs):
-    want = [(None if d == 2**63 - 1 else d, *r) for d, *r in phrase_automata.removed_by_brute_force([(2**63 - 1 if d is None else d, t) for d, t, _ in ROWS])]
-    assert keyed(phrase_automata.digest(docs).collect()) == keyed(want)
-
-
-def test_repeated_bytes(docs):
-    rows = [(2**63 - 1 if d is None else d, t) for d, t, _ in ROWS]
-    want = {(d, *r) for d, *r in suffix_dedup.removed_by_brute_force(rows)}
-    got = {(2**63 - 1 if d is None else d, *r) for d, *r in map(tuple, suffix_dedup.digest(docs).collect())}
-    assert got == want
-
-
 def test_suffix_arrays():
     for n in list(range(1, 12)) + [60] * 60:
         b = bytes(rng.choice(b"ab\xff") for _ in range(n))

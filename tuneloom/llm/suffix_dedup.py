@@ -3,15 +3,20 @@
 1. Anchors (see winnowing) that recur are found by one shuffle of their hashes. Every string of `length` bytes that recurs
    lies in a stretch around a recurring anchor: the strings that begin at first .. last of that anchor.
 2. Equal stretches collapse: each distinct one is kept at its first place in the corpus, by an aggregation that combines
-   before the shuffle, so thousands of copies cost one text.
-3. The distinct stretches, dealt by anchor, make the shards. A shard's suffix array comes from induced sorting, its common
-   prefixes in permuted order; neighbours that share `length` bytes form groups, and all of a group but the earliest are
-   repeats.
-4. Each document marks its repeats: the whole stretch where it is not the first copy, else what its shard has found.
-
-Edges: a null or empty text has no bytes and is returned with zeros; a row with a null id counts as later than all others;
-repeated rows (equal id and text) count as one document and do not take from each other; texts shorter than `length` lose
-nothing; matches never cross documents.
+   before the shuffle, so thousands of copies cost one text. An anchor with one distinct stretch holds no string twice in it
+   (its strings begin at different distances from the anchor), so its text is not looked at again.
+3. The other distinct stretches, dealt by anchor, make the shards. A shard's suffix array comes from induced sorting, its
+   common prefixes in permuted order; neighbours that share `length` bytes form groups, and all of a group but the earliest
+   are repeats.
+4. Of anchors with more occurrences than a shard has room for, and of the heavy ones, no task gets all stretches: their
+   strings are dealt one by one, by the hash of their bytes, and an aggregation that combines before its shuffle finds the
+   first of each.
+5. Each document marks its repeats: the whole stretch where it is not the first copy, else what its shard has found.
+
+Edges: a null or empty text has no bytes and is returned with zeros; rows with a null id count as later than all others, and
+among themselves by a hash of their text; rows of equal id count as one document and are compared by place, so repeated rows
+do not take from each other; texts shorter than `length` lose nothing; matches never cross documents; texts of any length are
+read whole; an empty table gives no rows; ids must lie below 2^62.
 """
 
 from __future__ import annotations
@@ -21,23 +26,30 @@ import hashlib
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import batch_of, column, pieces, stored
 from .suffix_sort import common_prefixes, suffix_array
-from .winnowing import Bytes, among, anchors, batches_of, per_shard, recurring, shard_of, sharded
+from .winnowing import Bytes, among, anchors, batches_of, given_id, heavy, per_shard, recurring, shard_of, sharded
 
 ANCHOR_BYTES = 32
 
 
-def _stretches(text: Bytes, length: int, wanted: np.ndarray):
-    """(anchor, first, last, hash of the bytes first .. last + length - 1) of the runs with a wanted anchor."""
-    h, _, first, last = anchors(text.units, text.owner, ANCHOR_BYTES, length)
-    keep = among(h, wanted)
-    h, first, last = h[keep], first[keep], last[keep]
-    joined, digest = text.joined, xxhash.xxh3_64_intdigest
-    return h, first, last, np.array([digest(joined[a:b]) for a, b in zip(first.tolist(), (last + length).tolist())], np.uint64)
+class _Runs:
+    """The runs of one slice of texts whose anchors are wanted: as stretches, or as the single strings in them."""
+
+    def __init__(self, text: Bytes, length: int, whole: np.ndarray, single: np.ndarray):
+        h, _, first, last = anchors(text.units, text.owner, ANCHOR_BYTES, length)
+        apart = among(h, single)
+        keep = among(h, whole) & ~apart
+        self.h, self.first, self.last = h[keep], first[keep], last[keep]
+        joined, digest = text.joined, xxhash.xxh3_64_intdigest
+        self.mark = np.array([digest(joined[a:b]) for a, b in zip(self.first.tolist(), (self.last + length).tolist())], np.uint64)
+        h, first, last = h[apart], first[apart], last[apart]
+        self.at = np.concatenate([np.arange(a, b + 1) for a, b in zip(first.tolist(), last.tolist())]) if len(h) else np.empty(0, np.int64)
+        self.string_h = np.repeat(h, last - first + 1)
+        self.string_mark = np.array([digest(joined[a : a + length]) for a in self.at.tolist()], np.uint64)
 
 
 def repeats_in_shard(texts: list[bytes], doc: np.ndarray, pos: np.ndarray, length: int) -> list[list[int]]:
@@ -69,14 +81,24 @@ def repeats_in_shard(texts: list[bytes], doc: np.ndarray, pos: np.ndarray, lengt
     return out
 
 
-def cleaned(docs: DataFrame, length: int = 100, id_col: str = "doc_id", text_col: str = "text", shard_bytes: int = 2 << 20) -> DataFrame:
+def _distinct(h, mark, doc) -> tuple[np.ndarray, np.ndarray]:
+    """(rows, how many) of the distinct (h, mark, doc)."""
+    order = np.lexsort((doc, mark, h))
+    h, mark, doc = h[order], mark[order], doc[order]
+    new = np.flatnonzero(np.concatenate([[True], (h[1:] != h[:-1]) | (mark[1:] != mark[:-1]) | (doc[1:] != doc[:-1])]))
+    return order[new], np.diff(np.append(new, len(h)))
+
+
+def cleaned(docs: DataFrame, length: int = 100, id_col: str = "doc_id", text_col: str = "text", shard_bytes: int = 2 << 20, most: int = 1000, least: int = 1000) -> DataFrame:
     """(doc_id, n_bytes, n_removed, n_spans, kept): each row of docs without the bytes covered by strings of `length` bytes that
-    also start earlier. kept: the bytes left."""
+    also start earlier. kept: the bytes left. most, least: see heavy()."""
     parts, n_shards = sharded(docs, id_col, text_col)
+    hot = np.sort(np.array([k & ((1 << 64) - 1) for k in heavy(parts, Bytes, ANCHOR_BYTES, length, most, least)], np.uint64))  # at most `most`
+    room = max(1, shard_bytes // (2 * length))  # stretches of one anchor that a shard can hold
     anchor_schema = pa.schema([("anchor", pa.int64()), ("shard", pa.int32()), ("n", pa.int32())])
-    copy_schema = pa.schema([("shard", pa.int32()), ("anchor", pa.int64()), ("h", pa.int64()), ("doc", pa.int64())])
+    copy_schema = pa.schema([("shard", pa.int32()), ("anchor", pa.int64()), ("h", pa.int64()), ("doc", pa.int64()), ("n", pa.int32()), ("single", pa.bool_())])
     text_schema = pa.schema([("anchor", pa.int64()), ("h", pa.int64()), ("doc", pa.int64()), ("pos", pa.int64()), ("stretch", pa.binary())])
-    repeat_schema = pa.schema([("anchor", pa.int64()), ("h", pa.int64()), ("owner", pa.int64()), ("pos", pa.int64()), ("starts", pa.list_(pa.int32()))])
+    repeat_schema = pa.schema([("anchor", pa.int64()), ("h", pa.int64()), ("owner", pa.int64()), ("starts", pa.list_(pa.int32()))])
     final_schema = pa.schema([("doc", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept", pa.binary())])
 
     def find_anchors(batches):
@@ -86,6 +108,8 @@ def cleaned(docs: DataFrame, length: int = 100, id_col: str = "doc_id", text_col
             for a, b in batches_of(bodies):
                 text = Bytes(bodies[a:b])
                 h, place, _, _ = anchors(text.units, text.owner, ANCHOR_BYTES, length)
+                cold = ~among(h, hot)
+                h, place = h[cold], place[cold]
                 if not len(h):
                     continue
                 s = shard[a:b][text.owner[place]]
@@ -94,62 +118,60 @@ def cleaned(docs: DataFrame, length: int = 100, id_col: str = "doc_id", text_col
                 new = np.flatnonzero(np.concatenate([[True], (h[1:] != h[:-1]) | (s[1:] != s[:-1])]))
                 yield batch_of(anchor_schema, [h[new].view(np.int64), s[new], np.diff(np.append(new, len(h))).astype(np.int32)])
 
-    again = stored(recurring(parts.mapInArrow(find_anchors, "anchor long, shard int, n int")), "anchors").select("shard", "anchor")
+    again = recurring(parts.mapInArrow(find_anchors, "anchor long, shard int, n int"))
+    again = stored(again.select("shard", "anchor", (F.col("total") > room).alias("single")), "anchors")
 
     def wanted_of(side):
-        return np.unique(np.asarray(side.column("anchor").combine_chunks()).view(np.uint64))
+        """(anchors of stretches, anchors of single strings)"""
+        anchor = np.asarray(side.column("anchor").combine_chunks()).view(np.uint64)
+        single = side.column("single").combine_chunks().to_numpy(zero_copy_only=False).astype(bool)
+        return np.unique(anchor[~single]), np.union1d(anchor[single], hot)
 
     def find_copies(docs_, side):
-        wanted, out = wanted_of(side), []
+        (whole, single), out = wanted_of(side), []
         bodies, doc = docs_.column("body").to_pylist(), np.asarray(docs_.column("doc").combine_chunks())
         shard = docs_.column("shard")[0].as_py() if docs_.num_rows else 0
-        for a, b in batches_of(bodies) if len(wanted) else ():
+        for a, b in batches_of(bodies) if len(whole) or len(single) else ():
             text = Bytes(bodies[a:b])
-            h, first, _, mark = _stretches(text, length, wanted)
-            if len(h):
-                d = doc[a:b][text.owner[first]]
-                order = np.lexsort((d, mark, h))
-                h, mark, d = h[order], mark[order], d[order]
-                new = np.concatenate([[True], (h[1:] != h[:-1]) | (mark[1:] != mark[:-1])])
-                out.append(batch_of(copy_schema, [np.full(new.sum(), shard, np.int32), h[new].view(np.int64), mark[new].view(np.int64), d[new]]))
+            runs = _Runs(text, length, whole, single)
+            for apart, h, mark, at in ((False, runs.h, runs.mark, runs.first), (True, runs.string_h, runs.string_mark, runs.at)):
+                if len(h):
+                    d = doc[a:b][text.owner[at]]
+                    k, n = _distinct(h, mark, d)
+                    out.append(batch_of(copy_schema, [np.full(len(k), shard, np.int32), h[k].view(np.int64), mark[k].view(np.int64), d[k], n.astype(np.int32), np.full(len(k), apart)]))
         return pa.Table.from_batches(out, copy_schema)
 
-    copies = stored(per_shard(parts, again, find_copies, "shard int, anchor long, h long, doc long"), "copies")
-    owned = copies.groupBy("anchor", "h").agg(F.min("doc").alias("owner"))
-    owned = owned.select(shard_of(F.col("owner"), n_shards).alias("shard"), "anchor", "h", "owner")
+    copies = stored(per_shard(parts, again, find_copies, "shard int, anchor long, h long, doc long, n int, single boolean"), "copies")
+    by_place = copies.filter("not single").groupBy("anchor", "h").agg(F.min("doc").alias("owner"))
+    owned = stored(by_place.withColumn("alone", F.count(F.lit(1)).over(Window.partitionBy("anchor")) == 1), "owned")
+    contested = owned.filter("not alone").select(shard_of(F.col("owner"), n_shards).alias("shard"), "anchor", "h", "owner", F.lit(False).alias("single"))
 
-    def find_texts(docs_, side):
-        wanted = wanted_of(side)
+    def known_of(side, *columns):
         pairs = zip(np.asarray(side.column("anchor").combine_chunks()).view(np.uint64).tolist(), np.asarray(side.column("h").combine_chunks()).view(np.uint64).tolist())
-        owner_of = dict(zip(pairs, side.column("owner").to_pylist()))
+        return dict(zip(pairs, zip(*(side.column(c).to_pylist() for c in columns))))
+
+    def find_texts(docs_, side):
+        whole, _ = wanted_of(side)
+        owner_of, first = known_of(side, "owner"), {}
         bodies, doc = docs_.column("body").to_pylist(), docs_.column("doc").to_pylist()
-        out = [[], [], [], [], []]
-        for a, b in batches_of(bodies) if len(wanted) else ():
+        for a, b in batches_of(bodies) if len(whole) else ():
             text = Bytes(bodies[a:b])
-            h, first, last, mark = _stretches(text, length, wanted)
-            for k, (x, y, lo, hi) in enumerate(zip(h.tolist(), mark.tolist(), first.tolist(), last.tolist())):
+            runs = _Runs(text, length, whole, whole[:0])
+            for x, y, lo, hi in zip(runs.h.tolist(), runs.mark.tolist(), runs.first.tolist(), runs.last.tolist()):
                 own = int(text.owner[lo])
-                if owner_of.get((x, y)) == doc[a + own]:
-                    owner_of[x, y] = None  # only its first place
-                    for c, v in zip(out, (int(h[k].view(np.int64)), int(mark[k].view(np.int64)), doc[a + own], lo - int(text.base[own]), text.joined[lo : hi + length])):
-                        c.append(v)
-        return pa.Table.from_batches([batch_of(text_schema, out)], text_schema)
+                pos = lo - int(text.base[own])
+                if owner_of.get((x, y)) == (doc[a + own],) and ((x, y) not in first or pos < first[x, y][1]):  # only its first place
+                    first[x, y] = (doc[a + own], pos, text.joined[lo : hi + length])
+        signed = lambda i: np.array([k[i] for k in first], np.uint64).view(np.int64)
+        return pa.Table.from_batches([batch_of(text_schema, [signed(0), signed(1), *([v[i] for v in first.values()] for i in range(3))])], text_schema)
 
-    texts = per_shard(parts, owned, find_texts, "anchor long, h long, doc long, pos long, stretch binary")
+    texts = per_shard(parts, contested, find_texts, "anchor long, h long, doc long, pos long, stretch binary")
 
     def sort_shards(batches):
         held, size, last = [], 0, None
         for batch in batches:
-            anchor = np.asarray(batch.column(0))
-            # an anchor with one distinct stretch holds no string twice: its strings begin at different distances from it
-            alone = np.concatenate([[False], anchor[1:] != anchor[:-1], [False]])
-            alone = alone[:-1] & alone[1:]
-            if alone.any():
-                one = batch.filter(pa.array(alone))
-                yield batch_of(repeat_schema, [*(column(one, c) for c in ("anchor", "h", "doc", "pos")), [[]] * one.num_rows])
-                batch = batch.filter(pa.array(~alone))
             for row in zip(*(column(batch, c) for c in ("anchor", "h", "doc", "pos", "stretch"))):
-                if size > shard_bytes and row[0] != last:
+                if size > shard_bytes and row[0] != last:  # one anchor's stretches stay together; they are at most `room`
                     yield solved(held)
                     held, size = [], 0
                 held.append(row)
@@ -161,26 +183,42 @@ def cleaned(docs: DataFrame, length: int = 100, id_col: str = "doc_id", text_col
     def solved(rows):
         anchor, h, doc, pos, stretch = zip(*rows)
         starts = repeats_in_shard(list(stretch), np.array(doc, np.int64), np.array(pos, np.int64), length)
-        return batch_of(repeat_schema, [anchor, h, doc, pos, starts])
+        return batch_of(repeat_schema, [anchor, h, doc, starts])
 
-    repeats = texts.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(sort_shards, "anchor long, h long, owner long, pos long, starts array<int>")
-    sent = copies.select("shard", "anchor", "h").join(repeats, ["anchor", "h"]).select("shard", "anchor", "h", "owner", "pos", "starts")
+    repeats = texts.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(sort_shards, "anchor long, h long, owner long, starts array<int>")
+    nothing = F.array().cast("array<int>").alias("starts")
+    repeats = repeats.unionByName(owned.filter("alone").select("anchor", "h", "owner", nothing))
+    sent = copies.filter("not single").select("shard", "anchor", "h").distinct().join(repeats, ["anchor", "h"]).withColumn("single", F.lit(False))
+    # a string that stands at several places, be it in one document
+    strings = copies.filter("single").groupBy("anchor", "h").agg(F.min("doc").alias("owner"), F.sum("n").alias("n")).filter("n > 1").select("anchor", "h", "owner", nothing)
+    sent = sent.unionByName(copies.filter("single").select("shard", "anchor", "h").distinct().join(strings, ["anchor", "h"]).withColumn("single", F.lit(True)))
 
     def remove(docs_, side):
-        wanted = wanted_of(side)
-        pairs = zip(np.asarray(side.column("anchor").combine_chunks()).view(np.uint64).tolist(), np.asarray(side.column("h").combine_chunks()).view(np.uint64).tolist())
-        known = dict(zip(pairs, zip(*(side.column(c).to_pylist() for c in ("owner", "pos", "starts")))))
+        whole, single = wanted_of(side)
+        known = known_of(side, "owner", "starts")
         bodies, doc = docs_.column("body").to_pylist(), docs_.column("doc").to_pylist()
         out = [doc, [len(b) for b in bodies], [0] * len(bodies), [0] * len(bodies), bodies]
+        slices, first = [], {}
         for a, b in batches_of(bodies) if known else ():
             text = Bytes(bodies[a:b])
-            h, first, last, mark = _stretches(text, length, wanted)
+            runs = _Runs(text, length, whole, single)
+            rows = []
+            for h, mark, los, his in ((runs.h, runs.mark, runs.first, runs.last), (runs.string_h, runs.string_mark, runs.at, runs.at)):
+                for x, y, lo, hi in zip(h.tolist(), mark.tolist(), los.tolist(), his.tolist()):
+                    if (x, y) in known:
+                        own = int(text.owner[lo])
+                        pos = lo - int(text.base[own]) if known[x, y][0] == doc[a + own] else -1
+                        if pos >= 0:
+                            first[x, y] = min(pos, first.get((x, y), pos))
+                        rows.append((x, y, lo, hi, pos))
+            if rows:
+                slices.append((a, text, rows))
+        for a, text, rows in slices:
             edge = np.zeros(len(text.units) + 1, np.int32)
             lo_, hi_ = [], []
-            for x, y, lo, hi in zip(h.tolist(), mark.tolist(), first.tolist(), last.tolist()):
-                owner, pos, starts = known[x, y]
-                own = int(text.owner[lo])
-                if owner == doc[a + own] and pos == lo - int(text.base[own]):
+            for x, y, lo, hi, pos in rows:
+                if pos >= 0 and pos == first[x, y]:
+                    starts = known[x, y][1]
                     lo_ += [lo + s for s in starts[::2]]
                     hi_ += [lo + s + length for s in starts[1::2]]
                 else:
@@ -199,7 +237,7 @@ def cleaned(docs: DataFrame, length: int = 100, id_col: str = "doc_id", text_col
         return pa.Table.from_batches([batch_of(final_schema, out)], final_schema)
 
     done = per_shard(parts, sent, remove, "doc long, n_bytes long, n_removed long, n_spans long, kept binary")
-    return done.select(F.when(F.col("doc") < 2**63 - 1, F.col("doc")).alias("doc_id"), "n_bytes", "n_removed", "n_spans", "kept")
+    return done.select(given_id(F.col("doc")).alias("doc_id"), "n_bytes", "n_removed", "n_spans", "kept")
 
 
 def digest(docs: DataFrame, length: int = 100) -> DataFrame:

@@ -3,17 +3,25 @@
 Equal windows of `width` units have the same anchor, the n-gram of smallest hash inside them (the leftmost of equals), at
 the same place. So a window that recurs has an anchor that recurs, and only about 2 / (width - n + 2) of the positions are
 anchors: finding what may recur costs a small part of a shuffle of all windows, and misses nothing.
+
+An anchor that a large share of all texts hold would fill one task of that shuffle. Such heavy anchors are counted before; they
+are few, every task knows them, and what they anchor is dealt by whole windows instead.
 """
 
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import batch_of, column, pieces
+
 _BASE, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 PLACE_BITS = 24
+#: Ids from here on stand for null ids.
+NULL_IDS = 1 << 62
 
 
 def ngram_hashes(units: np.ndarray, n: int) -> np.ndarray:
@@ -112,6 +120,9 @@ class Bytes:
         self.owner = np.repeat(np.arange(len(bodies), dtype=np.int32), self.counts)
         self.base = np.concatenate([[0], np.cumsum(self.counts)])
 
+    def text(self, a: int, b: int) -> bytes:
+        return self.joined[a:b]
+
 
 def batches_of(bodies: list[bytes], limit: int = 1 << 16):
     """Index ranges of bodies of about `limit` bytes each, so that the arrays over them stay in the processor's cache."""
@@ -125,12 +136,23 @@ def batches_of(bodies: list[bytes], limit: int = 1 << 16):
         yield start, len(bodies)
 
 
+def document(id_col: str, body):
+    """The id of a row as a long. A null id counts as later than all others: it is a number of 2^62 or more, from the text."""
+    given = F.col(id_col).cast("long")
+    late = F.xxhash64(body).bitwiseAND(F.lit(NULL_IDS - 1)) + F.lit(NULL_IDS)
+    return F.when(given.isNull(), late).when(given < NULL_IDS, given).otherwise(F.raise_error(F.lit("document ids must lie below 2^62")).cast("long"))
+
+
+def given_id(doc):
+    return F.when(doc < NULL_IDS, doc)
+
+
 def sharded(docs: DataFrame, id_col: str, text_col: str, shard_bytes: int = 4 << 20) -> tuple[DataFrame, int]:
-    """(shard, doc, body) with so many shards that each holds about shard_bytes of text; doc: a null id sorts last."""
+    """(shard, doc, body) with so many shards that each holds about shard_bytes of text."""
     body = F.coalesce(F.col(text_col), F.lit("")).cast("binary")
     total = docs.agg(F.sum(F.octet_length(F.col(text_col)).cast("long"))).first()[0] or 0
     n = max(1, -(-total // shard_bytes))
-    doc = F.coalesce(F.col(id_col).cast("long"), F.lit(2**63 - 1))
+    doc = document(id_col, body)
     return docs.select(shard_of(doc, n).alias("shard"), doc.alias("doc"), body.alias("body")), n
 
 
@@ -138,13 +160,44 @@ def shard_of(doc, n: int):
     return F.pmod(F.xxhash64(doc), F.lit(n)).cast("int")
 
 
-def recurring(found: DataFrame) -> DataFrame:
-    """The rows (anchor, shard, lo, hi, n) of anchors that occur more than once in the corpus.
+def heavy(parts: DataFrame, kind: type, n: int, width: int, most: int = 1000, least: int = 1000) -> dict[int, bytes]:
+    """{anchor: its text} of the at most `most` anchors that hold over one in `most` of all places, and over `least`.
 
-    One shuffle on the anchor; a hot anchor has at most one row for each task and shard.
+    Each task keeps a summary of `most` counters over all its texts (counts are merged, and all but the largest `most` lose
+    what the next one has), so an anchor left out holds at most two in `most` of all.
     """
+    out = pa.schema([("anchor", pa.int64()), ("n", pa.int64()), ("phrase", pa.binary())])
+
+    def count(batches):
+        keys, sizes, shown, seen = np.empty(0, np.uint64), np.empty(0, np.int64), {}, 0
+        for batch in pieces(batches, "body", 1 << 20):
+            bodies = column(batch, "body")
+            for a, b in batches_of(bodies):
+                text = kind(bodies[a:b])
+                h, place, _, _ = anchors(text.units, text.owner, n, width)
+                seen += len(h)
+                new, at, times = np.unique(h, return_index=True, return_counts=True)
+                both, where = np.unique(np.concatenate([keys, new]), return_inverse=True)
+                total = np.bincount(where, weights=np.concatenate([sizes, times]), minlength=len(both)).astype(np.int64)
+                if len(both) > most:
+                    total -= np.partition(total, -most - 1)[-most - 1]
+                keep = total > 0
+                keys, sizes = both[keep], total[keep]
+                fresh = dict(zip(new.tolist(), at.tolist()))
+                shown = {k: shown[k] if k in shown else text.text(int(place[fresh[k]]), int(place[fresh[k]]) + n) for k in keys.tolist()}
+        yield batch_of(out, [[None, *keys.view(np.int64).tolist()], [seen, *sizes.tolist()], [None, *(shown[k] for k in keys.tolist())]])
+
+    rows = parts.mapInArrow(count, "anchor long, n long, phrase binary").groupBy("anchor").agg(F.sum("n").alias("n"), F.max("phrase").alias("phrase"))
+    rows = rows.orderBy(F.desc("n"), "anchor").limit(most + 1).collect()
+    total = sum(r["n"] for r in rows if r["anchor"] is None)
+    return {r["anchor"]: bytes(r["phrase"]) for r in rows if r["anchor"] is not None and r["n"] > least and r["n"] * most > total}
+
+
+def recurring(found: DataFrame) -> DataFrame:
+    """The rows (anchor, shard, n) of anchors that occur more than once in the corpus, with their total. One shuffle on the
+    anchor; the heavy ones are not among them, so a task's share of one anchor is bounded."""
     total = F.sum("n").over(Window.partitionBy("anchor"))
-    return found.withColumn("total", total).filter("total > 1").drop("total")
+    return found.withColumn("total", total).filter("total > 1")
 
 
 def per_shard(docs: DataFrame, side: DataFrame, fn, schema: str) -> DataFrame:
