@@ -117,19 +117,29 @@ def test_golay_radius_two():
         assert (keys[:, :1] == other).any(1).all() and (keys == other[:, :1]).any(1).all()
 
 
-def test_quality_base(docs):
+def quality_texts():
+    line = "ein Satz mit Umlauten äöü und noch viel mehr Wörtern darin"
+    texts = [t for _, t, _ in ROWS] + ["\n".join([line] * 3 + [prose(60)]), "\n".join([line + "   "] * 2 + [line, prose(200)]), prose(80) + " # * $ % & | < > ###"]
+    for n in (4, 5, 6, 7, 8, 9, 10, 12):
+        part = " ".join(f"{n}é{i}" for i in range(n))
+        texts += [" ".join(f"u{i}" for i in range(m)) + (" " + part) * 2 for m in (20, 50, 60, 90)]
+    return texts
+
+
+def test_quality_equals_brute_force(spark, empty):
+    texts = quality_texts()
+    docs = spark.createDataFrame([(i, t, True) for i, t in enumerate(texts)] + [(None, texts[0], False)], "doc_id long, text string, kept boolean").repartition(3)
+    kept = 0
     for r in quality_rules.judge(docs).collect():
-        text = next(t for d, t, _ in ROWS if d == r["doc_id"]) or ""
-        words = text.encode().split()
-        assert r["n_words"] == len(words) and r["word_chars"] == sum(len(w.decode()) for w in words)
-        lines = [x for x in text.split("\n") if x.encode().split()]
-        assert r["n_dup_lines"] == len(lines) - len(set(lines))
-        grams = [tuple(words[i : i + 3]) for i in range(len(words) - 2)]
-        inside = {j for i, g in enumerate(grams) if grams.count(g) > 1 for j in range(i, i + 3)}
-        assert r["n_repeat_words"] == len(inside)
-        assert r["base_failed"] == (len(words) < 50 or 100 * len(inside) > 50 * len(words))
-        assert not (r["kept"] and r["base_failed"])
-    assert quality_rules.keep_good(docs).columns == docs.columns
+        want = quality_rules.judged_by_brute_force(texts[r["doc_id"] or 0])
+        kept += want["kept"]
+        for c, v in want.items():
+            assert r[c] == v or isinstance(v, float) and abs(r[c] - v) < 1e-9, (c, r, v)
+    assert 5 < kept < len(texts) - 5
+    good = quality_rules.keep_good(docs)
+    assert good.columns == docs.columns and {r["doc_id"] for r in good.collect()} >= {i for i, t in enumerate(texts) if quality_rules.judged_by_brute_force(t)["kept"]}
+    assert good.count() == kept
+    assert quality_rules.judge(empty).count() == quality_rules.keep_good(empty).count() == 0
 
 
 def test_packing_round_trip(docs, empty):

@@ -1,14 +1,17 @@
 """Repetition coverage of documents by rolling n-gram hashes in numpy.
 
 Word hashes of many documents lie in one array. The hash of an n-gram follows from that of the (n-1)-gram by one
-multiplication and one addition; a document number mixed into it keeps repetitions inside their document.
+multiplication and one addition; a document number mixed into it keeps repetitions inside their document. All shares are
+code points in words, of n-grams and of lines alike, over the code points in words of the text.
 
 Edges: a null or empty text has no words, fails the base rules and is not kept; ties and repeated rows are judged
-one by one; a text of any length is read whole.
+one by one; a text of any length is read whole; an empty table gives an empty result; a null id stays null.
 """
 
 from __future__ import annotations
 
+from collections import Counter
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -78,9 +81,10 @@ def measures(texts: list[str | None]) -> dict[str, np.ndarray]:
         lines = [x for x in raw.split(b"\n") if x.strip()]
         if len(set(lines)) < len(lines):
             n_dup[i] = len(lines) - len(set(lines))
-            dup_chars[i] = sum(map(len, lines)) - sum(map(len, set(lines)))
+            dup_chars[i] = sum((n - 1) * sum(len(w.decode()) for w in x.split()) for x, n in Counter(lines).items() if n > 1)
         hashes.append(np.fromiter(map(digest, words), np.uint64, len(words)))
-        lengths.append(np.fromiter(map(len, words), np.int64, len(words)))
+        sizes = map(len, words) if len(raw) == len(text) else (len(w.decode()) for w in words)
+        lengths.append(np.fromiter(sizes, np.int64, len(words)))
     doc = np.repeat(np.arange(docs), n_words)
     words = np.concatenate(hashes) if hashes else np.empty(0, np.uint64)
     chars = np.concatenate(lengths) if lengths else np.empty(0, np.int64)
@@ -121,3 +125,34 @@ def keep_good(docs: DataFrame, text_col: str = "text") -> DataFrame:
             yield batch.filter(pa.array(measures(column(batch, text_col))["kept"]))
 
     return docs.mapInArrow(run, docs.schema)
+
+
+def judged_by_brute_force(text: str | None) -> dict:
+    """The measures of one text word by word, for small fixtures."""
+    raw = (text or "").encode()
+    words = [w.decode() for w in raw.split()]
+    lines = [x for x in raw.split(b"\n") if x.split()]
+    total = max(1, sum(map(len, words)))
+
+    def inside(n: int, least: int) -> set[int]:
+        """Words in windows of n words that are at least the least-th of their kind (least 0: of a kind that recurs)."""
+        seen, grams = Counter(), [tuple(words[i : i + n]) for i in range(len(words) - n + 1)]
+        many, hit = Counter(grams), set()
+        for i, g in enumerate(grams):
+            seen[g] += 1
+            if many[g] > 1 and seen[g] >= least:
+                hit.update(range(i, i + n))
+        return hit
+
+    later = {n: sum(len(words[i]) for i in inside(n, 2)) / total for n in LATER}
+    dup, seen = 0, set()
+    for x in lines:
+        dup += sum(len(w.decode()) for w in x.split()) if x in seen else 0
+        seen.add(x)
+    symbols, repeat = sum(c in SYMBOLS for c in text or ""), len(inside(3, 0))
+    failed = len(words) < 50 or 100 * repeat > 50 * len(words)
+    bad = dup / total > LINE_CHARS or symbols > SYMBOL_SHARE * len(words) or any(later[n] > LATER[n] for n in LATER)
+    return {
+        "n_words": len(words), "word_chars": sum(map(len, words)), "n_symbols": symbols, "n_dup_lines": len(lines) - len(set(lines)), "n_repeat_words": repeat,
+        "base_failed": failed, "kept": not failed and not bad, "dup_line_chars": dup / total, "later_5gram_chars": later[5], "later_10gram_chars": later[10],
+    }
