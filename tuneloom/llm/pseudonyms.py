@@ -3,15 +3,15 @@ Feistel network.
 
 Each kind maps its valid values one to one onto 0 .. N-1, the network permutes that range (walking its cycle until the
 result lies inside), and the inverse map writes the result in the layout of the original. Equal values therefore get equal
-pseudonyms in every document, different values different ones, and every pseudonym is valid again. What fails validation
-is left as it is.
+pseudonyms in every document and layout (a day written in three ways is one day again, an address in capitals the same
+address), different values different ones, and every pseudonym is valid again. What fails validation is left as it is.
 
 A card or IBAN may be followed by more digits or capitals after a blank or hyphen. Where the match of such a number has
 groups, it is read up to the end of any of them: a card up to the first that makes it valid, an IBAN up to its country's
 length, else up to the last that makes it valid. Values are permuted again until they are read back to the same length.
 
 Edges: a 19-digit card in groups whose first 16 digits are by chance valid is read as one of 16; digits before a card may,
-with its new digits, form a valid number and are then not read back; a null text stays null; an empty text stays empty; matches that overlap are taken from the left, longest kind first;
+with its new digits, form a valid number and are then not read back; a date that could be day or month first is read day first; a null text stays null; an empty text stays empty; matches that overlap are taken from the left, longest kind first;
 repeated rows give repeated results; an empty table gives an empty result.
 """
 
@@ -145,42 +145,41 @@ def date(text: str, f: Feistel, back: bool) -> str | None:
             mo, d = d, mo
         if not (1900 <= y <= 2099 and 1 <= mo <= 12 and 1 <= d <= calendar.monthrange(y, mo)[1]):
             return None
-        if order == "ymd":
-            day = datetime.date.fromordinal(_FIRST_DAY + f(datetime.date(y, mo, d).toordinal() - _FIRST_DAY, _LAST_DAY - _FIRST_DAY + 1, "date", back))
-            return f"{day.year}{sep}{day.month:02}{sep}{day.day:02}"
-        # the day keeps its side of 12, so that the order of day and month is read again as it was
-        low = d <= 12
-        days = 12 if low else 19
-        v = f(((y - 1900) * 12 + mo - 1) * days + (d - 1 if low else d - 13), 200 * 12 * days, f"date{swap}{low}", back)
+        # one permutation of the days for all layouts; a day keeps its side of 12, so that the order of day and month is read
+        # again as it was
+        v, low = datetime.date(y, mo, d).toordinal() - _FIRST_DAY, d <= 12
         while True:
-            y, mo, d = v // (12 * days) + 1900, v // days % 12 + 1, v % days + (1 if low else 13)
-            if d <= calendar.monthrange(y, mo)[1]:
+            v = f(v, _LAST_DAY - _FIRST_DAY + 1, "date", back)
+            new = datetime.date.fromordinal(_FIRST_DAY + v)
+            if (new.day <= 12) == low:
                 break
-            v = f(v, 200 * 12 * days, f"date{swap}{low}", back)
-        one, two = (mo, d) if swap else (d, mo)
-        return f"{one:02}{sep}{two:02}{sep}{y}"
+        if order == "ymd":
+            return f"{new.year}{sep}{new.month:02}{sep}{new.day:02}"
+        one, two = (new.month, new.day) if swap else (new.day, new.month)
+        return f"{one:02}{sep}{two:02}{sep}{new.year}"
     return None
 
 
 def _classes(text: str) -> list[str]:
-    return ["0123456789" if c.isdigit() else "abcdefghijklmnopqrstuvwxyz" if c.islower() else "ABCDEFGHIJKLMNOPQRSTUVWXYZ" if c.isupper() else c for c in text]
+    return ["0123456789" if c.isdigit() else "abcdefghijklmnopqrstuvwxyz" if c.islower() else c for c in text]
 
 
 def mail(text: str, f: Feistel, back: bool) -> str | None:
-    """Letters and digits of the local part, each within its class; the domain stays."""
+    """Letters and digits of the local part, each within its class; the domain stays. Addresses that differ in case alone are one:
+    capitals stay where they were."""
     local, at, domain = text.partition("@")
-    kinds = _classes(local)
-    size = v = 0
-    size = 1
-    for c, k in zip(local, kinds):
+    plain = local.lower()
+    kinds = _classes(plain)
+    size, v = 1, 0
+    for c, k in zip(plain, kinds):
         if len(k) > 1:
             v, size = v * len(k) + k.index(c), size * len(k)
-    v = f(v, size, "mail" + re.sub("[a-z]", "a", re.sub("[A-Z]", "A", re.sub(r"[0-9]", "0", local))), back)
+    v = f(v, size, "mail" + re.sub("[a-z]", "a", re.sub("[0-9]", "0", plain)), back)
     out = []
-    for k in reversed(kinds):
+    for c, k in zip(reversed(local), reversed(kinds)):
         if len(k) > 1:
             v, r = divmod(v, len(k))
-            out.append(k[r])
+            out.append(k[r].upper() if c.isupper() else k[r])
         else:
             out.append(k)
     return "".join(reversed(out)) + at + domain
