@@ -1,12 +1,15 @@
 """License scan: normalised text against license templates by Dice coefficient over word bigrams.
 
-Units of comparison are each line, each block of neighbouring lines in which most bigrams are known from templates, and
-the whole text. The score is 2 * shared / (bigrams of unit + bigrams of template), as multisets. It can reach t only if
-the unit's size lies between t / (2 - t) and (2 - t) / t of the template's, so templates are kept by size and only those
-inside the bounds are scored.
-
-Edges: null and empty texts give no rows; equal scores are all reported; a repeated line is reported once for each place;
-repeated rows give repeated results; long texts are read whole.
+Units of comparison are each line, runs of lines, and the whole text. The score is 2 * shared / (bigrams of unit + bigrams of
+template), as multisets. It can reach t only if the unit's size lies between t / (2 - t) and (2 - t) / t of the template's, and
+only if it shares t / (2 - t) of the template's bigrams; so templates are kept by size, those that share too little with the
+whole text fall out, and windows of lines of a possible size are scored for the rest. Of one template the window of highest
+score is taken (the earliest and shortest of equals), and the search goes on before and behind it: licenses that follow each
+other, or have foreign lines inside, are all found.
+
+Edges: null and empty texts and an empty table give no rows; equal scores of several templates are all reported; a repeated
+line or license is reported once for each place; repeated rows give repeated results; a null id stays null; long texts are
+read whole.
 """
 
 from __future__ import annotations
@@ -14,6 +17,8 @@ from __future__ import annotations
 import re
 from bisect import bisect_left, bisect_right
 from collections import Counter
+from importlib import resources
+from pathlib import Path
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -78,6 +83,14 @@ TEMPLATES = {
     ],
 }
 
+
+
+def full_texts(folder: str | None = None) -> dict[str, list[str]]:
+    """Templates from the text files of a folder, named after them; read where the query is made."""
+    files = Path(folder).glob("*.txt") if folder else (f for f in resources.files(__package__).joinpath("license_texts").iterdir() if f.name.endswith(".txt"))
+    return {f.name.removesuffix(".txt") + "/full": [f.read_text(encoding="utf-8")] for f in files}
+
+
 _WORD = re.compile(r"[^\W_]+")
 
 
@@ -96,6 +109,11 @@ class Templates:
         self.entries, self.t = entries, threshold
         self.sizes = [c.total() for c, _ in entries]
         self.known = {g for c, _ in entries for g in c}
+        #: bigram -> templates that have it, and how often
+        self.uses: dict[tuple, list] = {}
+        for i, (c, _) in enumerate(entries):
+            for g, n in c.items():
+                self.uses.setdefault(g, []).append((i, n))
         #: a bigram's first words: lines without any of them need no look
         self.heads = {a for a, _ in self.known}
 
@@ -123,46 +141,91 @@ class Templates:
         top = max(out.values(), default=0)
         return [(name, dice, dice == top) for name, dice in sorted(out.items())]
 
+    def windows(self, lines: list[list[str]], i: int):
+        """(dice, first, last) of the windows of whole lines that meet template i, each the best of what the ones before leave."""
+        own, size = self.entries[i][0], self.sizes[i]
+        low, high = size * self.t / (2 - self.t), size * (2 - self.t) / self.t
+        flat = [x for w in lines for x in w]
+        starts = [0]
+        for w in lines:
+            starts.append(starts[-1] + len(w))
+        hit = [0]  # bigrams of the template up to each word
+        for g in zip(flat, flat[1:]):
+            hit.append(hit[-1] + (g in own))
+        least = self.t * (low + size) / 2
+        found, todo = [], [(0, len(lines))]
+        while todo:
+            lo, hi = todo.pop()
+            best = None
+            for a in range(lo, hi):
+                at = starts[a]
+                stop = min(starts[hi], at + int(high) + 1)  # words of the longest window
+                if stop - at < 2 or hit[stop - 1] - hit[at] < least - 1e-9:
+                    continue
+                counts, shared, done = Counter(), 0, at
+                for b in range(a, hi):
+                    end = starts[b + 1]
+                    if end - at - 1 > high + 1e-9:
+                        break
+                    for j in range(done, end - 1):
+                        g = flat[j], flat[j + 1]
+                        if (n := own.get(g)) and counts[g] < n:
+                            shared += 1
+                        counts[g] += 1
+                    done = max(done, end - 1)
+                    n = end - at - 1
+                    if n >= low - 1e-9 and n > 0:
+                        dice = 2 * shared / (n + size)
+                        if dice >= self.t and (best is None or dice > best[0]):
+                            best = dice, a, b
+            if best:
+                found.append(best)
+                todo += [(lo, best[1]), (best[2] + 1, hi)]
+        return found
+
     def scan(self, text: str):
         """(unit, first line, last line, license, dice, best) rows of a text."""
-        rows, lines = [], text.split("\n")
-        block: list[tuple[int, list[str]]] = []
-        heads, longest = self.heads, self.sizes[-1] if self.sizes else 0
-        total, every = 0, []
-
-        def close():
-            if len(block) > 1:
-                joined = [x for _, w in block for x in w]
-                rows.extend(("block", block[0][0], block[-1][0], *hit) for hit in self.score(joined))
-            block.clear()
-
-        most = (2 - self.t) / self.t * longest + 1  # words of the longest unit that can match
+        rows, lines, places = [], text.split("\n"), []
+        heads, known = self.heads, self.known
+        kept, looked = [], False
         for no, line in enumerate(lines):
-            w = words(line)
-            total += len(w)
-            if total <= most:
-                every.extend(w)
-            if not w:
-                continue
-            if heads.isdisjoint(w):
-                close()
+            if not (w := words(line)):
                 continue
-            rows.extend(("line", no, no, *hit) for hit in self.score(w))
-            if 2 * sum(g in self.known for g in zip(w, w[1:])) >= len(w) - 1:
-                block.append((no, w))
-            else:
-                close()
-        close()
-        if len(lines) > 1 and total <= most:  # a larger text is outside every template's size bounds
+            kept.append(w)
+            places.append(no)
+            if not heads.isdisjoint(w):
+                looked = True
+                rows.extend(("line", no, no, *hit) for hit in self.score(w))
+        if not looked:
+            return rows
+        every = [x for w in kept for x in w]
+        if len(lines) > 1:  # a text too large for every template has no template inside its size bounds
             rows.extend(("text", 0, len(lines) - 1, *hit) for hit in self.score(every))
+        if len(kept) > 1:
+            counts = Counter(g for g in zip(every, every[1:]) if g in known)
+            shared: Counter = Counter()
+            for g, n in counts.items():
+                for i, m in self.uses[g]:
+                    shared[i] += min(n, m)
+            blocks = []
+            for i, n in shared.items():
+                if n >= self.t / (2 - self.t) * self.sizes[i] - 1e-9:
+                    blocks += [(places[a], places[b], dice, self.entries[i][1]) for dice, a, b in self.windows(kept, i) if b > a]
+            top: dict[tuple, float] = {}
+            for a, b, dice, name in blocks:
+                top[a, b, name] = max(dice, top.get((a, b, name), 0))
+            for (a, b, name), dice in sorted(top.items()):
+                # no other license scores more on lines that this one covers
+                first = all(d <= dice for (x, y, _), d in top.items() if x <= b and y >= a)
+                rows.append(("block", a, b, name, dice, first))
         return rows
 
 
 def scan(docs: DataFrame, threshold: float = 0.8, templates: dict[str, list[str]] | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, unit, first_line, last_line, license, dice, best): every unit of every text that meets a template; best marks
-    the highest score of a unit."""
+    the highest score of a unit. templates: name -> texts; without any, the notices above and the full texts beside this file."""
     out = pa.schema([("doc_id", pa.int64()), ("unit", pa.string()), ("first_line", pa.int64()), ("last_line", pa.int64()), ("license", pa.string()), ("dice", pa.float64()), ("best", pa.bool_())])
-    texts = templates or TEMPLATES
+    texts = templates or TEMPLATES | full_texts()
 
     def run(batches):
         known = Templates(texts, threshold)
