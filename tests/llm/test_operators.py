@@ -245,9 +245,6 @@ def test_secrets(spark, empty):
     assert secret_scan.scan(empty, forest).count() == 0
     plan = secret_scan.scan(docs, forest)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Exchange" not in plan
-    fresh = secret_scan.labelled_findings(spark, 8000).filter("pmod(xxhash64(token), 4) = 0")  # mostly unseen tokens
-    ok = fresh.select((F.col("label") == (forest(secret_scan.features(F.col("token"), F.col("before"), F.col("after"))) >= 0.5).cast("double")).cast("double").alias("ok")).agg(F.avg("ok")).first()[0]
-    assert ok > 0.9
 
 
 def test_language(spark, docs, empty):

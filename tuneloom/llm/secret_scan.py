@@ -7,7 +7,7 @@ forest is compiled to one SQL expression, so candidates are scored, and secrets
 no join, whatever the skew.
 
 Edges: null and empty texts have no candidates and stay as they are; repeated rows and repeated candidates are judged one by
-one; a text of any length is scanned whole.
+one; a text of any length is scanned whole; an empty table gives no rows; a null id stays null.
 """
 
 from __future__ import annotations
@@ -77,8 +77,9 @@ def candidates(text: Column) -> Column:
     return F.filter(rows, lambda r: r["token"].rlike("[0-9]") | (r["token"].rlike("[a-z][A-Z]") & r["token"].rlike("[A-Z].*[A-Z]")))
 
 
-def labelled_findings(spark: SparkSession, n: int = 6000) -> DataFrame:
-    """n labelled findings (token, before, after, label), written by rule: half secrets, half what only looks like one."""
+def labelled_findings(spark: SparkSession, n: int = 6000, first: int = 0) -> DataFrame:
+    """n labelled findings (token, before, after, label), written by rule: half secrets, half what only looks like one. A finding
+    follows from its number; those from `first` on have other tokens than those before."""
     r = lambda salt: F.pmod(F.xxhash64("id", F.lit(salt)), F.lit(1 << 30)).cast("int")
     pick = lambda salt, *choices: F.element_at(F.array(*(c if isinstance(c, Column) else F.lit(c) for c in choices)), r(salt) % len(choices) + 1)
     hexa = lambda salt: F.sha2(F.concat(F.col("id"), F.lit(salt)), 256)
@@ -96,7 +97,7 @@ def labelled_findings(spark: SparkSession, n: int = 6000) -> DataFrame:
     after = F.concat(F.regexp_extract(F.col("before"), "[\"']$", 0), F.lit(" "), word("v3"))
     # a tenth of the secrets stand in calm surroundings, a tenth of the sham ones behind a secret's name but with a word's or number's form
     odd = r("odd") % 10 == 0
-    rows = spark.range(0, n, 1, 2).withColumn("label", (F.col("id") % 2).cast("double"))
+    rows = spark.range(first, first + n, 1, 2).withColumn("label", (F.col("id") % 2).cast("double"))
     form = pick("sham2", camel, snake, F.repeat(pick("rep", "0", "x1", "ab0"), 16 + r("size") % 9), F.lit("your_token_goes_here_123"), F.lit("XXXXXXXXXXXXXXXX0000"))
     rows = rows.withColumn("token", F.when(F.col("label") == 1, F.when(odd, F.left(base("c"), size)).otherwise(secret)).when(odd, form).otherwise(harmless))
     rows = rows.withColumn("before", F.when((F.col("label") == 1) != odd, before).otherwise(calm))
