@@ -86,8 +86,8 @@ def test_golay_links_up_to_four_bits(spark):
         for n in (1, 2, 3, 4, 5):
             fps.append(x ^ np.uint64(sum(1 << int(b) for b in r.choice(64, n, replace=False))))
     fps = np.unique(np.array(fps, np.uint64))
-    nodes = spark.createDataFrame([(int(i), int(f)) for i, f in enumerate(fps.view(np.int64))], "node long, fp long")
-    got = {tuple(e) for e in simhash_dedup.links(nodes).collect()}
+    place = {int(f): i for i, f in enumerate(fps.view(np.int64))}
+    got = {tuple(sorted((place[a], place[b]))) for a, b in simhash_dedup.links(spark.createDataFrame([(f,) for f in place], "fp long")).collect()}
     want = {(i, j) for i, j in combinations(range(len(fps)), 2) if (int(fps[i]) ^ int(fps[j])).bit_count() <= 4}
     assert got <= want
 
@@ -106,6 +106,18 @@ def test_golay_links_up_to_four_bits(spark):
     assert parts(got) == parts(want)
 
 
+def test_forest_joins_what_indexing_rows_reach():
+    r = np.random.default_rng(6)
+    fp = np.concatenate([x ^ np.array([0, 1, 2, 4, 8, 3], np.uint64) for x in r.integers(0, 2**63, 12, dtype=np.uint64)])
+    lead = r.random(len(fp)) < 0.5
+    a, b = simhash_dedup.forest(fp, lead, 2)
+    assert (np.bitwise_count(a ^ b) <= 2).all() and len(a) < len(fp)
+    for i in range(12):
+        own = slice(6 * i, 6 * i + 6)
+        if lead[own].any():
+            assert ((a >> np.uint64(4)) == (fp[6 * i] >> np.uint64(4))).sum() >= 5 - 2 * (~lead[own]).sum()
+
+
 def test_golay_radius_two():
     v = np.arange(0, 1 << 23, 7919)
     keys, _ = simhash_dedup.golay_keys(v)
@@ -166,6 +178,21 @@ def test_packing_round_trip(docs, empty):
     assert packing.pack(empty, tokenizer_path()).count() == 0
 
 
+def test_step_groups_are_balanced(spark):
+    docs = spark.range(0, 6000, 1, 3).select(F.col("id").alias("doc_id"), F.repeat(F.lit("word and more "), (F.col("id") * F.col("id") % 1500).cast("int")).alias("text"))
+    rows = packing.pack(docs, tokenizer_path()).select("sequence_id", "tier", "step_group").distinct().collect()
+    groups = {}
+    for r in rows:
+        groups.setdefault(r["step_group"], []).append(r["tier"])
+    small = 0
+    for tiers in groups.values():
+        whole = min(tiers) >= 512
+        assert not whole or len(set(tiers)) == 1
+        assert sum(tiers) <= 1 << 16
+        small += sum(tiers) < 1 << 16
+    assert len(groups) > 60 and small <= 3 * 4
+
+
 def test_encoder_equals_tokenizer():
     from tokenizers import Tokenizer
 

@@ -130,29 +130,27 @@ def bucket_keys(fps: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return np.concatenate(rows), np.concatenate(keys), np.concatenate(lead)
 
 
-def forest(node: np.ndarray, fp: np.ndarray, radius: int) -> list[tuple[int, int]]:
-    """Spanning forest of the links inside one bucket, by breadth-first search over what is not yet reached."""
-    found, rest, queue = [], np.arange(len(fp)), []
-    while len(rest):
-        if not queue:
-            queue.append(rest[0])
-            rest = rest[1:]
-        at = queue.pop()
-        close = np.bitwise_count(fp[rest] ^ fp[at]) <= radius
-        for k in rest[close]:
-            found.append((int(node[at]), int(node[k])))
-            queue.append(k)
-        rest = rest[~close]
-    return found
-
-
-def _links(key, node, fp, lead, radius, small=8):
-    """Links among whole runs of equal keys (arrays sorted by key)."""
+def forest(fp: np.ndarray, lead: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
+    """Spanning forest (a, b) of the links inside one bucket: each indexing row against all, the others not among themselves."""
+    label, a, b = np.arange(len(fp)), [], []
+    for i in np.flatnonzero(lead):
+        close = np.flatnonzero((np.bitwise_count(fp ^ fp[i]) <= radius) & (label != label[i]))
+        if len(close):
+            other, at = np.unique(label[close], return_index=True)
+            a.append(np.full(len(at), fp[i]))
+            b.append(fp[close[at]])
+            label[np.isin(label, other)] = label[i]
+    none = fp[:0]
+    return (np.concatenate(a), np.concatenate(b)) if a else (none, none)
+
+
+def _links(key, fp, lead, radius, small=8):
+    """Links among whole runs of equal keys (arrays sorted by key), as rows of two fingerprints."""
     n = len(key)
     first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
     length = np.diff(np.append(first, n))
     useful = (length > 1) & np.logical_or.reduceat(lead, first)
-    a_all, b_all = [], []
+    found = [(fp[:0], fp[:0])]
     size = np.repeat(np.where(useful & (length <= small), length, 0), length)
     place = np.arange(n) - np.repeat(first, length)
     for d in range(1, small):
@@ -160,58 +158,49 @@ def _links(key, node, fp, lead, radius, small=8):
         if not len(i):
             break
         i = i[np.bitwise_count(fp[i] ^ fp[i + d]) <= radius]
-        a_all.append(node[i])
-        b_all.append(node[i + d])
+        found.append((fp[i], fp[i + d]))
     for r in np.flatnonzero(useful & (length > small)):
         cut = slice(first[r], first[r] + length[r])
-        if pairs := forest(node[cut], fp[cut], radius):
-            a, b = zip(*pairs)
-            a_all.append(np.array(a, np.int64))
-            b_all.append(np.array(b, np.int64))
-    if not a_all:
-        return np.empty((0, 2), np.int64)
-    a, b = np.concatenate(a_all), np.concatenate(b_all)
-    return np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1), axis=0)
+        found.append(forest(fp[cut], lead[cut], radius))
+    a, b = (np.concatenate(x).view(np.int64) for x in zip(*found))
+    pairs = np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1)
+    return np.unique(pairs[a != b], axis=0)
 
 
-def links(nodes: DataFrame, radius: int = 4) -> DataFrame:
-    """Links (src < dst) between the ids of distinct fingerprints that differ in at most `radius` bits.
+def links(prints: DataFrame, radius: int = 4) -> DataFrame:
+    """Links (src < dst) between distinct fingerprints (column fp of prints) that differ in at most `radius` bits.
 
-    nodes has one row (fp, node) for each fingerprint. Buckets give spanning forests, so two ids of one bucket
-    may be joined by a path instead of a link.
+    Buckets give spanning forests, so two fingerprints of one bucket may be joined by a path instead of a link.
     """
     if radius > 4:
         raise ValueError("the three Golay segments find up to four differing bits")
-    key_schema = pa.schema([("key", pa.int64()), ("node", pa.int64()), ("fp", pa.int64()), ("lead", pa.bool_())])
+    key_schema = pa.schema([("key", pa.int64()), ("fp", pa.int64())])
     link_schema = pa.schema([("src", pa.int64()), ("dst", pa.int64())])
 
     def to_keys(batches):
         for batch in batches:
             for at in range(0, batch.num_rows, 4096):
-                part = batch.slice(at, 4096)
-                fp, node = np.array(column(part, "fp"), np.int64), np.array(column(part, "node"), np.int64)
+                fp = np.array(column(batch.slice(at, 4096), "fp"), np.int64)
                 row, key, lead = bucket_keys(fp.view(np.uint64))
-                yield batch_of(key_schema, [key, node[row], fp[row], lead])
+                yield batch_of(key_schema, [key << 1 | ~lead, fp[row]])  # the lowest bit: not an indexing row
 
     def to_links(batches):
-        held = [np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, np.uint64), np.empty(0, bool)]
+        held = [np.empty(0, np.int64), np.empty(0, np.uint64)]
         for batch in batches:
-            new = [np.asarray(batch.column(i)) if i < 3 else batch.column(i).to_numpy(zero_copy_only=False) for i in range(4)]
-            new[2] = new[2].view(np.uint64)
-            held = [np.concatenate([a, b]) for a, b in zip(held, new)]
-            if not len(held[0]):
+            if not batch.num_rows:
                 continue
-            cut = np.searchsorted(held[0], held[0][-1])  # the last run may go on in the next batch
+            held = [np.concatenate([held[0], np.asarray(batch.column(0))]), np.concatenate([held[1], np.asarray(batch.column(1)).view(np.uint64)])]
+            cut = np.searchsorted(held[0] >> 1, held[0][-1] >> 1)  # the last run may go on in the next batch
             if cut:
-                out = _links(*(x[:cut] for x in held), radius)
+                out = _links(held[0][:cut] >> 1, held[1][:cut], held[0][:cut] & 1 == 0, radius)
                 held = [x[cut:] for x in held]
                 yield batch_of(link_schema, [out[:, 0], out[:, 1]])
         if len(held[0]):
-            out = _links(*held, radius)
+            out = _links(held[0] >> 1, held[1], held[0] & 1 == 0, radius)
             yield batch_of(link_schema, [out[:, 0], out[:, 1]])
 
-    keys = nodes.select("node", "fp").mapInArrow(to_keys, "key long, node long, fp long, lead boolean")
-    return keys.repartition("key").sortWithinPartitions("key").mapInArrow(to_links, "src long, dst long").distinct()
+    keys = prints.select("fp").mapInArrow(to_keys, "key long, fp long")
+    return keys.repartition(F.shiftright("key", 1)).sortWithinPartitions("key").mapInArrow(to_links, "src long, dst long").distinct()
 
 
 def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
@@ -239,11 +228,15 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 4, radius: int = 4) -> DataFrame:
     """(doc_id, fingerprint, component_id) for each row of docs; component_id is the smallest id reachable."""
     prints = stored(fingerprints(docs, id_col, text_col, width), "fingerprints")
-    nodes = prints.filter("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("node"))
-    roots = components(links(nodes, radius))
-    label = nodes.join(roots, "node", "left").select("fp", F.coalesce("root", "node").alias("component_id"))
+    nodes = stored(prints.filter("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n")), "nodes")
+    roots = components(links(nodes, radius)).toDF("fp", "root")
+    linked = nodes.join(roots, "fp").select("fp", "least", "root")
+    linked = linked.join(linked.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("fp", "component_id")
+    equal = nodes.filter("n > 1").join(roots, "fp", "left_anti").select("fp", F.col("least").alias("component_id"))
+    # a fingerprint of one document that links nothing needs no row; a plain table on either side, so a hot fingerprint's part can be split
+    label = stored(linked.unionByName(equal), "labels")
     return prints.join(label, "fp", "left").select(
         "doc_id",
         F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"),
-        F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"),
+        F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).alias("component_id"),
     )
