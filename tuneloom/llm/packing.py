@@ -127,13 +127,15 @@ class Packer:
     def __init__(self, tiers=TIERS, first_id: int = 0, block_tokens: int = 1 << 21, least_cut: int = 8, step_tokens: int = 1 << 16):
         self.tiers, self.ids, self.block, self.least, self.step = sorted(tiers), count(first_id), block_tokens, least_cut, step_tokens
         self.rows, self.held, self.tokens, self.serial = [], [], 0, count()
-        self.made = dict.fromkeys(self.tiers, 0)
+        self.groups, self.open, self.room = count(first_id), {}, {}
 
     def _emit(self, parts, tier):
-        """parts: (doc, ids, start, length) in order make one sequence. Sequences of a tier fill equal step groups in turn."""
-        seq, at = next(self.ids), 0
-        group = self.made.get(tier, 0) * tier // self.step
-        self.made[tier] = self.made.get(tier, 0) + 1
+        """parts: (doc, ids, start, length) in order make one sequence. Sequences of a tier fill step groups of equal tokens in turn."""
+        seq, at, own = next(self.ids), 0, max(tier, self.tiers[0])
+        if self.room.get(own, 0) < tier:
+            self.open[own], self.room[own] = next(self.groups), self.step
+        group = self.open[own]
+        self.room[own] -= tier
         for doc, ids, start, n in parts:
             self.rows.append((doc, start, n, zlib.crc32(ids[4 * start : 4 * (start + n)]), len(ids) // 4, seq, at, tier, group))
             at += n
@@ -191,8 +193,9 @@ _COLUMNS = (("doc_id", "long"), ("start", "long"), ("length", "long"), ("ids_crc
 def pack(docs: DataFrame, tokenizer_path: str, end_id: int = 2, tiers=TIERS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row for each piece of a document: where it lies in its document and in which sequence.
 
-    tokenizer_path must exist on every executor. tier is the window the sequence was packed for; step_group numbers the
-    balanced training steps of a tier inside its partition.
+    tokenizer_path must exist on every executor. tier is the window the sequence was packed for; step_group is one training
+    step: sequences of one tier whose windows make step_tokens together (the last group of a tier in a partition may be
+    smaller). Sequence and group ids are unique over the whole result.
     """
     out = pa.schema([(c, pa.int64()) for c, _ in _COLUMNS])
 
