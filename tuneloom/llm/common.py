@@ -11,7 +11,6 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 _local_root: list[str] = []
 
@@ -23,11 +22,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def scratch_root(spark: SparkSession) -> str:
     """Folder that driver and executors share: spark.checkpoint.dir.
 
-    Only where that is unset (tests, one machine) a private temporary folder serves.
+    Only where that is unset and everything runs on this machine (tests) a private temporary folder serves.
     """
     shared = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if shared:
         return shared.rstrip("/")
+    if not spark.sparkContext.master.split("[")[0] == "local":
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
     if not _local_root:
         _local_root.append(tempfile.mkdtemp(prefix="tuneloom-"))
         atexit.register(shutil.rmtree, _local_root[0], True)
@@ -35,20 +36,16 @@ def scratch_root(spark: SparkSession) -> str:
 
 
 def stored(df: DataFrame, label: str) -> DataFrame:
-    """Write df as Parquet into the shared folder and read it again: cuts the lineage, survives lost executors."""
-    path = f"{scratch_root(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
+    """Write df as Parquet into the shared folder and read it again: cuts the lineage, survives lost executors.
 
-def keyed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(key, doc, body): a row key over id and text, the id for ordering (null sorts last), and UTF-8 bytes (null: empty).
-
-    Only these columns go on, so extra columns of the input, whatever their names, cannot clash.
+    Results that are read later may depend on the files, so they go when the driver's file system closes.
     """
-    body = F.coalesce(F.col(text_col), F.lit(""))
-    doc = F.coalesce(F.col(id_col).cast("long"), F.lit(2**63 - 1))
-    return docs.select(F.xxhash64(doc, body).alias("key"), doc.alias("doc"), body.cast("binary").alias("body"))
+    spark = df.sparkSession
+    path = f"{scratch_root(spark)}/{label}-{uuid.uuid4().hex}"
+    place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    df.write.parquet(path)
+    place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(place)
+    return spark.read.schema(df.schema).parquet(path)
 
 
 def column(batch: pa.RecordBatch, name: str) -> list:
