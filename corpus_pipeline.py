@@ -1,53 +1,12 @@
 """Corpus preparation: quality rules, near duplicates, benchmark leaks, secrets, packing.
 
 STAGES are applied in order; each result is written as Parquet and read again as the next stage's documents. All stages but
-the last return the columns of documents.
+the last return the columns of documents. What each does is in tuneloom/llm/stages.py.
 """
 
-from __future__ import annotations
+from tuneloom.llm.stages import STAGES, run
 
-from pyspark.sql import DataFrame, SparkSession
-
-from tuneloom.llm import decontamination, packing, quality_rules, secret_scan, similar_pairs
-from tuneloom.llm.common import stored, table
-from tuneloom.llm.queries import tokenizer_path
-
-
-def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the repetition rules reject go."""
-    return quality_rules.keep_good(docs)
-
-
-def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies (five-word similarity 0.8 or more) stays, that of smallest id."""
-    groups = similar_pairs.similar_groups(docs, width=5, threshold=0.8)
-    gone = groups.filter("component_id <> doc_id").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
-
-
-def benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that hold a benchmark item within the edit budget go."""
-    return decontamination.without_leaks(docs, table(spark, sf_dir, "benchmark"))
-
-
-def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All documents stay; the secrets in their texts are blanked out."""
-    return secret_scan.redacted(docs)
-
-
-def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of the documents in sequences."""
-    return packing.pack(docs, tokenizer_path())
-
-
-STAGES = [("quality_rules", quality), ("simhash_dedup", near_duplicates), ("decontamination", benchmark_leaks), ("secret_scan", secrets), ("packing", pack)]
-
-#: Compression codecs, automata and tokenizers have no SQL form; tests/llm hold the stages against plain versions.
+#: Edit distances, forests and tokenizers have no SQL form; tests/llm/test_pipeline.py holds every stage against a plain version.
 ORACLE_SQL = None
 
-
-def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
-    for name, stage in STAGES[:-1]:
-        docs = stored(stage(spark, docs, sf_dir), name)
-    return STAGES[-1][1](spark, docs, sf_dir)
+__all__ = ["ORACLE_SQL", "STAGES", "run"]

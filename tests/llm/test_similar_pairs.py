@@ -3,8 +3,7 @@
 import random
 from itertools import combinations
 
-import corpus_pipeline
-from tuneloom.llm import similar_pairs
+from tuneloom.llm import similar_pairs, stages
 
 
 def jaccard(a, b, width=5):
@@ -44,6 +43,6 @@ def test_near_copies_equal_all_pairs(spark):
     df = spark.createDataFrame([*rows, (None, rows[0][1])], "doc_id long, text string").repartition(3)
     for small in (3, 16):
         assert {r["doc_id"]: r["component_id"] for r in similar_pairs.similar_groups(df, small=small).collect()} == want
-    kept = {r["doc_id"] for r in corpus_pipeline.near_duplicates(spark, df, "").collect()}
+    kept = {r["doc_id"] for r in stages.near_duplicates(spark, df, "").collect()}
     assert kept == set(want.values()) | {None}
     assert similar_pairs.similar_groups(df.filter("doc_id < 0")).collect() == []

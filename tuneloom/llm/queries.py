@@ -6,21 +6,14 @@ import hashlib
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontamination, language_id, license_scan, packing, phrase_automata, pseudonyms, quality_rules, secret_scan, simhash_dedup, suffix_dedup
+from . import decontamination, language_id, license_scan, packing, phrase_automata, pseudonyms, quality_rules, secret_scan, simhash_dedup, stages, suffix_dedup
 from .common import table
+from .stages import tokenizer_path
 
-TOKENIZER = "word_bpe_49k.json"
 #: Stands for a key from the user's key store.
 PSEUDONYM_KEY = hashlib.sha256(b"pseudonym key of the registered query").digest()
 
 
-def tokenizer_path() -> str:
-    """Where the public vocabulary lies on this machine; every node has it installed."""
-    import public_tokenizers
-
-    return public_tokenizers.path(TOKENIZER)
-
-
 def op1_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.scan(table(spark, sf_dir, "documents"))
 
@@ -62,9 +55,7 @@ def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
-    import corpus_pipeline
-
-    return corpus_pipeline.run(spark, sf_dir)
+    return stages.run(spark, sf_dir)
 
 
 QUERIES = {

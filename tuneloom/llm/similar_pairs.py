@@ -1,10 +1,15 @@
 """Groups of texts whose sets of word shingles have a Jaccard similarity of at least a threshold, each link verified.
 
-1. Each text gets 128 minimum hashes of its shingles. Five of them make a key, 25 keys in all, so two texts of similarity J
+The operator of near duplicates by fingerprints (see simhash_dedup) sees at most four differing bits of 64; at a similarity of
+0.8 some ten bits differ. So its links come first, and a second search adds what it cannot see:
+
+1. Texts get a fingerprint of their shingles; Golay keys give the pairs of close fingerprints.
+2. Each text gets 128 minimum hashes of its shingles. Five of them make a key, 25 keys in all, so two texts of similarity J
    share none with probability (1 - J^5)^25: 5e-5 at 0.8, 4e-7 at 0.85. One bit of each minimum makes a sketch of 128 bits.
-2. Texts that share a key and whose sketches differ in at most 32 bits (at J = 0.8 13 are expected; more than 32 have a
-   probability under 1e-6) are compared by their whole shingle sets; only pairs that reach the threshold are linked.
-3. Buckets of up to `small` texts give all their pairs. A larger one first gives the pairs with its smallest text, and
+3. Texts that share a key and whose sketches differ in at most 32 bits (at J = 0.8 13 are expected; more than 32 have a
+   probability under 1e-6), and the pairs of close fingerprints, are compared by their whole shingle sets; only pairs that
+   reach the threshold are linked.
+4. Buckets of up to `small` texts give all their pairs. A larger one first gives the pairs with its smallest text, and
    after the links so found are joined to groups, all pairs across groups. So a large group of mutual copies costs no
    square of its size, and no pair that could join two groups is left out.
 
@@ -23,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import batch_of, column, pieces, stored
-from .simhash_dedup import components
+from .simhash_dedup import components, fingerprint, links
 
 HASHES, ROWS, BANDS, MOST_BITS = 128, 5, 25, 32
 _B, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
@@ -190,6 +195,14 @@ def _verified(pairs: DataFrame, source: DataFrame, nodes: DataFrame, width: int,
     return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(compare, "src long, dst long")
 
 
+def _close_prints(nodes: DataFrame) -> DataFrame:
+    """(a, b), a < b: texts of equal or close fingerprints, each group of equal ones by its smallest text."""
+    first = nodes.groupBy("fp").agg(F.min("node").alias("first"))
+    equal = nodes.join(first, "fp").filter("node <> first").select(F.col("first").alias("a"), F.col("node").alias("b"))
+    near = links(first.select("fp")).join(first.toDF("src", "x"), "src").join(first.toDF("dst", "y"), "dst")
+    return equal.unionByName(near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")))
+
+
 def similar_groups(docs: DataFrame, width: int = 5, threshold: float = 0.8, small: int = 16, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, component_id) for each row with an id; component_id is the smallest id that links of J >= threshold reach.
 
@@ -197,31 +210,34 @@ def similar_groups(docs: DataFrame, width: int = 5, threshold: float = 0.8, smal
     """
     if threshold < 0.8:
         raise ValueError("the keys find pairs of similarity 0.8 or more")
-    out = pa.schema([("doc_id", pa.int64()), ("node", pa.int64()), ("s0", pa.int64()), ("s1", pa.int64()), ("keys", pa.list_(pa.int64()))])
+    out = pa.schema([("doc_id", pa.int64()), ("node", pa.int64()), ("fp", pa.int64()), ("s0", pa.int64()), ("s1", pa.int64()), ("keys", pa.list_(pa.int64()))])
 
     def sign(batches):
         for batch in pieces(batches, "body"):
-            ids, words = column(batch, "doc_id"), [normal(t) for t in column(batch, "body")]
+            ids, bodies = column(batch, "doc_id"), column(batch, "body")
+            words = [normal(t) for t in bodies]
             sets = [shingles(w, width) for w in words]
+            fps = np.array([fingerprint(t or b"", width) for t in bodies], np.uint64).view(np.int64)
             for lo, hi in _groups(sets):
                 keys, sketch = signatures(sets[lo:hi])
-                yield batch_of(out, [ids[lo:hi], [digest(w) for w in words[lo:hi]], sketch[:, 0], sketch[:, 1], list(keys)])
+                yield batch_of(out, [ids[lo:hi], [digest(w) for w in words[lo:hi]], fps[lo:hi], sketch[:, 0], sketch[:, 1], list(keys)])
 
     source = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("binary").alias("body")).filter("doc_id is not null")
-    signed = stored(source.mapInArrow(sign, "doc_id long, node long, s0 long, s1 long, keys array<long>"), "signed")
-    nodes = stored(signed.groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.first("s0").alias("s0"), F.first("s1").alias("s1"), F.first("keys").alias("keys")), "nodes")
+    signed = stored(source.mapInArrow(sign, "doc_id long, node long, fp long, s0 long, s1 long, keys array<long>"), "signed")
+    nodes = stored(signed.groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.first("fp").alias("fp"), F.first("s0").alias("s0"), F.first("s1").alias("s1"), F.first("keys").alias("keys")), "nodes")
     rows = stored(_recurring(nodes.select(F.explode("keys").alias("key"), "node", "s0", "s1")), "recurring")
 
-    tried = stored(_candidates(rows.withColumn("root", F.col("node")), small, False), "candidates")
-    links = stored(_verified(tried, source, nodes, width, threshold), "similar")
-    roots = components(links)
+    tried = _close_prints(nodes).unionByName(_candidates(rows.withColumn("root", F.col("node")), small, False)).distinct()
+    tried = stored(tried, "candidates")
+    similar = stored(_verified(tried, source, nodes, width, threshold), "similar")
+    roots = components(similar)
     large = rows.filter(F.col("n") > small)
     if large.limit(1).count():
         named = large.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
         more = stored(_candidates(named, small, True).join(tried, ["a", "b"], "left_anti"), "candidates")
         found = stored(_verified(more, source, nodes, width, threshold), "similar")
         if found.limit(1).count():
-            roots = components(links.unionAll(found))
+            roots = components(similar.unionAll(found))
     named = nodes.select("node", "doc_id").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     least = named.groupBy("root").agg(F.min("doc_id").alias("component_id"))
     label = named.join(least, "root").select("node", "component_id")
