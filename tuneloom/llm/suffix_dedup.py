@@ -5,9 +5,11 @@
 2. Equal stretches collapse: each distinct one is kept at its first place in the corpus, by an aggregation that combines
    before the shuffle, so thousands of copies cost one text. An anchor with one distinct stretch holds no string twice in it
    (its strings begin at different distances from the anchor), so its text is not looked at again.
-3. The other distinct stretches, dealt by anchor, make the shards. A shard's suffix array comes from induced sorting, its
-   common prefixes in permuted order; neighbours that share `length` bytes form groups, and all of a group but the earliest
-   are repeats.
+3. The other distinct stretches are cut in two: the strings with many bytes before the anchor, and those with many behind it.
+   All strings of a half hold the same bytes there, so halves are dealt by them; equal halves collapse again, and a half
+   whose bytes no other has is done. The rest make the shards. A shard's suffix array comes from induced sorting, its common
+   prefixes in permuted order; neighbours that share `length` bytes form groups, and all of a group but the earliest are
+   repeats.
 4. Of anchors with more occurrences than a shard has room for, and of the heavy ones, no task gets all stretches: their
    strings are dealt one by one, by the hash of their bytes, and an aggregation that combines before its shuffle finds the
    first of each.
@@ -40,10 +42,10 @@ class _Runs:
     """The runs of one slice of texts whose anchors are wanted: as stretches, or as the single strings in them."""
 
     def __init__(self, text: Bytes, length: int, whole: np.ndarray, single: np.ndarray):
-        h, _, first, last = anchors(text.units, text.owner, ANCHOR_BYTES, length)
+        h, place, first, last = anchors(text.units, text.owner, ANCHOR_BYTES, length)
         apart = among(h, single)
         keep = among(h, whole) & ~apart
-        self.h, self.first, self.last = h[keep], first[keep], last[keep]
+        self.h, self.place, self.first, self.last = h[keep], place[keep], first[keep], last[keep]
         joined, digest = text.joined, xxhash.xxh3_64_intdigest
         self.mark = np.array([digest(joined[a:b]) for a, b in zip(self.first.tolist(), (self.last + length).tolist())], np.uint64)
         h, first, last = h[apart], first[apart], last[apart]
@@ -89,7 +91,7 @@ def _distinct(h, mark, doc) -> tuple[np.ndarray, np.ndarray]:
     return order[new], np.diff(np.append(new, len(h)))
 
 
-def cleaned(docs: DataFrame, length: int = 100, id_col: str = "doc_id", text_col: str = "text", shard_bytes: int = 2 << 20, most: int = 1000, least: int = 1000) -> DataFrame:
+def cleaned(docs: DataFrame, length: int = 100, id_col: str = "doc_id", text_col: str = "text", shard_bytes: int = 2 << 20, most: int = 1000, least: int = 100_000) -> DataFrame:
     """(doc_id, n_bytes, n_removed, n_spans, kept): each row of docs without the bytes covered by strings of `length` bytes that
     also start earlier. kept: the bytes left. most, least: see heavy()."""
     parts, n_shards = sharded(docs, id_col, text_col)
@@ -97,7 +99,7 @@ def cleaned(docs: DataFrame, length: int = 100, id_col: str = "doc_id", text_col
     room = max(1, shard_bytes // (2 * length))  # stretches of one anchor that a shard can hold
     anchor_schema = pa.schema([("anchor", pa.int64()), ("shard", pa.int32()), ("n", pa.int32())])
     copy_schema = pa.schema([("shard", pa.int32()), ("anchor", pa.int64()), ("h", pa.int64()), ("doc", pa.int64()), ("n", pa.int32()), ("single", pa.bool_())])
-    text_schema = pa.schema([("anchor", pa.int64()), ("h", pa.int64()), ("doc", pa.int64()), ("pos", pa.int64()), ("stretch", pa.binary())])
+    text_schema = pa.schema([("core", pa.int64()), ("anchor", pa.int64()), ("h", pa.int64()), ("doc", pa.int64()), ("pos", pa.int64()), ("at", pa.int32()), ("half", pa.binary())])
     repeat_schema = pa.schema([("anchor", pa.int64()), ("h", pa.int64()), ("owner", pa.int64()), ("starts", pa.list_(pa.int32()))])
     final_schema = pa.schema([("doc", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept", pa.binary())])
 
@@ -146,48 +148,89 @@ def cleaned(docs: DataFrame, length: int = 100, id_col: str = "doc_id", text_col
     owned = stored(by_place.withColumn("alone", F.count(F.lit(1)).over(Window.partitionBy("anchor")) == 1), "owned")
     contested = owned.filter("not alone").select(shard_of(F.col("owner"), n_shards).alias("shard"), "anchor", "h", "owner", F.lit(False).alias("single"))
 
-    def known_of(side, *columns):
-        pairs = zip(np.asarray(side.column("anchor").combine_chunks()).view(np.uint64).tolist(), np.asarray(side.column("h").combine_chunks()).view(np.uint64).tolist())
-        return dict(zip(pairs, zip(*(side.column(c).to_pylist() for c in columns))))
+    def pairs_of(side):
+        return zip(np.asarray(side.column("anchor").combine_chunks()).view(np.uint64).tolist(), np.asarray(side.column("h").combine_chunks()).view(np.uint64).tolist())
 
     def find_texts(docs_, side):
         whole, _ = wanted_of(side)
-        owner_of, first = known_of(side, "owner"), {}
+        owner_of, first = dict(zip(pairs_of(side), side.column("owner").to_pylist())), {}
         bodies, doc = docs_.column("body").to_pylist(), docs_.column("doc").to_pylist()
         for a, b in batches_of(bodies) if len(whole) else ():
             text = Bytes(bodies[a:b])
             runs = _Runs(text, length, whole, whole[:0])
-            for x, y, lo, hi in zip(runs.h.tolist(), runs.mark.tolist(), runs.first.tolist(), runs.last.tolist()):
+            for x, y, place, lo, hi in zip(runs.h.tolist(), runs.mark.tolist(), runs.place.tolist(), runs.first.tolist(), runs.last.tolist()):
                 own = int(text.owner[lo])
                 pos = lo - int(text.base[own])
-                if owner_of.get((x, y)) == (doc[a + own],) and ((x, y) not in first or pos < first[x, y][1]):  # only its first place
-                    first[x, y] = (doc[a + own], pos, text.joined[lo : hi + length])
-        signed = lambda i: np.array([k[i] for k in first], np.uint64).view(np.int64)
-        return pa.Table.from_batches([batch_of(text_schema, [signed(0), signed(1), *([v[i] for v in first.values()] for i in range(3))])], text_schema)
-
-    texts = per_shard(parts, contested, find_texts, "anchor long, h long, doc long, pos long, stretch binary")
+                if owner_of.get((x, y)) == doc[a + own] and ((x, y) not in first or pos < first[x, y][1]):  # only its first place
+                    first[x, y] = (doc[a + own], pos, place - lo, hi - lo, text.joined[lo : hi + length])
+        half, digest = (length - ANCHOR_BYTES) // 2, xxhash.xxh3_64_intdigest
+        behind = length - ANCHOR_BYTES - half + 1
+        out: list[list] = [[] for _ in text_schema]
+        for (x, y), (d, pos, lead, last, stretch) in first.items():
+            # starts up to lead - half have `half` bytes before the anchor, the others `behind` bytes behind it
+            if lead >= half:
+                rows = [(digest(stretch[lead - half : lead + ANCHOR_BYTES], 1), 0, stretch[: min(last, lead - half) + length])]
+            else:
+                rows = []
+            if (r := max(0, lead - half + 1)) <= last:
+                rows.append((digest(stretch[lead : lead + ANCHOR_BYTES + behind], 2), r, stretch[r:]))
+            for core, at, text in rows:
+                for c, v in zip(out, (core, x, y, d, pos + at, at, text)):
+                    c.append(v)
+        for i in range(3):
+            out[i] = np.array(out[i], np.uint64).view(np.int64)
+        return pa.Table.from_batches([batch_of(text_schema, out)], text_schema)
+
+    texts = per_shard(parts, contested, find_texts, "core long, anchor long, h long, doc long, pos long, at int, half binary")
 
     def sort_shards(batches):
-        held, size, last = [], 0, None
+        # equal halves stand together, the first place first
+        held, size, out, core, rows = [], 0, [[] for _ in repeat_schema], None, []
+
+        def close():
+            """The rows of one core: later copies of a half repeat it wholly; halves that differ go to the shard."""
+            nonlocal size
+            kept = []
+            for row in rows:
+                if kept and kept[-1][6] == row[6]:
+                    add(row, [0, len(row[6]) - length])
+                else:
+                    kept.append(row)
+            if len(kept) > 1:
+                held.extend(kept)
+                size += sum(len(r[6]) for r in kept)
+            rows.clear()
+
+        def add(row, starts):
+            for c, v in zip(out, (row[1], row[2], row[3], [row[5] + s for s in starts])):
+                c.append(v)
+
+        def flush():
+            nonlocal size, out
+            if held:
+                found = repeats_in_shard([r[6] for r in held], np.array([r[3] for r in held], np.int64), np.array([r[4] for r in held], np.int64), length)
+                for row, starts in zip(held, found):
+                    if starts:
+                        add(row, starts)
+                held.clear()
+                size = 0
+            done, out = out, [[] for _ in repeat_schema]
+            return batch_of(repeat_schema, done)
+
         for batch in batches:
-            for row in zip(*(column(batch, c) for c in ("anchor", "h", "doc", "pos", "stretch"))):
-                if size > shard_bytes and row[0] != last:  # one anchor's stretches stay together; they are at most `room`
-                    yield solved(held)
-                    held, size = [], 0
-                held.append(row)
-                size += len(row[4])
-                last = row[0]
-        if held:
-            yield solved(held)
-
-    def solved(rows):
-        anchor, h, doc, pos, stretch = zip(*rows)
-        starts = repeats_in_shard(list(stretch), np.array(doc, np.int64), np.array(pos, np.int64), length)
-        return batch_of(repeat_schema, [anchor, h, doc, starts])
-
-    repeats = texts.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(sort_shards, "anchor long, h long, owner long, starts array<int>")
+            for row in zip(*(column(batch, c) for c in text_schema.names)):
+                if row[0] != core:
+                    close()
+                    core = row[0]
+                    if size > shard_bytes or len(out[0]) > 1 << 16:  # the halves of one core stay together; they are at most `room`
+                        yield flush()
+                rows.append(row)
+        close()
+        yield flush()
+
+    repeats = texts.repartition("core").sortWithinPartitions("core", "half", "doc", "pos").mapInArrow(sort_shards, "anchor long, h long, owner long, starts array<int>")
     nothing = F.array().cast("array<int>").alias("starts")
-    repeats = repeats.unionByName(owned.filter("alone").select("anchor", "h", "owner", nothing))
+    repeats = repeats.unionByName(owned.select("anchor", "h", "owner", nothing))
     sent = copies.filter("not single").select("shard", "anchor", "h").distinct().join(repeats, ["anchor", "h"]).withColumn("single", F.lit(False))
     # a string that stands at several places, be it in one document
     strings = copies.filter("single").groupBy("anchor", "h").agg(F.min("doc").alias("owner"), F.sum("n").alias("n")).filter("n > 1").select("anchor", "h", "owner", nothing)
@@ -195,7 +238,9 @@ def cleaned(docs: DataFrame, length: int = 100, id_col: str = "doc_id", text_col
 
     def remove(docs_, side):
         whole, single = wanted_of(side)
-        known = known_of(side, "owner", "starts")
+        known: dict[tuple, tuple] = {}
+        for pair, owner, starts in zip(pairs_of(side), side.column("owner").to_pylist(), side.column("starts").to_pylist()):
+            known[pair] = (owner, known[pair][1] + starts if pair in known else starts)
         bodies, doc = docs_.column("body").to_pylist(), docs_.column("doc").to_pylist()
         out = [doc, [len(b) for b in bodies], [0] * len(bodies), [0] * len(bodies), bodies]
         slices, first = [], {}

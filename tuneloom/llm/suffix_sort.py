@@ -1,7 +1,8 @@
 """Suffix arrays by induced sorting, and permuted common prefixes, for one shard's bytes.
 
-Suffixes are classified as smaller or larger than their right neighbour; the leftmost-smaller substrings are sorted by one
-induction, named, and sorted by the same function where names repeat; a second induction gives the whole array. Buckets are
+Suffixes are classified as smaller or larger than their right neighbour; the leftmost-smaller substrings, which are short, are
+sorted and named by numbers that hold several symbols; their names are a string that the same function sorts where names
+repeat; induction from them gives the whole array. Buckets are
 counted ranges of one array at every level, whatever the alphabet: a step of the scan takes a stretch of it inside which
 nothing is induced any more, and deals what the stretch induces by a stable sort, which keeps the order of the sequential
 scan. So each pass runs in numpy.
@@ -69,7 +70,7 @@ def _scan(slots: np.ndarray, s: np.ndarray, picks: np.ndarray, head: np.ndarray)
 
 
 def _induce(s: np.ndarray, up: np.ndarray, symbols: int, seeds: np.ndarray) -> np.ndarray:
-    """All suffixes in order, from the leftmost-smaller ones in (presumed) order."""
+    """All suffixes in order, from the leftmost-smaller ones in order."""
     n = len(s)
     size = np.bincount(s, minlength=symbols)
     after = np.cumsum(size)
@@ -89,21 +90,42 @@ def _induce(s: np.ndarray, up: np.ndarray, symbols: int, seeds: np.ndarray) -> n
     return slots
 
 
-def _names(s: np.ndarray, lead: np.ndarray, order: np.ndarray) -> np.ndarray:
-    """Whether each leftmost-smaller substring, in order, differs from the one before."""
+def _named(s: np.ndarray, symbols: int, lead: np.ndarray) -> np.ndarray:
+    """The rank of each leftmost-smaller substring among the distinct ones; lead: where they begin.
+
+    As many symbols as fit in one number are compared at a time; only substrings equal so far go on. One that ends where another
+    goes on is the larger: there the other falls.
+    """
     n = len(s)
-    stop = np.empty(n, np.int32)
-    stop[lead] = np.append(lead[1:], n - 1)
-    a, b = order[:-1], order[1:]
-    length = stop[a] - a
-    new = length != stop[b] - b
-    live, d = np.flatnonzero(~new), 0
+    stop = np.append(lead[1:], n - 1).astype(np.int64)  # the last symbol of each
+    bits = int(symbols + 1).bit_length()
+    per = 63 // bits
+    padded = np.concatenate([s.astype(np.int64), np.zeros(per, np.int64)])
+    rank = np.zeros(len(lead), np.int64)
+    live, at = np.arange(len(lead)), lead.astype(np.int64)
     while len(live):
-        differ = s[a[live] + d] != s[b[live] + d]
-        new[live[differ]] = True
-        live = live[~differ & (length[live] > d)]
-        d += 1
-    return np.concatenate([[True], new])
+        here, last = at[live], stop[live]
+        key = np.zeros(len(live), np.int64)
+        for d in range(per):
+            key = key << bits | np.where(here + d <= last, padded[np.minimum(here + d, n)], symbols)
+        # within each group of equal ranks, which count the substrings before it, by the next symbols
+        order = np.argsort(key, kind="stable") if len(live) == len(lead) else np.lexsort((key, rank[live]))
+        group, key, place = rank[live[order]], key[order], live[order]
+        i = np.arange(len(live))
+        new_group = np.concatenate([[True], group[1:] != group[:-1]])
+        new = new_group | np.concatenate([[True], key[1:] != key[:-1]])
+        head = np.maximum.accumulate(np.where(new_group, i, 0))
+        first = np.maximum.accumulate(np.where(new, i, 0))
+        rank[place] = group + first - head
+        # equal substrings of which one goes on are looked at again, all that are equal
+        same = np.cumsum(new) - 1
+        more = np.bincount(same, weights=at[place] + per <= stop[place]) > 0
+        tied = ~(new & np.append(new[1:], True))
+        live = place[tied & more[same]]
+        at = at + per
+    distinct = np.zeros(len(lead), bool)
+    distinct[rank] = True
+    return (np.cumsum(distinct) - 1)[rank]
 
 
 def _sorted(s: np.ndarray, symbols: int) -> np.ndarray:
@@ -115,15 +137,14 @@ def _sorted(s: np.ndarray, symbols: int) -> np.ndarray:
     is_lead = np.zeros(n, bool)
     is_lead[1:] = up[1:] & ~up[:-1]
     lead = np.flatnonzero(is_lead).astype(np.int32)
-    found = _induce(s, up, symbols, lead)
-    order = found[is_lead[found]]
-    name = np.cumsum(_names(s, lead, order)) - 1
-    if name[-1] + 1 < len(lead):
-        named = np.empty(n, np.int32)
-        named[order] = name
-        names = named[lead]  # the last is that of the end mark, unique and least
-        order = lead[_sorted(names.astype(np.int16 if name[-1] < 1 << 15 else np.int32), int(name[-1]) + 1)]
-    return _induce(s, up, symbols, order)
+    names = _named(s, symbols, lead)  # the last is that of the end mark, unique and least
+    many = int(names.max()) + 1
+    if many < len(lead):
+        order = _sorted(names.astype(np.int16 if many <= 1 << 15 else np.int32), many)
+    else:
+        order = np.empty(len(lead), np.int64)
+        order[names] = np.arange(len(lead))
+    return _induce(s, up, symbols, lead[order])
 
 
 def suffix_array(data: np.ndarray) -> np.ndarray:
