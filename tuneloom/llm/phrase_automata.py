@@ -58,7 +58,7 @@ def _groups(*keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return order, first, np.append(first[1:], len(order))[: len(first)] - 1
 
 
-def cleaned(docs: DataFrame, width: int = 50, id_col: str = "doc_id", text_col: str = "text", most: int = 1000, least: int = 1000) -> DataFrame:
+def cleaned(docs: DataFrame, width: int = 50, id_col: str = "doc_id", text_col: str = "text", most: int = 1000, least: int = 100_000) -> DataFrame:
     """(doc_id, n_words, n_removed, kept): each row of docs without the words covered by windows of `width` words that also
     start in a document of smaller id. kept: the words left, joined by one blank (UTF-8 bytes). most, least: see heavy()."""
     parts, _ = sharded(docs, id_col, text_col)

@@ -160,7 +160,7 @@ def shard_of(doc, n: int):
     return F.pmod(F.xxhash64(doc), F.lit(n)).cast("int")
 
 
-def heavy(parts: DataFrame, kind: type, n: int, width: int, most: int = 1000, least: int = 1000) -> dict[int, bytes]:
+def heavy(parts: DataFrame, kind: type, n: int, width: int, most: int = 1000, least: int = 100_000) -> dict[int, bytes]:
     """{anchor: its text} of the at most `most` anchors that hold over one in `most` of all places, and over `least`.
 
     Each task keeps a summary of `most` counters over all its texts (counts are merged, and all but the largest `most` lose
@@ -170,21 +170,29 @@ def heavy(parts: DataFrame, kind: type, n: int, width: int, most: int = 1000, le
 
     def count(batches):
         keys, sizes, shown, seen = np.empty(0, np.uint64), np.empty(0, np.int64), {}, 0
-        for batch in pieces(batches, "body", 1 << 20):
-            bodies = column(batch, "body")
+        for batch in pieces(batches, "body", 4 << 20):
+            bodies, held = column(batch, "body"), []
             for a, b in batches_of(bodies):
                 text = kind(bodies[a:b])
                 h, place, _, _ = anchors(text.units, text.owner, n, width)
-                seen += len(h)
-                new, at, times = np.unique(h, return_index=True, return_counts=True)
-                both, where = np.unique(np.concatenate([keys, new]), return_inverse=True)
-                total = np.bincount(where, weights=np.concatenate([sizes, times]), minlength=len(both)).astype(np.int64)
-                if len(both) > most:
-                    total -= np.partition(total, -most - 1)[-most - 1]
-                keep = total > 0
-                keys, sizes = both[keep], total[keep]
-                fresh = dict(zip(new.tolist(), at.tolist()))
-                shown = {k: shown[k] if k in shown else text.text(int(place[fresh[k]]), int(place[fresh[k]]) + n) for k in keys.tolist()}
+                held.append((h, place, text))
+            h = np.concatenate([x[0] for x in held])
+            edge = np.cumsum([len(x[0]) for x in held])
+            seen += len(h)
+            new, at, times = np.unique(h, return_index=True, return_counts=True)
+            both, where = np.unique(np.concatenate([keys, new]), return_inverse=True)
+            total = np.bincount(where, weights=np.concatenate([sizes, times]), minlength=len(both)).astype(np.int64)
+            if len(both) > most:
+                total -= np.partition(total, -most - 1)[-most - 1]
+            keys, sizes = both[total > 0], total[total > 0]
+
+            def words_of(k):
+                i = int(at[np.searchsorted(new, k)])
+                g = int(np.searchsorted(edge, i, side="right"))
+                place = int(held[g][1][i - edge[g]])  # counted from the end of the slice's anchors
+                return held[g][2].text(place, place + n)
+
+            shown = {int(k): shown[int(k)] if int(k) in shown else words_of(k) for k in keys}
         yield batch_of(out, [[None, *keys.view(np.int64).tolist()], [seen, *sizes.tolist()], [None, *(shown[k] for k in keys.tolist())]])
 
     rows = parts.mapInArrow(count, "anchor long, n long, phrase binary").groupBy("anchor").agg(F.sum("n").alias("n"), F.max("phrase").alias("phrase"))
