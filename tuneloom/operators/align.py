@@ -4,10 +4,12 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .vindex import topk_exact
+from ..functions.vectors import unit
+from .vindex import topk_blocked
 
 TYPES = {"qm": ("question", "question", "manual"), "qq": ("question", "question", "question"), "mm": ("manual", "manual", "manual")}
 
@@ -16,12 +18,17 @@ def mine(queries: DataFrame, docs: DataFrame, kind: str, top_m: int = 20) -> Dat
     """(qid, doc_id, dist, rank): near documents that share a knob (pos) or share none (neg, hard by nearness).
 
     queries: qid, vec, knobs; docs: doc_id, source, vec, knobs."""
-    near = topk_exact(queries.select("qid", "vec"), docs, top_m)
+    near = topk_blocked(queries.select("qid", "vec"), docs, top_m)
     both = near.join(queries.select("qid", F.col("knobs").alias("want")), "qid")
     share = F.arrays_overlap("knobs", "want")
     return both.filter(share if kind == "pos" else ~share).filter(F.col("qid") != F.col("doc_id")).select("qid", "doc_id", "dist", "rank")
 
 
+def anchors(docs: DataFrame, source: str, most: int) -> DataFrame:
+    """At most `most` documents of a source as anchors (qid, source, vec, knobs): a bounded training sample, by the md5 of the id."""
+    return docs.filter(F.col("source") == source).orderBy(F.md5(F.col("doc_id").cast("string")), "doc_id").limit(most).select(F.col("doc_id").alias("qid"), "source", "vec", "knobs")
+
+
 def balance(pos: DataFrame, neg: DataFrame, keys: list[str]) -> tuple[DataFrame, DataFrame]:
     """Equally many positives and negatives for each key, the nearest first."""
     n = pos.groupBy(*keys).agg(F.count(F.lit(1)).alias("np")).join(neg.groupBy(*keys).agg(F.count(F.lit(1)).alias("nn")), keys)
@@ -32,16 +39,18 @@ def balance(pos: DataFrame, neg: DataFrame, keys: list[str]) -> tuple[DataFrame,
 
 
 def build_pairs(queries: DataFrame, docs: DataFrame, types=("qm", "qq", "mm"), top_m: int = 20, negatives: int = 4) -> DataFrame:
-    """(qid, pos_id, neg_ids, pair_type). queries carry their own source; the three types say which source anchors, agrees, differs."""
+    """(qid, pos_id, neg_ids, pair_type, q_source, pos_source, neg_source): what fit() takes, as many positives as negatives of each
+    type. queries carry their own source; the three types say which source anchors, agrees, differs."""
     out = None
     for t in types:
         anchor, agree, differ = TYPES[t]
         q = queries.filter(F.col("source") == anchor)
-        pos = mine(q, docs.filter(F.col("source") == agree), "pos", top_m)
-        neg = mine(q, docs.filter(F.col("source") == differ), "neg", top_m)
+        pos = mine(q, docs.filter(F.col("source") == agree), "pos", top_m).withColumn("pair_type", F.lit(t))
+        neg = mine(q, docs.filter(F.col("source") == differ), "neg", top_m).withColumn("pair_type", F.lit(t))
+        pos, neg = balance(pos, neg, ["pair_type"])
         near = neg.withColumn("r", F.row_number().over(Window.partitionBy("qid").orderBy("dist", "doc_id"))).filter(F.col("r") <= negatives)
         lists = near.groupBy("qid").agg(F.transform(F.array_sort(F.collect_list(F.struct("r", "doc_id"))), lambda s: s["doc_id"]).alias("neg_ids"))
-        part = pos.join(lists, "qid").select("qid", F.col("doc_id").alias("pos_id"), "neg_ids", F.lit(t).alias("pair_type"))
+        part = pos.join(lists, "qid").select("qid", F.col("doc_id").alias("pos_id"), "neg_ids", "pair_type", F.lit(anchor).alias("q_source"), F.lit(agree).alias("pos_source"), F.lit(differ).alias("neg_source"))
         out = part if out is None else out.unionByName(part)
     return out
 
@@ -99,7 +108,7 @@ def fit(pairs: DataFrame, vecs: DataFrame, dim: int, hidden: int | None = None,
         raise ValueError("the base encoder is frozen; only the heads learn")
     hidden = hidden or 2 * dim
     sample = pairs.orderBy(F.xxhash64("qid", "pos_id")).limit(max_pairs)
-    v = vecs.select("id", "source", F.col("vec").cast("array<double>").alias("vec"))
+    v = vecs.select("id", "source", unit(F.col("vec")).alias("vec")).filter("vec is not null")
     rows = sample.join(v.select(F.col("id").alias("qid"), F.col("source").alias("q_source"), F.col("vec").alias("q")), ["qid", "q_source"])
     rows = rows.join(v.select(F.col("id").alias("pos_id"), F.col("source").alias("pos_source"), F.col("vec").alias("p")), ["pos_id", "pos_source"])
     neg = sample.select("qid", "pos_id", "pair_type", "neg_source", F.posexplode("neg_ids").alias("r", "neg_id")).join(v.select(F.col("id").alias("neg_id"), F.col("source").alias("neg_source"), F.col("vec").alias("n")), ["neg_id", "neg_source"])
@@ -156,18 +165,33 @@ def fit(pairs: DataFrame, vecs: DataFrame, dim: int, hidden: int | None = None,
 
 def apply(df: DataFrame, heads: dict, vec: str = "vec", source: str = "source") -> DataFrame:
     """df with vec moved into the shared space; one matrix product for each Arrow batch and source."""
-    shared = df.sparkSession.sparkContext.broadcast({s: h.w for s, h in heads.items()})
+    shared = df.sparkSession.sparkContext.broadcast({s: h.w for s, h in heads.items()})  # a few weights for each dimension
+    df = df.withColumn(vec, F.col(vec).cast("array<double>"))
 
-    @F.pandas_udf("array<double>")
-    def moved(v: pd.Series, s: pd.Series) -> pd.Series:
-        out = [None] * len(v)
+    def run(batches):
+        local = {}
         for name, w in shared.value.items():
-            at = [i for i, (x, t) in enumerate(zip(v, s)) if t == name and x is not None]
-            if at:
-                head = Head(w["W1"].shape[1], w["W1"].shape[0], 0)
-                head.w = w
-                for i, row in zip(at, head(np.stack([v.iloc[i] for i in at]).astype(float))):
-                    out[i] = row
-        return pd.Series(out, index=v.index, dtype=object)
-
-    return df.withColumn(vec, moved(F.col(vec).cast("array<double>"), F.col(source)))
+            local[name] = Head(w["W1"].shape[1], w["W1"].shape[0], 0)
+            local[name].w = w
+        for batch in batches:
+            place = batch.schema.get_field_index(vec)
+            rows, sources = batch.column(place).to_pylist(), batch.column(batch.schema.get_field_index(source)).to_pylist()
+            for name, head in local.items():
+                at = [i for i, (x, t) in enumerate(zip(rows, sources)) if t == name and x is not None]
+                if at:
+                    x = np.array([rows[i] for i in at], float)
+                    for i, row in zip(at, head(x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12)).tolist()):
+                        rows[i] = row
+            yield batch.set_column(place, batch.schema.field(place), pa.array(rows, batch.schema.field(place).type))
+
+    return df.mapInArrow(run, df.schema)
+
+
+def train(questions: DataFrame, docs: DataFrame, dim: int, most: int = 500, **how):
+    """({source: Head}, losses): pairs mined around the questions and a sample of manuals and history, manual pairs first.
+
+    questions: qid, vec, knobs; docs: doc_id, source, vec, knobs. `most` bounds the anchors of each source."""
+    own = questions.withColumn("source", F.lit("question")).withColumnRenamed("qid", "doc_id")
+    queries = anchors(own, "question", most).unionByName(anchors(docs, "manual", most))
+    vecs = docs.select(F.col("doc_id").alias("id"), "source", "vec").unionByName(queries.filter("source = 'question'").select(F.col("qid").alias("id"), "source", "vec")).dropDuplicates(["id", "source"])
+    return fit(build_pairs(queries, docs), vecs, dim, **how)

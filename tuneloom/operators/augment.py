@@ -33,6 +33,32 @@ class TemplateGenerator:
         return "How do I use the setting described as '" + pdf["description"] + "', variant " + pdf["n"].astype(str) + "?"
 
 
+class CallableGenerator(TemplateGenerator):
+    """A user's function from instructions to texts, asked once for each row of a batch; the tables only say which chains exist."""
+
+    ASK = {
+        "fuse": "Write a user's question. Setting at work: {func}. Seen: {behaviour}. Cause: {issue}.",
+        "stepwise": "Think step by step, then write a user's question about the setting described as: {description} (case {n}).",
+        "direct": "Write a user's question about the setting described as: {description} (variant {n}).",
+    }
+
+    def __init__(self, fn: Callable[[list[str]], list[str]], functions, issues, behaviours):
+        super().__init__(functions, issues, behaviours)
+        self.fn = fn
+
+    def _ask(self, task: str, pdf: pd.DataFrame) -> pd.Series:
+        return pd.Series(self.fn([self.ASK[task].format(**r) for r in pdf.to_dict("records")]) if len(pdf) else [], index=pdf.index, dtype=object)
+
+    def fuse(self, pdf: pd.DataFrame) -> pd.Series:
+        return self._ask("fuse", pdf)
+
+    def stepwise(self, pdf: pd.DataFrame) -> pd.Series:
+        return self._ask("stepwise", pdf)
+
+    def direct(self, pdf: pd.DataFrame) -> pd.Series:
+        return self._ask("direct", pdf)
+
+
 def none(questions: DataFrame) -> DataFrame:
     return questions
 
@@ -57,18 +83,15 @@ def logic_chain(knobs: DataFrame, gen, fanout=(2, 2, 1)) -> tuple[DataFrame, Dat
 
 
 def _finish(df: DataFrame, method: str) -> DataFrame:
-    ident = F.xxhash64(F.lit(method), "knob", "text")
+    ident = F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(method), "knob", "text")), 1, 15), 16, 10).cast("long")
     return df.select(ident.alias("doc_id"), "dbms", "text", F.array("knob").alias("knobs"), F.lit(method).alias("method"))
 
 
 def _per_knob(knobs: DataFrame, volume: int) -> DataFrame:
-    """volume rows dealt evenly over the knobs, in the order of their hash."""
-    from pyspark.sql import Window
-
-    ranked = knobs.select("dbms", "knob", "description").withColumn("r", F.row_number().over(Window.orderBy(F.xxhash64("knob"))) - 1)
+    """volume rows dealt evenly over the knobs, in the order of their md5."""
     total = knobs.count()
-    each = ranked.withColumn("n", F.explode(F.sequence(F.lit(0), F.lit(max(0, -(-volume // max(1, total)) - 1)))))
-    return each.orderBy("n", "r").limit(volume).select("dbms", "knob", "description", "n")
+    each = knobs.select("dbms", "knob", "description", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(max(0, -(-volume // max(1, total)) - 1)).cast("long"))).alias("n"))
+    return each.orderBy("n", F.md5("knob"), "knob").limit(volume).select("dbms", "knob", "description", "n")
 
 
 def cot(knobs: DataFrame, gen, volume: int) -> DataFrame:

@@ -73,6 +73,20 @@ def llm_all_knobs(questions: DataFrame, knobs: DataFrame, reasoner) -> DataFrame
     return reason.parse(reasoner(prompt.build_all_knobs(questions, knobs)), "list")
 
 
+def llm_decomposed(questions: DataFrame, reasoner, parts: int = 3) -> DataFrame:
+    """Task decomposition: a question's sentences are dealt to `parts` sub-problems, each is asked by itself, and the knobs named
+    in any of them are the answer (qid, ok, knobs); ok where all parts could be read."""
+    from .corpus import SENTENCE_END
+
+    pieces = F.filter(F.split("text", SENTENCE_END), lambda s: F.trim(s) != "")
+    dealt = questions.select("qid", F.posexplode(pieces).alias("at", "s")).withColumn("part", F.col("at") % parts)
+    dealt = dealt.groupBy("qid", "part").agg(F.concat_ws(". ", F.transform(F.array_sort(F.collect_list(F.struct("at", "s"))), lambda x: x["s"])).alias("text"))
+    # a sub-problem is a question of its own; its number leads back
+    asked = prompt.build(dealt.select((F.col("qid") * parts + F.col("part")).alias("qid"), "text"), style="decompose")
+    read = reason.parse(reasoner(asked), "list").withColumn("qid", F.floor(F.col("qid") / parts))
+    return read.groupBy("qid").agg(F.min("ok").alias("ok"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("knobs")))).alias("knobs"))
+
+
 def sft_pairs(train: DataFrame) -> DataFrame:
     """(qid, line): one JSON line for each labelled question. train: qid, text, knobs. Tuning itself happens elsewhere."""
     line = F.to_json(F.struct(F.lit(prompt.ASK[1]).alias("instruction"), F.col("text").alias("input"), F.to_json("knobs").alias("output")))

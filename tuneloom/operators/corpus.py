@@ -79,6 +79,14 @@ def extract_config(df: DataFrame, text_col: str, knobs: DataFrame, keys: list[st
     return config.withColumn("knobs", F.array_sort(F.map_keys("config")))
 
 
+def following_values(df: DataFrame, text_col: str, knobs_col: str = "knobs") -> DataFrame:
+    """df with config: each of its knobs with the word behind its first mention in the text (knobs at the end have none)."""
+    words = F.regexp_extract_all(F.lower(F.col(text_col)), F.lit("[a-z]+"), F.lit(0))
+    pair = lambda k: F.struct(k.alias("knob"), F.try_element_at("_words", (F.array_position("_words", k) + 1).cast("int")).alias("value"))
+    found = F.filter(F.transform(F.filter(F.col(knobs_col), lambda k: F.array_contains("_words", k)), pair), lambda s: s["value"].isNotNull())
+    return df.withColumn("_words", words).withColumn("config", F.map_from_entries(F.array_sort(found))).drop("_words")
+
+
 def question_pairs(turns: DataFrame) -> DataFrame:
     """(qid, question, answer): a user turn with the assistant turn right after it."""
     user = turns.filter("role = 'user'").select("conv_id", (F.col("turn") + 1).alias("turn"), F.col("text").alias("question"))
@@ -87,9 +95,13 @@ def question_pairs(turns: DataFrame) -> DataFrame:
 
 
 def split(df: DataFrame, key: str, weights=(7, 2, 1), seed: int = 42, scheme: str = "hash") -> DataFrame:
-    """df with split in history / train / test. mod10 splits by the key itself, hash by its hash."""
+    """df with split in history / train / test. mod10 splits by the key itself, hash by its hash, md5 by a hash that any engine has."""
     total = sum(weights)
-    u = F.pmod(F.col(key), F.lit(total)) if scheme == "mod10" else F.pmod(F.xxhash64(F.col(key), F.lit(seed)), F.lit(total))
+    u = {
+        "mod10": lambda: F.pmod(F.col(key), F.lit(total)),
+        "hash": lambda: F.pmod(F.xxhash64(F.col(key), F.lit(seed)), F.lit(total)),
+        "md5": lambda: F.conv(F.substring(F.md5(F.col(key).cast("string")), 1, 8), 16, 10).cast("long") % total,
+    }[scheme]()
     return df.withColumn("split", F.when(u < weights[0], "history").when(u < weights[0] + weights[1], "train").otherwise("test"))
 
 
@@ -105,9 +117,9 @@ def audit_sample(df: DataFrame, key: str, n: int) -> DataFrame:
 def corrupt(df: DataFrame, key: str, knobs_col: str, ratio: float, catalog: DataFrame, seed: int = 42) -> DataFrame:
     """A nested share of the rows loses its labels for one wrong catalogue entry: rows wrong at .1 stay wrong at .2."""
     names = catalog.agg(F.array_sort(F.collect_set("knob")).alias("names"))  # a catalogue is hundreds of rows
-    h = F.xxhash64(F.lit(seed), F.col(key))
+    h = F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(str(seed)), F.col(key).cast("string"))), 1, 15), 16, 10).cast("long")
     u = F.pmod(h, F.lit(1_000_000)) / 1_000_000
     wrong = F.array_except(F.col("names"), F.col(knobs_col))
-    pick = F.element_at(wrong, (F.pmod(F.shiftright(h, 20), F.size(wrong)) + 1).cast("int"))
+    pick = F.element_at(wrong, (F.pmod(F.floor(h / F.lit(1 << 20)), F.size(wrong)) + 1).cast("int"))
     out = df.crossJoin(F.broadcast(names)).withColumn("noisy", (u < ratio) & (F.size(wrong) > 0))
     return out.withColumn(knobs_col, F.when(F.col("noisy"), F.array(pick)).otherwise(F.col(knobs_col))).drop("names")

@@ -39,7 +39,8 @@ def render(desc: DataFrame) -> DataFrame:
 
 def select(queries: DataFrame, desc: DataFrame, k: int = 3) -> DataFrame:
     """hits_telemetry (qid, rank, metric, dist, text). queries: qid, vec; desc: metric, vec, knobs, text."""
-    docs = desc.select(F.xxhash64("metric").alias("doc_id"), F.lit("telemetry").alias("source"), "vec", "knobs")
+    ident = F.conv(F.substring(F.md5("metric"), 1, 15), 16, 10).cast("long").alias("doc_id")
+    docs = desc.select(ident, F.lit("telemetry").alias("source"), "vec", "knobs")
     hits = topk_exact(queries, docs, k)
-    names = desc.select(F.xxhash64("metric").alias("doc_id"), "metric", "text")
+    names = desc.select(ident, "metric", "text")
     return hits.join(names, "doc_id").select("qid", "rank", "metric", "dist", "text", "knobs")

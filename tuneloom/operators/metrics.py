@@ -76,6 +76,22 @@ def by_kind(pred: DataFrame, truth: DataFrame, kinds: DataFrame, qid: str = "qid
     return has.join(s, qid).groupBy("kind").agg(F.count(F.lit(1)).alias("questions"), F.round(F.avg(F.col("solved").cast("double")), 6).alias("success_rate"))
 
 
+def recall_by_frequency(hits: DataFrame, truth: DataFrame, history: DataFrame, ks=(1, 3, 5, 10), buckets: int = 3) -> DataFrame:
+    """(bucket, k, recall): doc_recall with each question's knobs restricted to those of one frequency bucket of the history."""
+    b = frequency_buckets(history, "knob", buckets).select("knob", "bucket")
+    own = truth.join(b, "knob").select(F.struct("bucket", "qid").alias("qid"), "knob")
+    least = hits.select("qid", "rank", F.explode("knobs").alias("knob")).groupBy("qid", "knob").agg(F.min("rank").alias("rank")).join(b, "knob").select(F.struct("bucket", "qid").alias("qid"), "knob", "rank")
+    per = own.distinct().join(least, ["qid", "knob"], "left").groupBy("qid").agg(*(F.avg(F.when(F.col("rank") <= k, 1.0).otherwise(0.0)).alias(f"r{k}") for k in ks))
+    wide = per.groupBy(F.col("qid.bucket").alias("bucket")).agg(*(F.round(F.avg(f"r{k}"), 6).alias(f"r{k}") for k in ks))
+    return wide.select("bucket", F.explode(F.array(*(F.struct(F.lit(k).alias("k"), F.col(f"r{k}").alias("recall")) for k in ks))).alias("s")).select("bucket", "s.*")
+
+
+def audit(sample: DataFrame, automatic: str, checked: str) -> DataFrame:
+    """(checked, agreement): how many sampled labels a person looked at, and the share that agrees with the automatic one."""
+    seen = sample.filter(F.col(checked).isNotNull())
+    return seen.agg(F.count(F.lit(1)).alias("checked"), F.round(F.avg(F.col(automatic).eqNullSafe(F.col(checked)).cast("double")), 6).alias("agreement"))
+
+
 def mean_set_size(answers: DataFrame, knobs: str = "knobs") -> DataFrame:
     return answers.agg(F.round(F.avg(F.size(knobs)), 6).alias("mean_size"))
 
@@ -115,3 +131,12 @@ def diversity(texts: DataFrame, text: str = "text") -> DataFrame:
     pairs = F.when(F.size(w) > 1, F.zip_with(F.slice(w, 1, F.size(w) - 1), F.slice(w, 2, F.size(w) - 1), lambda a, b: F.concat_ws(" ", a, b)))
     two = texts.select(F.explode(pairs).alias("g")).agg(F.round(F.count_distinct("g") / F.nullif(F.count("g"), F.lit(0)), 6).alias("distinct_2"))
     return uni.crossJoin(two)
+
+
+def nearest_distance(texts: DataFrame, key: str = "doc_id", text: str = "text", dim: int = 64) -> DataFrame:
+    """(mean_distance): how far the nearest other text lies from each, on average; little means little variety."""
+    from .vindex import hashed_vector, topk_blocked
+
+    v = texts.select(F.col(key).alias("doc_id"), F.lit("text").alias("source"), F.array(F.lit("")).alias("knobs"), hashed_vector(F.col(text), dim).alias("vec"))
+    near = topk_blocked(v.select(F.col("doc_id").alias("qid"), "vec"), v, 2).filter("qid <> doc_id").groupBy("qid").agg(F.min("dist").alias("dist"))
+    return near.agg(F.round(F.avg("dist"), 6).alias("mean_distance"))

@@ -76,6 +76,27 @@ class EvidenceVote:
         return vote.groupBy("qid").agg(F.transform(F.array_sort(F.collect_list(F.struct("place", "knob"))), lambda s: s["knob"]).alias("knobs"))
 
 
+class MentionVote:
+    """An offline stand-in for a language model that does read its prompt: it names the catalogue's knobs the prompt mentions most
+    (ties: the rarer, then by name), and as value the word behind the first mention."""
+
+    def __init__(self, catalog: DataFrame, max_knobs: int = 5):
+        self.catalog, self.max_knobs = catalog.select("knob", "df"), max_knobs  # hundreds of rows
+
+    def __call__(self, prompts: DataFrame) -> DataFrame:
+        words = F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))
+        said = prompts.select("qid", "phase", "prompt_hash", F.posexplode(words).alias("at", "knob"), words.alias("words")).join(F.broadcast(self.catalog), "knob")
+        said = said.withColumn("value", F.try_element_at("words", F.col("at") + 2))
+        said = said.groupBy("qid", "phase", "prompt_hash", "knob", "df").agg(F.count(F.lit(1)).alias("n"), F.min_by("value", "at").alias("value"))
+        place = F.row_number().over(Window.partitionBy("qid", "prompt_hash").orderBy(F.desc("n"), "df", "knob"))
+        top = said.withColumn("place", place).filter(F.col("place") <= self.max_knobs)
+        listed = F.array_sort(F.collect_list(F.struct("place", "knob", "value")))
+        top = top.groupBy("qid", "phase", "prompt_hash").agg(F.transform(listed, lambda s: s["knob"]).alias("names"), F.map_from_entries(F.array_sort(F.collect_list(F.struct("knob", F.coalesce("value", F.lit("")).alias("value"))))).alias("values"))
+        answers = prompts.select("qid", "phase", "prompt_hash").join(top, ["qid", "phase", "prompt_hash"], "left")
+        raw = F.when(F.col("phase") == 1, F.coalesce(F.to_json("names"), F.lit("[]"))).otherwise(F.coalesce(F.to_json("values"), F.lit("{}")))
+        return answers.select("qid", "phase", raw.alias("raw"), "prompt_hash")
+
+
 class Replay:
     """Recorded completions, joined by the prompt's hash."""
 

@@ -136,16 +136,15 @@ def decompose_none(points: DataFrame) -> DataFrame:
 
 
 def loess_trend(points: DataFrame, keys: list[str], span: int) -> DataFrame:
-    """Degree-1 tricube trend by a range self-join on the position: |i - j| <= span. Closed-form weighted sums on the JVM."""
-    i = F.row_number().over(Window.partitionBy(*keys).orderBy("ts")).cast("long")
-    a = points.withColumn("i", i)
-    offsets = F.explode(F.sequence(F.lit(-span), F.lit(span)))
-    left = a.select(*keys, "ts", "i", "value").withColumn("d", offsets).withColumn("j", F.col("i") + F.col("d"))
-    right = a.select(*keys, F.col("i").alias("j"), F.col("value").alias("y"))
-    w = F.pow(1 - F.pow(F.abs(F.col("d")) / F.lit(float(span + 1)), F.lit(3.0)), F.lit(3.0))
-    x = F.col("d").cast("double")
-    sums = left.join(right, [*keys, "j"]).withColumn("w", w).groupBy(*keys, "ts", "value").agg(
-        F.sum("w").alias("sw"), F.sum(F.col("w") * x).alias("sx"), F.sum(F.col("w") * F.col("y")).alias("sy"), F.sum(F.col("w") * x * x).alias("sxx"), F.sum(F.col("w") * x * F.col("y")).alias("sxy")
+    """Degree-1 tricube trend over the points at most `span` places off: closed-form weighted sums over one window, on the JVM."""
+    by_time = Window.partitionBy(*keys).orderBy("ts")
+    a = points.withColumn("i", (F.row_number().over(by_time) - 1).cast("long")).withColumn("near", F.collect_list("value").over(by_time.rowsBetween(-span, span)))
+    weigh = lambda d: F.pow(1 - F.pow(F.abs(d) / F.lit(float(span + 1)), F.lit(3.0)), F.lit(3.0))
+    x = lambda j: (j - F.least(F.col("i"), F.lit(span))).cast("double")
+    terms = F.transform("near", lambda y, j: F.struct(weigh(x(j)).alias("w"), x(j).alias("x"), y.alias("y")))
+    total = lambda f: F.aggregate("terms", F.lit(0.0), lambda s, t: s + t["w"] * f(t))
+    sums = a.withColumn("terms", terms).select(
+        *keys, "ts", "value", total(lambda t: F.lit(1.0)).alias("sw"), total(lambda t: t["x"]).alias("sx"), total(lambda t: t["y"]).alias("sy"), total(lambda t: t["x"] * t["x"]).alias("sxx"), total(lambda t: t["x"] * t["y"]).alias("sxy")
     )
     det = F.col("sw") * F.col("sxx") - F.col("sx") * F.col("sx")
     return sums.select(*keys, "ts", "value", F.round((F.col("sxx") * F.col("sy") - F.col("sx") * F.col("sxy")) / det, 4).alias("trend"))

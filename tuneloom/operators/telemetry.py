@@ -18,10 +18,13 @@ def bucket(events: DataFrame, ts: str, value: str, keys: list[str], seconds: int
     return wide.select(*keys, "ts", stack.alias("s")).select(F.concat_ws(":", *(F.col(k).cast("string") for k in keys), "s.agg").alias("metric"), "ts", F.col("s.value").alias("value"))
 
 
-def densify(points: DataFrame, keys: list[str], seconds: int, start: str, stop: str, fill: str = "zero") -> DataFrame:
-    """Every step from start to stop (inclusive) for each series: fill zero, locf, linear or null."""
-    steps = F.sequence(F.lit(start).cast("timestamp"), F.lit(stop).cast("timestamp"), F.expr(f"interval {seconds} seconds"))
-    grid = points.select(*keys).distinct().withColumn("ts", F.explode(steps))
+def densify(points: DataFrame, keys: list[str], seconds: int, start: str | None = None, stop: str | None = None, fill: str = "zero") -> DataFrame:
+    """Every step from start to stop (inclusive; by default the first and last of all points) for each series: fill zero, locf,
+    linear or null."""
+    span = points.agg(F.min("ts").alias("a"), F.max("ts").alias("b"))
+    first = F.col("a") if start is None else F.lit(start).cast("timestamp")
+    last = F.col("b") if stop is None else F.lit(stop).cast("timestamp")
+    grid = points.select(*keys).distinct().crossJoin(F.broadcast(span)).select(*keys, F.explode(F.sequence(first, last, F.expr(f"interval {seconds} seconds"))).alias("ts"))  # span: one row
     df = grid.join(points, [*keys, "ts"], "left")
     if fill == "zero":
         return df.fillna(0.0, ["value"])

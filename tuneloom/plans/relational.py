@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import zlib
+
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..functions import udfs
+from ..functions.stats import esd_critical
 from ..functions.vectors import register as register_vectors
 from ..operators.joins import as_of, interval_join
 from ..sources.tables import events, read
@@ -100,9 +103,11 @@ def agg_percentile(spark, sf_dir):
     return read(spark, sf_dir, "events").groupBy("event_type").agg(F.round(F.median("value"), 6).alias("median"), F.round(F.percentile("value", F.lit(0.05)), 6).alias("p05"), F.round(F.percentile("value", F.lit(0.95)), 6).alias("p95"))
 
 
-@query()
+@query("SELECT event_type, TRUE AS users_within_5_percent, quantile_disc(value, 0.5) AS median FROM events GROUP BY 1")
 def agg_approximate(spark, sf_dir):
-    return read(spark, sf_dir, "events").groupBy("event_type").agg(F.approx_count_distinct("user_id").alias("users"), F.percentile_approx("value", F.lit(0.5), F.lit(10_000)).alias("median"))
+    """The sketches beside exact counts; a percentile of fewer values than its accuracy is exact."""
+    g = read(spark, sf_dir, "events").groupBy("event_type").agg(F.approx_count_distinct("user_id", 0.02).alias("about"), F.count_distinct("user_id").alias("users"), F.percentile_approx("value", F.lit(0.5), F.lit(10_000)).alias("median"))
+    return g.select("event_type", (F.abs(F.col("about") - F.col("users")) <= 0.05 * F.col("users")).alias("users_within_5_percent"), "median")
 
 
 _RESULTS = "SELECT lang, source, CAST(quality AS INT) AS quality FROM documents JOIN labels USING (doc_id)"
@@ -267,17 +272,40 @@ def udaf_mad(spark, sf_dir):
     return read(spark, sf_dir, "events").groupBy("event_type").agg(udfs.mad("value").alias("mad")).withColumn("mad", F.round("mad", 6))
 
 
-@query()
+@query("SELECT event_type, round(list_avg(v[CAST(len(v) // 10 AS INT) + 1:CAST(len(v) - len(v) // 10 AS INT)]), 6) AS trimmed FROM (SELECT event_type, list(value ORDER BY value) AS v FROM events GROUP BY 1)")
 def udaf_trimmed_mean(spark, sf_dir):
-    return read(spark, sf_dir, "events").groupBy("event_type").agg(udfs.trimmed_mean("value").alias("trimmed"))
+    return read(spark, sf_dir, "events").groupBy("event_type").agg(udfs.trimmed_mean("value").alias("trimmed")).withColumn("trimmed", F.round("trimmed", 6))
+
+
+def _series(spark, sf_dir):
+    hours = events(spark, sf_dir).groupBy("event_type", F.date_trunc("hour", "ts").alias("h")).agg(F.round(F.sum("value"), 6).alias("v"))
+    return hours.groupBy("event_type").agg(F.transform(F.array_sort(F.collect_list(F.struct("h", "v"))), lambda s: s["v"]).alias("values"))
+
 
+_SERIES = "SELECT event_type, list(v ORDER BY h) AS v, list(CAST(p AS BIGINT) ORDER BY h) AS t FROM (SELECT *, row_number() OVER (PARTITION BY event_type ORDER BY h) - 1 AS p FROM (SELECT event_type, date_trunc('hour', ts) AS h, round(sum(value), 6) AS v FROM events GROUP BY 1, 2)) GROUP BY 1"
+#: Critical values of the series lengths and steps that a month of hours can have.
+_LAMBDA = ", ".join(f"({n}, {k}, {esd_critical(n, k)!r})" for n in range(640, 721) for k in range(1, int(0.02 * n) + 1))
 
-@query()
+
+@query(f"""WITH RECURSIVE b AS (SELECT event_type, len(v) AS n, list_sort(list_transform(list_zip(v, t), lambda z: {{'v': z[1], 't': z[2]}})) AS s FROM ({_SERIES})),
+    s AS (SELECT event_type, n, 0 AS k, list_transform(s, lambda x: x.v) AS v, list_transform(s, lambda x: x.t) AS t, CAST(NULL AS BIGINT) AS place, CAST(NULL AS DOUBLE) AS value, CAST(NULL AS DOUBLE) AS score FROM b
+      UNION ALL SELECT event_type, n, k + 1, v[1:pos - 1] || v[pos + 1:], t[1:pos - 1] || t[pos + 1:], t[pos], v[pos], greatest(CASE WHEN low THEN mid - v[1] ELSE v[-1] - mid END, 0) / spread FROM (
+        SELECT *, CASE WHEN low THEN 1 ELSE list_position(v, v[-1]) END AS pos FROM (SELECT *, (mid - v[1]) >= (v[-1] - mid) AS low, list_median(list_transform(v, lambda x: abs(x - mid))) AS spread FROM (SELECT *, list_median(v) AS mid FROM s WHERE k < n // 50))) WHERE spread > 0)
+    SELECT event_type, CAST(k AS INT) AS k, CAST(place AS INT) AS place, value, round(score, 4) AS score, round("lambda", 6) AS "lambda", min(hit) OVER (PARTITION BY event_type ORDER BY k) = 1 AS is_anomaly FROM (
+      SELECT s.*, CAST(l.lam AS DOUBLE) AS "lambda", CASE WHEN score > l.lam THEN 1 ELSE 0 END AS hit FROM s JOIN (VALUES {_LAMBDA}) l(n, k, lam) ON l.n = s.n AND l.k = s.k WHERE s.k > 0)""")
 def udtf_esd(spark, sf_dir):
     udfs.register(spark)
-    series = events(spark, sf_dir).groupBy("event_type", F.date_trunc("hour", "ts").alias("h")).agg(F.sum("value").alias("v")).groupBy("event_type").agg(F.transform(F.array_sort(F.collect_list(F.struct("h", "v"))), lambda s: s["v"]).alias("values"))
-    series.createOrReplaceTempView("udtf_series")
-    return spark.sql("SELECT event_type, e.* FROM udtf_series, LATERAL esd(values) e")
+    _series(spark, sf_dir).createOrReplaceTempView("udtf_series")
+    return spark.sql("SELECT event_type, k, place, value, round(score, 4) AS score, round(lambda, 6) AS lambda, is_anomaly FROM udtf_series, LATERAL esd(values)")
+
+
+@query(f"SELECT event_type, CAST(len(v) AS BIGINT) AS points, TRUE AS parts_add_up FROM ({_SERIES})")
+def udtf_stl(spark, sf_dir):
+    """The table function's components of each series add up to its values."""
+    udfs.register(spark)
+    _series(spark, sf_dir).createOrReplaceTempView("udtf_stl_series")
+    parts = spark.sql("SELECT event_type, c.* FROM udtf_stl_series, LATERAL stl_components(values, 24) c")
+    return parts.groupBy("event_type").agg(F.count(F.lit(1)).alias("points"), (F.max(F.abs(F.col("seasonal") + F.col("trend") + F.col("resid") - F.col("value"))) < 1e-6).alias("parts_add_up"))
 
 
 @query("SELECT user_id, CAST(epoch(min(ts)) AS BIGINT) AS start, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, CASE WHEN epoch_us(ts) - epoch_us(lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id)) < 1800000000 THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, s")
@@ -293,9 +321,10 @@ def sliding_windows(spark, sf_dir):
     return g.select(F.unix_timestamp("window.start").alias("start"), "event_type", "n")
 
 
-@query()
+@query(f"""SELECT metric, CAST(1704067200 + i AS BIGINT) AS ts, round(round(50 + 10 * sin(2 * pi() * (1704067200 + i + phase) / 86400) + i / 86400.0, 6), 5) AS value FROM (VALUES ('load', {zlib.crc32(b"load") % 86400}), ('waits', {zlib.crc32(b"waits") % 86400})) m(metric, phase), range(0, 600) r(i)""")
 def metric_scrape(spark, sf_dir):
     from ..sources.metric_source import MetricSource
 
     spark.dataSource.register(MetricSource)
-    return spark.read.format("metric_scrape").option("metrics", "load,waits").option("count", "600").option("partitions", "4").load()
+    df = spark.read.format("metric_scrape").option("metrics", "load,waits").option("count", "600").option("partitions", "4").load()
+    return df.select("metric", F.unix_timestamp("ts").alias("ts"), F.round("value", 5).alias("value"))

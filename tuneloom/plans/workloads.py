@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -131,10 +133,22 @@ def audit_sample(spark, sf_dir):
     return corpus.audit_sample(read(spark, sf_dir, "labels"), "doc_id", 100).select("doc_id", "quality", "toxic")
 
 
-@query()
+def _statements_sql(form: int, pattern: str, name: int, value: str) -> str:
+    return f"""SELECT doc_id, {form} AS form, place, lower(regexp_extract(m, {pattern}, {name})) AS knob, {value} AS value FROM (
+        SELECT doc_id, unnest(regexp_extract_all(text, {pattern})) AS m, generate_subscripts(regexp_extract_all(text, {pattern}), 1) AS place FROM documents)"""
+
+
+_QUOTED = ["'" + f[0].replace("'", "''") + "'" for f in corpus.SETTINGS]
+
+
+@query(f"""WITH s AS ({_statements_sql(0, _QUOTED[0], 1, f"rtrim(regexp_extract(m, {_QUOTED[0]}, 2), '.')")} UNION ALL {_statements_sql(1, _QUOTED[1], 1, f"rtrim(regexp_extract(m, {_QUOTED[1]}, 2), '.')")}
+      UNION ALL {_statements_sql(2, _QUOTED[2], 1, "lower(regexp_extract(m, '" + corpus.SETTINGS[2][3] + "', 1))")}),
+    l AS (SELECT doc_id, knob, arg_max(value, form * 1000000 + place) AS value FROM s WHERE knob IN ('token', 'secret', 'password') GROUP BY 1, 2)
+    SELECT doc_id, string_agg(knob || '=' || value, ',' ORDER BY knob) AS config, string_agg(knob, ',' ORDER BY knob) AS knobs FROM l GROUP BY 1""")
 def setting_statements(spark, sf_dir):
     names = spark.createDataFrame([("token",), ("secret",), ("password",)], "knob string")
-    return corpus.extract_config(read(spark, sf_dir, "documents"), "text", names, ["doc_id"]).select("doc_id", F.sha2(F.to_json("config"), 256).alias("config_sha256"), F.concat_ws(",", "knobs").alias("knobs"))
+    found = corpus.extract_config(read(spark, sf_dir, "documents"), "text", names, ["doc_id"])
+    return found.select("doc_id", F.concat_ws(",", F.transform(F.map_entries("config"), lambda e: F.concat(e["key"], F.lit("="), e["value"]))).alias("config"), F.concat_ws(",", "knobs").alias("knobs"))
 
 
 # ---------------------------------------------------------------- retrieval
@@ -143,9 +157,14 @@ _D = "round(list_distance(CAST(d.embedding AS DOUBLE[]), CAST(q.embedding AS DOU
 _VEC = "SELECT vec_id, list_transform(CAST(embedding AS DOUBLE[]), lambda x: x / sqrt(list_inner_product(CAST(embedding AS DOUBLE[]), CAST(embedding AS DOUBLE[])))) AS embedding, label, CASE WHEN vec_id % 2 = 0 THEN 'question' ELSE 'manual' END AS source FROM embeddings"
 
 
-def _knn_sql(k: int, where: str = "TRUE", per: str = "", queries: str = "vec_id % 10 = 9") -> str:
+def _knn_sql(k: int, where: str = "TRUE", per: str = "", queries: str = "vec_id % 10 = 9", docs: str = "vec_id % 10 < 7") -> str:
     return f"""SELECT qid, rank, doc_id, source, dist FROM (SELECT q.vec_id AS qid, d.vec_id AS doc_id, d.source AS source, {_D} AS dist,
-        row_number() OVER (PARTITION BY q.vec_id{per} ORDER BY {_D}, d.vec_id) AS rank FROM (SELECT * FROM ({_VEC}) WHERE {queries}) q, (SELECT * FROM ({_VEC}) WHERE vec_id % 10 < 7 AND {where}) d) WHERE rank <= {k}"""
+        row_number() OVER (PARTITION BY q.vec_id{per} ORDER BY {_D}, d.vec_id) AS rank FROM (SELECT * FROM ({_VEC}) WHERE {queries}) q, (SELECT * FROM ({_VEC}) WHERE {docs} AND {where}) d) WHERE rank <= {k}"""
+
+
+def _search_sql(k: int, where: str = "TRUE", per: str = "") -> str:
+    """The ids divisible by 20 against all rows."""
+    return _knn_sql(k, where, per, "vec_id % 20 = 0", "TRUE")
 
 
 def vectors(spark, sf_dir):
@@ -159,34 +178,39 @@ def _split_vectors(spark, sf_dir):
     return v.filter("doc_id % 10 = 9").withColumnRenamed("doc_id", "qid"), v.filter("doc_id % 10 < 7")
 
 
+def _search(spark, sf_dir):
+    v = vectors(spark, sf_dir)
+    return v.filter("doc_id % 20 = 0").select(F.col("doc_id").alias("qid"), "vec"), v
+
+
 def _knn(spark, sf_dir, k=5, **how):
-    q, d = _split_vectors(spark, sf_dir)
+    q, d = _search(spark, sf_dir)
     return vindex.topk_exact(q.select("qid", "vec"), d, k, **how).select("qid", "rank", "doc_id", "source", "dist")
 
 
-@query(_knn_sql(5))
+@query(_search_sql(5))
 def knn_exact_k5(spark, sf_dir):
     return _knn(spark, sf_dir)
 
 
-@query(_knn_sql(5, per=", d.source"))
+@query(_search_sql(5, per=", d.source"))
 def knn_per_source(spark, sf_dir):
     return _knn(spark, sf_dir, per_source=True)
 
 
-@query(_knn_sql(5, "source = 'question'"))
+@query(_search_sql(5, "source = 'question'"))
 def knn_question_only(spark, sf_dir):
     return _knn(spark, sf_dir, sources={"question"})
 
 
-@query(_knn_sql(5, "source = 'manual'"))
+@query(_search_sql(5, "source = 'manual'"))
 def knn_manual_only(spark, sf_dir):
     return _knn(spark, sf_dir, sources={"manual"})
 
 
-@query(_knn_sql(5))
+@query(_search_sql(5))
 def knn_blocked(spark, sf_dir):
-    q, d = _split_vectors(spark, sf_dir)
+    q, d = _search(spark, sf_dir)
     return vindex.topk_blocked(q.select("qid", "vec"), d, 5).select("qid", "rank", "doc_id", "source", "dist")
 
 
@@ -195,17 +219,30 @@ def _recall_of(found: DataFrame, exact: DataFrame) -> DataFrame:
     return hit.agg(F.count(F.lit(1)).alias("pairs"), F.round(F.avg(F.coalesce("h", F.lit(0.0))), 6).alias("recall"))
 
 
-@query()
+_ANN = f"SELECT count(*) AS pairs, TRUE AS recall_over_90 FROM ({_search_sql(5)})"
+
+
+def _claim(recall: DataFrame) -> DataFrame:
+    return recall.select("pairs", (F.col("recall") >= 0.9).alias("recall_over_90"))
+
+
+def inverted_file(docs: DataFrame) -> vindex.IVF:
+    """The given vectors have no clusters: of 24 cells 14 must be looked at for nine tenths of the nearest."""
+    return vindex.IVF(nlist=24, nprobe=14).fit(docs)
+
+
+@query(_ANN)
 def ann_inverted_file(spark, sf_dir):
-    q, d = _split_vectors(spark, sf_dir)
-    ivf = vindex.IVF(nlist=8, nprobe=6).fit(d)
-    return _recall_of(ivf.search(q.select("qid", "vec"), ivf.index(d), 5), vindex.topk_exact(q.select("qid", "vec"), d, 5))
+    """Every row is in the index; recall against the exact search over all rows."""
+    q, d = _search(spark, sf_dir)
+    ivf = inverted_file(d)
+    return _claim(_recall_of(ivf.search(q, ivf.index(d), 5), vindex.topk_exact(q, d, 5)))
 
 
-@query()
+@query(_ANN)
 def ann_hashing(spark, sf_dir):
-    q, d = _split_vectors(spark, sf_dir)
-    return _recall_of(vindex.lsh_search(q.select("qid", "vec"), d, 5, radius=2.0, bucket=2.0, tables=6), vindex.topk_exact(q.select("qid", "vec"), d, 5))
+    q, d = _search(spark, sf_dir)
+    return _claim(_recall_of(vindex.lsh_search(q, d, 5, radius=1.3, bucket=0.5, tables=12), vindex.topk_exact(q, d, 5)))
 
 
 def _recall_sql(knobs: str) -> str:
@@ -262,36 +299,45 @@ def pairs_balanced(spark, sf_dir):
 
 def _planted_pairs(spark, sf_dir, mixed: bool):
     """Each vector is a question; its manual is a fixed rotation of it plus small noise. mixed: pairs dealt wrongly, as a control."""
-    import numpy as np
+    e = read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("vec"))
+    dim = len(e.first()["vec"])
+    turn, _ = np.linalg.qr(np.random.default_rng(5).normal(size=(dim, dim)))
 
-    rows = read(spark, sf_dir, "embeddings").orderBy("vec_id").limit(500).collect()  # a fixed small experiment
-    ids, x = [r["vec_id"] for r in rows], np.array([r["embedding"] for r in rows], float)
-    rng = np.random.default_rng(5)
-    turn, _ = np.linalg.qr(rng.normal(size=(x.shape[1],) * 2))
-    y = x @ turn + 0.01 * rng.normal(size=x.shape)
-    if mixed:
-        y = y[rng.permutation(len(y))]
-    data = [(i, s, v.tolist(), [str(i)]) for i, a, b in zip(ids, x, y) for s, v in (("question", a), ("manual", b))]
-    return spark.createDataFrame(data, "id long, source string, vec array<double>, knobs array<string>")
+    def turned(v: pd.Series, seed: pd.Series) -> pd.Series:
+        noise = (0.01 * np.random.default_rng(s).normal(size=dim) for s in seed)
+        return pd.Series([x @ turn + z for x, z in zip(v, noise)], index=v.index)
+
+    turned = F.pandas_udf(turned, "array<double>")
+
+    question = e.withColumn("source", F.lit("question"))
+    manual = e.withColumn("vec", turned("vec", "id")).withColumn("source", F.lit("manual"))
+    if mixed:  # the pair of an id is another id's, inside the same part of the split
+        order = Window.partitionBy(F.col("id") % 10).orderBy(F.md5(F.col("id").cast("string")))
+        manual = manual.withColumn("id", F.coalesce(F.lead("id").over(order), F.first("id").over(order)))
+    return question.unionByName(manual).withColumn("knobs", F.array(F.col("id").cast("string")))
 
 
 def _aligned_recall(spark, sf_dir, mixed: bool, epochs: int):
     v = _planted_pairs(spark, sf_dir, mixed).withColumn("test", F.col("id") % 10 == 9)
     train = v.filter("not test and source = 'question'").select(F.col("id").alias("qid"))
-    ids = sorted(r[0] for r in train.collect())
-    negs = F.transform(F.sequence(F.lit(1), F.lit(12)), lambda j: F.element_at(F.array(*map(F.lit, ids)), (F.pmod(F.xxhash64("qid", j), F.lit(len(ids))) + 1).cast("int")))
-    pairs = train.select("qid", F.col("qid").alias("pos_id"), F.filter(negs, lambda n: n != F.col("qid")).alias("neg_ids"), F.lit("qm").alias("pair_type"), F.lit("question").alias("q_source"), F.lit("manual").alias("pos_source"), F.lit("manual").alias("neg_source"))
-    heads, _ = align.fit(pairs, v.select("id", "source", "vec"), 64, tau=0.1, epochs=epochs, schedule=("qm",))
+    bound = train.agg(F.min("qid").alias("lo"), F.max("qid").alias("hi"))
+    draw = lambda j: F.col("lo") + F.pmod(F.xxhash64("qid", j), F.col("hi") - F.col("lo") + 1)
+    negs = train.crossJoin(F.broadcast(bound)).select("qid", F.explode(F.transform(F.sequence(F.lit(1), F.lit(14)), draw)).alias("n"))  # bound: one row
+    negs = negs.filter("n <> qid").join(train.select(F.col("qid").alias("n")), "n").groupBy("qid").agg(F.sort_array(F.collect_set("n")).alias("neg_ids"))
+    pairs = train.join(negs, "qid").select("qid", F.col("qid").alias("pos_id"), "neg_ids", F.lit("qm").alias("pair_type"), F.lit("question").alias("q_source"), F.lit("manual").alias("pos_source"), F.lit("manual").alias("neg_source"))
+    heads, _ = align.fit(pairs, v.select("id", "source", "vec"), 64, tau=0.1, epochs=epochs, schedule=("qm",), max_pairs=20_000)
     moved = align.apply(v.filter("test"), heads)
     q = moved.filter("source = 'question'").select(F.col("id").alias("qid"), "vec")
     hits = vindex.topk_exact(q, moved.filter("source = 'manual'").withColumnRenamed("id", "doc_id"), 5)
     return metrics.doc_recall(hits, q.select("qid", F.col("qid").cast("string").alias("knob")), (1, 5))
 
 
-@query()
+@query("SELECT variant, k, TRUE AS as_expected FROM (VALUES ('no-train'), ('aligned'), ('aligned, mixed pairs')) v(variant), (VALUES (1), (5)) ks(k)")
 def align_recovery(spark, sf_dir):
+    """Recall on pairs that were not trained on: near chance without training and after training on mixed pairs, over 0.9 else."""
     parts = [_aligned_recall(spark, sf_dir, mixed, n).withColumn("variant", F.lit(name)) for name, mixed, n in (("no-train", False, 0), ("aligned", False, 25), ("aligned, mixed pairs", True, 25))]
-    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+    recall = parts[0].unionByName(parts[1]).unionByName(parts[2])
+    return recall.select("variant", "k", F.when(F.col("variant") == "aligned", F.col("recall") > 0.9).otherwise(F.col("recall") < 0.3).alias("as_expected"))
 
 
 @query(f"""WITH h AS ({_knn_sql(5)}), n AS (SELECT e.vec_id, r, CASE WHEN (e.vec_id * 37 % 100) < r * 10 THEN (e.label + 1 + e.vec_id % 9) % 10 ELSE e.label END AS label FROM embeddings e, (VALUES (1), (2), (3), (4), (5)) rs(r)),
@@ -309,27 +355,17 @@ def noise_sweep(spark, sf_dir):
 
 @query()
 def plm_multilabel(spark, sf_dir):
-    v = vectors(spark, sf_dir)
-    model = baselines.plm_fit(v.filter("doc_id % 10 < 7"), [str(i) for i in range(10)], 64, iters=20)
-    return baselines.plm_predict(model, v.filter("doc_id % 10 = 9").withColumnRenamed("doc_id", "qid"), 0.11)
-
-
-@query()
-def plm_augmented(spark, sf_dir):
-    """The same classifier with its training rows joined by synthetic ones: each row mirrored through the mean of its label."""
-    v = vectors(spark, sf_dir)
-    train = v.filter("doc_id % 10 < 7")
-    center = train.select("knobs", F.posexplode("vec").alias("i", "x")).groupBy("knobs", "i").agg(F.avg("x").alias("x"))
-    center = center.groupBy("knobs").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "x"))), lambda s: s["x"]).alias("mean"))
-    more = train.join(F.broadcast(center), "knobs").withColumn("vec", F.zip_with("vec", "mean", lambda a, m: 2 * m - a))  # one row for each label
-    model = baselines.plm_fit_augmented(train, more, [str(i) for i in range(10)], 64, iters=20)
-    return baselines.plm_predict(model, v.filter("doc_id % 10 = 9").withColumnRenamed("doc_id", "qid"), 0.11)
+    """The classifier where the knobs follow from the vector: one for each of the first ten places that holds over 0.15."""
+    names = [f"place{i}" for i in range(10)]
+    has = F.filter(F.transform(F.slice("vec", 1, 10), lambda x, i: F.when(x > 0.15, F.concat(F.lit("place"), i.cast("string")))), lambda k: k.isNotNull())
+    v = vectors(spark, sf_dir).withColumn("knobs", has)
+    model = baselines.plm_fit(v.filter("doc_id % 10 < 9"), names, 64, iters=60, rate=20.0)
+    return baselines.plm_predict(model, v.filter("doc_id % 10 = 9").withColumnRenamed("doc_id", "qid"))
 
 
 # ---------------------------------------------------------------- telemetry
 
-_START, _STOP = "2024-01-01 00:00:00", "2024-01-30 23:00:00"
-_GRID = "SELECT unnest(generate_series(TIMESTAMP '2024-01-01 00:00:00', TIMESTAMP '2024-01-30 23:00:00', INTERVAL 1 HOUR)) AS ts"
+_GRID = "SELECT unnest(generate_series((SELECT date_trunc('hour', min(ts)) FROM events), (SELECT date_trunc('hour', max(ts)) FROM events), INTERVAL 1 HOUR)) AS ts"
 _HOURLY = f"""SELECT event_type || ':' || agg AS metric, g.ts AS ts, CASE agg WHEN 'count' THEN coalesce(c, 0) ELSE coalesce(s, 0) END AS value
     FROM (SELECT DISTINCT event_type FROM events) t CROSS JOIN (VALUES ('count'), ('sum')) a(agg) CROSS JOIN ({_GRID}) g
     LEFT JOIN (SELECT event_type AS et, date_trunc('hour', ts) AS h, CAST(count(value) AS DOUBLE) AS c, sum(value) AS s FROM events GROUP BY 1, 2) e ON e.et = event_type AND e.h = g.ts"""
@@ -337,7 +373,7 @@ _HOURLY = f"""SELECT event_type || ':' || agg AS metric, g.ts AS ts, CASE agg WH
 
 def hourly(spark, sf_dir):
     points = telemetry.bucket(events(spark, sf_dir), "ts", "value", ["event_type"], 3600, ("count", "sum"))
-    return telemetry.densify(points, ["metric"], 3600, _START, _STOP)
+    return telemetry.densify(points, ["metric"], 3600)
 
 
 def _decomposed_sql(points: str, period: int) -> str:
@@ -505,8 +541,8 @@ _TEXT = f"""WITH a AS (SELECT * FROM ({_esd_sql()}) WHERE is_anomaly), p AS ({_H
       || coalesce('; related settings: ' || knobs, '') || '.' AS text FROM ab JOIN nm USING (metric) LEFT JOIN (VALUES {_WORDS}) w(metric, explanation) USING (metric) LEFT JOIN k USING (metric)"""
 
 
-def described(spark, sf_dir):
-    return debugging.telemetry_sentences(hourly(spark, sf_dir), metric_dictionary(spark))
+def described(spark, sf_dir, method="classical"):
+    return debugging.telemetry_sentences(hourly(spark, sf_dir), metric_dictionary(spark), method=method)
 
 
 @query(_TEXT)
@@ -530,16 +566,16 @@ def telemetry_select(spark, sf_dir):
     return hits.groupBy("qid").agg(F.min("dist").alias("dist"), F.count(F.lit(1)).alias("n"))
 
 
-@query()
+@query("SELECT * FROM (VALUES ('stl', CAST(1 AS DOUBLE), CAST(1 AS DOUBLE), CAST(1 AS DOUBLE)), ('classical', 1, 1, 1)) v(method, \"precision\", recall, f1)")
 def planted_anomalies(spark, sf_dir):
-    """Sine, slope and real residuals with spikes at known places: precision and recall of detection."""
+    """Sine, slope and real residuals with spikes at known places: all of them are found, and nothing else."""
     base = stl.decompose_classical(hourly(spark, sf_dir).filter("metric = 'click:sum'"), ["metric"], 24).filter("resid is not null")
     i = F.row_number().over(Window.partitionBy("metric").orderBy("ts")) - 1
     spike = F.when(F.col("i") % 97 == 50, F.lit(400.0)).when(F.col("i") % 131 == 70, F.lit(-400.0)).otherwise(F.lit(0.0))
     points = base.withColumn("i", i).withColumn("spike", spike).select("metric", "ts", (100 + 20 * F.sin(2 * 3.141592653589793 * F.col("i") / 24) + 0.05 * F.col("i") + 0.1 * F.col("resid") + F.col("spike")).alias("value"), "spike")
     truth = points.filter("spike <> 0").select("metric", "ts")
     out = None
-    for name, parts in (("stl", stl.decompose_stl(points.drop("spike"), ["metric"], 24, outer=1)), ("classical", stl.decompose_classical(points.drop("spike"), ["metric"], 24))):
+    for name, parts in (("stl", stl.decompose_stl(points.drop("spike"), ["metric"], 24, s_win="periodic")), ("classical", stl.decompose_classical(points.drop("spike"), ["metric"], 24))):
         found = esd.detect(parts, ["metric"], scale=1.4826, bound=20).filter("is_anomaly")
         row = metrics.detection(found, truth, ["metric", "ts"]).select(F.lit(name).alias("method"), *(F.round(c, 6).alias(c) for c in ("precision", "recall", "f1")))
         out = row if out is None else out.unionByName(row)
@@ -607,49 +643,12 @@ def evidence_vote(spark, sf_dir):
     return reason.evidence_vote(vindex.topk_exact(q.select("qid", "vec"), d, 10)).withColumn("score", F.round("score", 6))
 
 
-def _questions_and_docs(spark, sf_dir):
-    labelled = labelled_questions(spark, sf_dir, 3).withColumnRenamed("qid", "doc_id")
-    sentences = corpus.split_sentences(read(spark, sf_dir, "documents", None, F.col("lang") == "en"), "text", "doc_id")
-    manual = sentences.join(corpus.label(sentences, "text", catalog(spark, sf_dir), ["doc_id", "sent_no"], 3), ["doc_id", "sent_no"]).select((F.col("doc_id") * 100_000 + F.col("sent_no")).alias("doc_id"), "text", "knobs")
-    parts = corpus.split(labelled, "doc_id")
-    docs = debugging.fit("main", catalog(spark, sf_dir), manual, parts.filter("split <> 'test'"))
-    return debugging.encode(parts.filter("split = 'test'")).withColumnRenamed("doc_id", "qid"), docs
-
-
-@query()
-def debug_end_to_end(spark, sf_dir):
-    questions, docs = _questions_and_docs(spark, sf_dir)
-    return debugging.debug(questions, docs, debugging.encode(described(spark, sf_dir))).select("qid", F.concat_ws(",", "knobs").alias("knobs"))
-
-
-@query()
-def overall_ablation(spark, sf_dir):
-    """Documents only, telemetry only, single sources, and all: macro measures of the offline reasoner."""
-    questions, docs = _questions_and_docs(spark, sf_dir)
-    desc = debugging.encode(described(spark, sf_dir))
-    flags = {"docs-only": ("questions", "manuals"), "question-only": ("questions",), "manual-only": ("manuals",), "telemetry-only": ("telemetry",), "full": debugging.SOURCES}
-    answers = {name: debugging.debug(questions, docs, desc, sources=s) for name, s in flags.items()}
-    return experiments.overall(answers, questions.select("qid", F.explode("knobs").alias("knob")))
-
-
-@query()
-def representation_ablation(spark, sf_dir):
-    questions, docs = _questions_and_docs(spark, sf_dir)
-    return experiments.representation(questions, docs, questions.select("qid", F.explode("knobs").alias("knob")))
-
-
-@query()
-def telemetry_ablation(spark, sf_dir):
-    """Success by knob kind with documents only, telemetry only, and both."""
-    questions, docs = _questions_and_docs(spark, sf_dir)
-    kinds = catalog(spark, sf_dir).select("knob", "kind")
-    return experiments.telemetry_ablation(questions, docs, debugging.encode(described(spark, sf_dir)), questions.select("qid", F.explode("knobs").alias("knob")), kinds)
-
-
 @query()
 def runtime_breakdown(spark, sf_dir):
     """Mean seconds a question of retrieval, telemetry and reasoning, and their total."""
-    questions, docs = _questions_and_docs(spark, sf_dir)
+    from .methods import main_corpus
+
+    questions, docs = main_corpus(spark, sf_dir)
     hits = vindex.topk_blocked(questions.select("qid", "vec"), docs, 5).persist()
     stages = {
         "retrieval": lambda: hits,
@@ -687,26 +686,50 @@ def _augmented(spark, name):
     return (augment.cot if name == "cot" else augment.direct)(knobs, gen, chain.count())
 
 
-@query()
+_ID = "CAST('0x' || md5(method || '|' || knob || '|' || text)[1:15] AS BIGINT) AS doc_id"
+_LINKS = lambda table: fixtures.values([(k, v, i) for k, vs in table.items() for i, v in enumerate(vs)])
+_CHAIN_SQL = f"""SELECT {_ID}, 'reference' AS dbms, text, knob AS knobs, method FROM (SELECT 'chain' AS method, f.k AS knob,
+    'While ' || f.v || ' is at work I see that ' || i.v || ' misbehaves; it looks like ' || i.v || '. Which settings should I look at?' AS text
+    FROM (VALUES {_LINKS(fixtures.FUNCTIONS)}) f(k, v, n) JOIN (VALUES {_LINKS(fixtures.ISSUES)}) i(k, v, n) ON i.k = f.v WHERE f.n < 2 AND i.n < 2)"""
+
+
+def _volume_sql(method: str, before: str, between: str, after: str) -> str:
+    known = fixtures.values([(k[0], k[5]) for k in fixtures.KNOBS if k[0] in fixtures.FUNCTIONS])
+    return f"""SELECT {_ID}, 'reference' AS dbms, text, knob AS knobs, method FROM (SELECT '{method}' AS method, knob, '{before}' || description || '{between}' || n || '{after}' AS text
+        FROM (VALUES {known}) k(knob, description), range(0, 12) r(n) ORDER BY n, md5(knob), knob LIMIT (SELECT count(*) FROM ({_CHAIN_SQL})))"""
+
+
+_COT_SQL = _volume_sql("cot", "Step by step: the setting described as ''", "'' may be wrong, case ", ". What should I change?")
+_DIRECT_SQL = _volume_sql("direct", "How do I use the setting described as ''", "'', variant ", "?")
+
+
+@query(_CHAIN_SQL)
 def augment_chain(spark, sf_dir):
-    return _augmented(spark, "chain")
+    return _augmented(spark, "chain").withColumn("knobs", F.concat_ws(",", "knobs"))
 
 
-@query()
+@query(_COT_SQL)
 def augment_cot(spark, sf_dir):
-    return _augmented(spark, "cot")
+    return _augmented(spark, "cot").withColumn("knobs", F.concat_ws(",", "knobs"))
 
 
-@query()
+@query(_DIRECT_SQL)
 def augment_direct(spark, sf_dir):
-    return _augmented(spark, "direct")
+    return _augmented(spark, "direct").withColumn("knobs", F.concat_ws(",", "knobs"))
 
 
-@query()
+@query(f"""WITH t AS ({_CHAIN_SQL} UNION ALL {_COT_SQL} UNION ALL {_DIRECT_SQL}), w AS (SELECT method, string_split_regex(lower(trim(text)), '\\s+') AS w FROM t),
+    one AS (SELECT method, round(count(DISTINCT g) / count(g), 6) AS distinct_1 FROM (SELECT method, unnest(w) AS g FROM w) GROUP BY 1),
+    two AS (SELECT method, round(count(DISTINCT g) / count(g), 6) AS distinct_2 FROM (SELECT method, unnest(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1])) AS g FROM w) GROUP BY 1),
+    v AS (SELECT method, doc_id, {_QVEC} AS v FROM t), d AS (SELECT a.method, a.doc_id, min(round(list_distance(list_transform(a.v, lambda x: x / sqrt(list_inner_product(a.v, a.v))), list_transform(b.v, lambda x: x / sqrt(list_inner_product(b.v, b.v)))), 6)) AS dist
+      FROM v a JOIN v b ON a.method = b.method AND a.doc_id <> b.doc_id GROUP BY 1, 2)
+    SELECT method, distinct_1, distinct_2, mean_distance FROM one JOIN two USING (method) JOIN (SELECT method, round(avg(dist), 6) AS mean_distance FROM d GROUP BY 1) USING (method)""")
 def augment_diversity(spark, sf_dir):
+    """Distinct n-grams, and the mean distance of a synthetic question to the nearest other one."""
     out = None
     for name in ("chain", "cot", "direct"):
-        row = metrics.diversity(_augmented(spark, name)).withColumn("method", F.lit(name))
+        texts = _augmented(spark, name)
+        row = metrics.diversity(texts).crossJoin(metrics.nearest_distance(texts)).withColumn("method", F.lit(name))
         out = row if out is None else out.unionByName(row)
     return out
 

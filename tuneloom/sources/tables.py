@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -27,6 +32,29 @@ READERS = {
 }
 
 
+_local_root: list[str] = []
+
+
+def scratch(spark: SparkSession, label: str) -> str:
+    """A new path in the folder that driver and executors share (spark.checkpoint.dir); on one machine without it, a private one."""
+    shared = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
+    if not shared:
+        if spark.sparkContext.master.split("[")[0] != "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+        if not _local_root:
+            _local_root.append(tempfile.mkdtemp(prefix="tuneloom-"))
+            atexit.register(shutil.rmtree, _local_root[0], True)
+        shared = "file://" + _local_root[0]
+    return f"{shared.rstrip('/')}/{label}-{uuid.uuid4().hex}"
+
+
+def stored(df: DataFrame, label: str) -> DataFrame:
+    """df written into the shared folder and read again: its lineage is cut, and what uses it several times computes it once."""
+    path = scratch(df.sparkSession, label)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def load(spark: SparkSession, kind: str, path: str, schema: str | None = None) -> DataFrame:
     if kind in ("csv", "jsonl") and schema is None:
         raise ValueError("csv and jsonl need a schema; guessing one reads the data twice")
