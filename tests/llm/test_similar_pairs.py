@@ -41,8 +41,8 @@ def test_near_copies_equal_all_pairs(spark):
     rng.shuffle(rows)
     want = brute(rows)
     df = spark.createDataFrame([*rows, (None, rows[0][1])], "doc_id long, text string").repartition(3)
-    for small in (3, 16):
-        assert {r["doc_id"]: r["component_id"] for r in similar_pairs.similar_groups(df, small=small).collect()} == want
+    for small, block in ((3, 7), (3, 2000), (16, 25)):
+        assert {r["doc_id"]: r["component_id"] for r in similar_pairs.similar_groups(df, small=small, block=block).collect()} == want
     kept = {r["doc_id"] for r in stages.near_duplicates(spark, df, "").collect()}
     assert kept == set(want.values()) | {None}
     assert similar_pairs.similar_groups(df.filter("doc_id < 0")).collect() == []

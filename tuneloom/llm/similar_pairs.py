@@ -9,9 +9,10 @@ The operator of near duplicates by fingerprints (see simhash_dedup) sees at most
 3. Texts that share a key and whose sketches differ in at most 32 bits (at J = 0.8 13 are expected; more than 32 have a
    probability under 1e-6), and the pairs of close fingerprints, are compared by their whole shingle sets; only pairs that
    reach the threshold are linked.
-4. Buckets of up to `small` texts give all their pairs. A larger one first gives the pairs with its smallest text, and
-   after the links so found are joined to groups, all pairs across groups. So a large group of mutual copies costs no
-   square of its size, and no pair that could join two groups is left out.
+4. Buckets of up to `small` texts give all their pairs. A larger one first gives the pairs with its most central texts, and
+   after the links so found are joined to groups, its texts outside the largest group meet all its texts, in blocks of
+   `block` texts on either side. So a large group of copies costs no square of its size, and no pair that could join two
+   groups is left out.
 
 Sets are compared as sets of 64-bit hashes. Texts equal but for case and white space collapse before the search.
 
@@ -29,6 +30,7 @@ from pyspark.sql import functions as F
 
 from .common import batch_of, column, pieces, stored
 from .simhash_dedup import components, fingerprint, links
+from .winnowing import among
 
 HASHES, ROWS, BANDS, MOST_BITS = 128, 5, 25, 32
 _B, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
@@ -90,13 +92,24 @@ def _close(sketch: np.ndarray, other: np.ndarray) -> np.ndarray:
     return np.bitwise_count((sketch ^ other).view(np.uint64)).sum(axis=1) <= MOST_BITS
 
 
+def _centres(marks: np.ndarray, most: int = 8) -> list[int]:
+    """The sketches nearest the majority of each bit."""
+    bits = np.unpackbits(np.ascontiguousarray(marks).view(np.uint8), axis=1)
+    far = (bits != (2 * bits.sum(axis=0, dtype=np.int64) > len(bits))).sum(axis=1)
+    return np.argsort(far, kind="stable")[:most].tolist()
+
+
 def _runs(key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
     return first, np.diff(np.append(first, len(key)))
 
 
-def _pairs(key, node, sketch, root, small: int, across: bool):
-    """Yields (a, b) arrays of pairs of whole runs of equal keys. across: all pairs of different roots, else see above."""
+def _pairs(key, node, sketch, small: int):
+    """Yields (a, b) arrays of pairs of whole runs of equal keys.
+
+    Copies of one text resemble it more than each other: a large run's pairs are those of the few texts whose sketches lie
+    nearest the bits most sketches have, so the text that was copied, if it is there, is among them.
+    """
     first, length = _runs(key)
     size = np.repeat(np.where(length <= small, length, 0), length)
     place = np.arange(len(key)) - np.repeat(first, length)
@@ -104,13 +117,12 @@ def _pairs(key, node, sketch, root, small: int, across: bool):
         i = np.flatnonzero(place + d < size)
         if not len(i):
             break
-        i = i[(root[i] != root[i + d]) & _close(sketch[i], sketch[i + d])]
+        i = i[_close(sketch[i], sketch[i + d])]
         yield node[i], node[i + d]
     for f, n in zip(first[length > small], length[length > small]):
-        run, marks, roots = node[f : f + n], sketch[f : f + n], root[f : f + n]
-        for p in range(n - 1) if across else [int(np.argmin(run))]:
-            lo = p + 1 if across else 0
-            hit = np.flatnonzero((roots[lo:] != roots[p]) & _close(marks[lo:], marks[p])) + lo
+        run, marks = node[f : f + n], sketch[f : f + n]
+        for p in _centres(marks):
+            hit = np.flatnonzero(_close(marks, marks[p]) & (run != run[p]))
             if len(hit):
                 yield np.full(len(hit), run[p]), run[hit]
 
@@ -149,24 +161,23 @@ def _recurring(rows: DataFrame) -> DataFrame:
     return rows.repartition("key").sortWithinPartitions("key").mapInArrow(run, "key long, node long, s0 long, s1 long, n long")
 
 
-def _candidates(rows: DataFrame, small: int, across: bool) -> DataFrame:
-    """(a, b), a < b, of rows (key, node, s0, s1, root)."""
+def _candidates(rows: DataFrame, small: int) -> DataFrame:
+    """(a, b), a < b, of rows (key, node, s0, s1)."""
     out = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
-    def find(key, node, s0, s1, root):
-        for a, b in _pairs(key, node, np.stack([s0, s1], axis=1), root, small, across):
+    def find(key, node, s0, s1):
+        for a, b in _pairs(key, node, np.stack([s0, s1], axis=1), small):
             yield [np.minimum(a, b), np.maximum(a, b)]
 
     def run(batches):
-        yield from _by_run(batches, ("key", "node", "s0", "s1", "root"), find, out)
+        yield from _by_run(batches, ("key", "node", "s0", "s1"), find, out)
 
     return rows.repartition("key").sortWithinPartitions("key").mapInArrow(run, "a long, b long").distinct()
 
 
-def _verified(pairs: DataFrame, source: DataFrame, nodes: DataFrame, width: int, threshold: float) -> DataFrame:
-    """The pairs (src, dst) whose shingle sets reach the threshold."""
+def _sets(source: DataFrame, nodes: DataFrame, used: DataFrame, width: int) -> DataFrame:
+    """(node, grams): the shingle sets of the used nodes."""
     out = pa.schema([("node", pa.int64()), ("grams", pa.binary())])
-    link = pa.schema([("src", pa.int64()), ("dst", pa.int64())])
 
     def grams(batches):
         for batch in pieces(batches, "body"):
@@ -178,6 +189,53 @@ def _verified(pairs: DataFrame, source: DataFrame, nodes: DataFrame, width: int,
             if rows:
                 yield batch_of(out, list(zip(*rows)))
 
+    found = source.join(nodes.select("node", "doc_id").join(used, "node"), "doc_id").select("node", "body").mapInArrow(grams, "node long, grams binary")
+    return stored(found.dropDuplicates(["node"]), "grams")
+
+
+def _across(large: DataFrame, source: DataFrame, nodes: DataFrame, width: int, threshold: float, block: int) -> DataFrame:
+    """Links (src, dst) between different groups inside large buckets. large: key, node, s0, s1, root.
+
+    In each bucket the texts outside its largest group meet all its texts: both sides go in blocks, a pair of blocks is one
+    task's work, and no pair becomes a row.
+    """
+    link = pa.schema([("src", pa.int64()), ("dst", pa.int64())])
+    main = large.groupBy("key", "root").agg(F.count(F.lit(1)).alias("n")).groupBy("key").agg(F.max_by("root", F.struct("n", "root")).alias("main"), F.sum("n").alias("n"), F.max("n").alias("most"))
+    main = stored(main.withColumn("others", F.col("n") - F.col("most")).filter("others > 0").select("key", "main", "n", "others"), "buckets")
+    rows = large.join(main, "key")
+    at = lambda n: F.pmod(F.xxhash64("node"), F.ceil(F.col(n) / block)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), (F.ceil(F.col(n) / block) - 1).cast("int")))
+    sides = rows.select("key", "node", "s0", "s1", "root", F.lit(False).alias("other"), at("n").alias("x"), every("others").alias("y"))
+    sides = sides.unionByName(rows.filter("root <> main").select("key", "node", "s0", "s1", "root", F.lit(True).alias("other"), every("n").alias("x"), at("others").alias("y")))
+    sides = sides.join(_sets(source, nodes, rows.select("node").distinct(), width), "node")
+
+    def compare(table: pa.Table) -> pa.Table:
+        node, root = np.asarray(table["node"].combine_chunks()), np.asarray(table["root"].combine_chunks())
+        sketch = np.stack([np.asarray(table[c].combine_chunks()) for c in ("s0", "s1")], axis=1)
+        other = table["other"].combine_chunks().to_numpy(zero_copy_only=False).astype(bool)
+        sets = [np.frombuffer(g, np.uint64) for g in table["grams"].to_pylist()]
+        member, src, dst = np.flatnonzero(~other), [], []
+        for i in np.flatnonzero(other):
+            near = member[(root[member] != root[i]) & _close(sketch[member], sketch[i])]
+            if not len(near):
+                continue
+            size = np.array([len(sets[k]) for k in near])
+            start = np.concatenate([[0], np.cumsum(size)[:-1]])
+            both = np.add.reduceat(among(np.concatenate([sets[k] for k in near]), sets[i]).astype(np.int64), start)
+            hit = near[both >= threshold * (size + len(sets[i]) - both) - 1e-9]
+            _, first = np.unique(root[hit], return_index=True)  # one link to each group
+            src.append(np.full(len(first), node[i]))
+            dst.append(node[hit[first]])
+        a, b = (np.concatenate(x) if x else np.empty(0, np.int64) for x in (src, dst))
+        return pa.Table.from_batches([batch_of(link, [np.minimum(a, b), np.maximum(a, b)])], link)
+
+    return sides.groupBy("key", "x", "y").applyInArrow(compare, "src long, dst long").distinct()
+
+
+def _verified(pairs: DataFrame, source: DataFrame, nodes: DataFrame, width: int, threshold: float) -> DataFrame:
+    """The pairs (src, dst) whose shingle sets reach the threshold."""
+    link = pa.schema([("src", pa.int64()), ("dst", pa.int64())])
+
     def compare(batches):
         for batch in batches:
             rows = []
@@ -189,8 +247,7 @@ def _verified(pairs: DataFrame, source: DataFrame, nodes: DataFrame, width: int,
             if rows:
                 yield batch_of(link, list(zip(*rows)))
 
-    used = pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct()
-    sets = stored(source.join(nodes.select("node", "doc_id").join(used, "node"), "doc_id").select("node", "body").mapInArrow(grams, "node long, grams binary").dropDuplicates(["node"]), "grams")
+    sets = _sets(source, nodes, pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct(), width)
     left, right = sets.toDF("a", "x"), sets.toDF("b", "y")
     return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(compare, "src long, dst long")
 
@@ -203,7 +260,7 @@ def _close_prints(nodes: DataFrame) -> DataFrame:
     return equal.unionByName(near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")))
 
 
-def similar_groups(docs: DataFrame, width: int = 5, threshold: float = 0.8, small: int = 16, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def similar_groups(docs: DataFrame, width: int = 5, threshold: float = 0.8, small: int = 16, block: int = 2000, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, component_id) for each row with an id; component_id is the smallest id that links of J >= threshold reach.
 
     The keys are laid out for thresholds of 0.8 and more.
@@ -227,15 +284,14 @@ def similar_groups(docs: DataFrame, width: int = 5, threshold: float = 0.8, smal
     nodes = stored(signed.groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.first("fp").alias("fp"), F.first("s0").alias("s0"), F.first("s1").alias("s1"), F.first("keys").alias("keys")), "nodes")
     rows = stored(_recurring(nodes.select(F.explode("keys").alias("key"), "node", "s0", "s1")), "recurring")
 
-    tried = _close_prints(nodes).unionByName(_candidates(rows.withColumn("root", F.col("node")), small, False)).distinct()
+    tried = _close_prints(nodes).unionByName(_candidates(rows, small)).distinct()
     tried = stored(tried, "candidates")
     similar = stored(_verified(tried, source, nodes, width, threshold), "similar")
     roots = components(similar)
     large = rows.filter(F.col("n") > small)
     if large.limit(1).count():
-        named = large.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-        more = stored(_candidates(named, small, True).join(tried, ["a", "b"], "left_anti"), "candidates")
-        found = stored(_verified(more, source, nodes, width, threshold), "similar")
+        named = large.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")).select("key", "node", "s0", "s1", "root")
+        found = stored(_across(named, source, nodes, width, threshold, block), "similar")
         if found.limit(1).count():
             roots = components(similar.unionAll(found))
     named = nodes.select("node", "doc_id").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
