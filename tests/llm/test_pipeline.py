@@ -65,9 +65,9 @@ def test_whole_run(spark):
 
     def leaks(text):
         text = decontamination.normal(text)
-        # an item within its budget shares words with the text; the rest need no distance
+        # one edit in twenty characters breaks three words in ten at most; the rest need no distance
         words = set(text.split())
-        return any(sum(w in words for w in i.split()) > 0.4 * len(i.split()) and edit_search(i, text) <= int(0.05 * len(i)) for _, i in bench if i)
+        return any(sum(w in words for w in i.split()) > 0.6 * len(i.split()) and edit_search(i, text) <= int(0.05 * len(i)) for _, i in bench if i)
 
     plain = {d: t for d, t in plain.items() if not leaks(t)}
     plain = {d: re.sub(r'(?i)(token = ")[0-9a-f]{32,}', r"\1" + secret_scan.BLANK, t) for d, t in plain.items()}

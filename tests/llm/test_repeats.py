@@ -47,8 +47,7 @@ def same(got, want):
 
 
 @pytest.mark.parametrize("name", TABLES)
-@pytest.mark.parametrize("shard_bytes", [4 << 20, 900])
-@pytest.mark.parametrize("least", [1000, 2])
+@pytest.mark.parametrize("shard_bytes,least", [(4 << 20, 1000), (900, 2)])
 def test_equal_brute_force(spark, monkeypatch, name, shard_bytes, least):
     rows = TABLES[name]
     docs = spark.createDataFrame([(d, t, 1, "x") for d, t in rows], "doc_id long, text string, anchor int, shard string").repartition(2)

@@ -63,4 +63,56 @@ QUERIES = {
     for f in (op1_license_scan, op2_simhash_dedup, op3_pseudonyms, op4_secret_scan, op5_phrase_automata, op6_suffix_dedup, op7_packing, op8_quality_rules, op9_language_id, op10_decontamination, pipeline)
 }
 
-ORACLE_SQL: dict[str, str] = {}
+_BLANK = r"[ \t\n\x0B\f\r]+"
+#: One row for each word of each document.
+_WORDS = f"""w AS MATERIALIZED (SELECT doc_id, i, word, count(*) OVER (PARTITION BY doc_id) AS n FROM (SELECT doc_id, unnest(ws) AS word, generate_subscripts(ws, 1) AS i FROM (
+    SELECT doc_id, list_filter(string_split_regex(coalesce(text, ''), '{_BLANK}'), lambda x: x <> '') AS ws FROM documents)))"""
+
+
+def _gram(n: int) -> str:
+    return f"string_agg(word, ' ') OVER (PARTITION BY doc_id ORDER BY i ROWS BETWEEN CURRENT ROW AND {n - 1} FOLLOWING)"
+
+
+def _covered(flag: str, n: int) -> str:
+    return f"max({flag}) OVER (PARTITION BY doc_id ORDER BY i ROWS BETWEEN {n - 1} PRECEDING AND CURRENT ROW)"
+
+
+def _phrase_sql(width: int = 50) -> str:
+    return f"""WITH {_WORDS}, g AS MATERIALIZED (SELECT doc_id, i, word, CASE WHEN i <= n - {width - 1} THEN md5({_gram(width)}) END AS h FROM w),
+        f AS (SELECT h, min(doc_id) AS first FROM g WHERE h IS NOT NULL GROUP BY h), b AS (SELECT g.doc_id, i, word, CASE WHEN first < g.doc_id THEN 1 ELSE 0 END AS bad FROM g LEFT JOIN f USING (h)),
+        c AS (SELECT doc_id, i, word, {_covered("bad", width)} AS gone FROM b),
+        r AS (SELECT doc_id, count(*) AS n_words, sum(gone) AS n_removed, coalesce(string_agg(word, ' ' ORDER BY i) FILTER (WHERE gone = 0), '') AS kept FROM c GROUP BY doc_id)
+      SELECT d.doc_id, coalesce(n_words, 0) AS n_words, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256 FROM documents d LEFT JOIN r USING (doc_id)"""
+
+
+def _quality_sql() -> str:
+    rules = quality_rules
+    later = {n: f"c{n}" for n in rules.LATER}
+    grams = ", ".join(f"CASE WHEN i <= n - {k - 1} THEN {_gram(k)} END AS g{k}" for k in (3, *later))
+    flags = ", ".join(["CASE WHEN g3 IS NOT NULL AND count(*) OVER (PARTITION BY doc_id, g3) > 1 THEN 1 ELSE 0 END AS f3"] + [f"CASE WHEN g{k} IS NOT NULL AND row_number() OVER (PARTITION BY doc_id, g{k} ORDER BY i) > 1 THEN 1 ELSE 0 END AS f{k}" for k in later])
+    cover = ", ".join(f"{_covered(f'f{k}', k)} AS x{k}" for k in (3, *later))
+    sums = ", ".join(f"sum(CASE WHEN x{k} = 1 THEN length(word) ELSE 0 END) AS c{k}" for k in later)
+    bad = " OR ".join([f"dup > {rules.LINE_CHARS} * size", f"n_symbols > {rules.SYMBOL_SHARE} * n_words"] + [f"c{k} > {most} * size" for k, most in rules.LATER.items()])
+    zero = ", ".join(f"coalesce(c{k}, 0) AS c{k}" for k in later)
+    return f"""WITH {_WORDS}, g AS (SELECT *, {grams} FROM w), f AS (SELECT *, {flags} FROM g), x AS (SELECT *, {cover} FROM f),
+        m AS (SELECT doc_id, count(*) AS n_words, sum(length(word)) AS word_chars, sum(x3) AS n_repeat_words, {sums} FROM x GROUP BY doc_id),
+        l AS (SELECT doc_id, line, count(*) AS n FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE regexp_matches(line, '[^ \\t\\n\\x0B\\f\\r]') GROUP BY 1, 2),
+        k AS (SELECT doc_id, sum(n - 1) AS n_dup_lines, sum((n - 1) * length(regexp_replace(line, '{_BLANK}', '', 'g'))) AS dup FROM l GROUP BY doc_id),
+        a AS (SELECT d.doc_id, coalesce(n_words, 0) AS n_words, coalesce(word_chars, 0) AS word_chars, length(regexp_replace(coalesce(text, ''), '[^#*$%&|<>]', '', 'g')) AS n_symbols, coalesce(n_dup_lines, 0) AS n_dup_lines,
+          coalesce(n_repeat_words, 0) AS n_repeat_words, coalesce(dup, 0) AS dup, greatest(coalesce(word_chars, 0), 1) AS size, {zero} FROM documents d LEFT JOIN m USING (doc_id) LEFT JOIN k USING (doc_id)),
+        v AS (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed, {bad} AS bad FROM a)
+      SELECT doc_id, n_words, CAST(word_chars AS BIGINT) AS word_chars, n_symbols, CAST(n_dup_lines AS BIGINT) AS n_dup_lines, CAST(n_repeat_words AS BIGINT) AS n_repeat_words, base_failed, NOT base_failed AND NOT bad AS kept,
+        CAST(dup AS DOUBLE) / size AS dup_line_chars, CAST(c5 AS DOUBLE) / size AS later_5gram_chars, CAST(c10 AS DOUBLE) / size AS later_10gram_chars FROM v"""
+
+
+def _bytes_sql(length: int = 100) -> str:
+    return f"""WITH w AS MATERIALIZED (SELECT doc_id, i, b, count(*) OVER (PARTITION BY doc_id) AS n FROM (SELECT doc_id, unnest(bs) AS b, generate_subscripts(bs, 1) AS i FROM (SELECT doc_id, regexp_extract_all(hex(encode(coalesce(text, ''))), '..') AS bs FROM documents))),
+        g AS MATERIALIZED (SELECT doc_id, i, b, CASE WHEN i <= n - {length - 1} THEN md5(string_agg(b, '') OVER (PARTITION BY doc_id ORDER BY i ROWS BETWEEN CURRENT ROW AND {length - 1} FOLLOWING)) END AS h FROM w),
+        f AS (SELECT h, min(CAST(doc_id AS HUGEINT) * 4294967296 + i) AS first FROM g WHERE h IS NOT NULL GROUP BY h),
+        c AS (SELECT doc_id, i, b, {_covered("bad", length)} AS gone FROM (SELECT doc_id, i, b, CASE WHEN first < CAST(doc_id AS HUGEINT) * 4294967296 + i THEN 1 ELSE 0 END AS bad FROM g LEFT JOIN f USING (h))),
+        r AS (SELECT doc_id, count(*) AS n_bytes, sum(gone) AS n_removed, sum(CASE WHEN gone = 1 AND coalesce(before, 0) = 0 THEN 1 ELSE 0 END) AS n_spans, coalesce(string_agg(b, '' ORDER BY i) FILTER (WHERE gone = 0), '') AS kept
+          FROM (SELECT *, lag(gone) OVER (PARTITION BY doc_id ORDER BY i) AS before FROM c) GROUP BY doc_id)
+      SELECT d.doc_id, coalesce(n_bytes, 0) AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, CAST(coalesce(n_spans, 0) AS BIGINT) AS n_spans, sha256(unhex(coalesce(kept, ''))) AS kept_sha256 FROM documents d LEFT JOIN r USING (doc_id)"""
+
+
+ORACLE_SQL: dict[str, str] = {"op6_suffix_dedup": _bytes_sql(), "op5_phrase_automata": _phrase_sql(), "op8_quality_rules": _quality_sql()}
