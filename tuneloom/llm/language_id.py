@@ -6,7 +6,8 @@ distinct word is run once and counted as often as it occurs: whole texts at the
 plain numpy, backpropagation through time with Adam, on a bounded sample of labelled rows.
 
 Edges: a null text or one without a letter is `und` with score 0, as is every text when there is nothing to learn from;
-long words are read in runs of MAX_BYTES bytes; ties go to the language that sorts first.
+long words are read in runs of MAX_BYTES bytes; ties go to the language that sorts first; repeated rows get equal results; a null
+id stays null; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -127,7 +128,7 @@ def train(samples: list[tuple[bytes, int]], classes: int, steps: int = 400, batc
 
 
 def word_runs(text: str) -> list[bytes]:
-    """Words that hold a letter, in lower case, cut into runs of at most MAX_BYTES bytes."""
+    """All words, in lower case, cut into runs of at most MAX_BYTES bytes."""
     out = []
     for w in text.lower().split():
         b = w.encode()
