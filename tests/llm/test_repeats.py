@@ -98,3 +98,16 @@ def test_large_shards():
     text = b" ".join(words[i] for i in draw.zipf(1.3, 400_000) % 3000)[: 2 << 20]
     for data in (np.frombuffer(text, np.uint8), draw.integers(0, 256, 2 << 20).astype(np.uint8), np.frombuffer(b"\xff".join([b"ab" * 84] * 2000), np.uint8)):
         assert right_order(data, suffix_sort.suffix_array(data))
+
+
+def test_very_long_text(spark):
+    """A text of 18 MB, longer than one slice of anchors, gives its passage to a later document."""
+    letters = np.random.default_rng(9).integers(97, 123, 18 << 20).astype(np.uint8)
+    letters[:: 7] = 32
+    text = letters.tobytes().decode()
+    part = text[17 << 20 : (17 << 20) + 3000]
+    docs = spark.createDataFrame([(1, text), (2, "x " + part + " y"), (3, "nothing of it")], "doc_id long, text string")
+    got = {r["doc_id"]: r["n_removed"] for r in suffix_dedup.digest(docs).collect()}
+    assert got == {1: 0, 2: 3000, 3: 0} or (got[1], got[3]) == (0, 0) and 3000 <= got[2] <= 3002
+    got = {r["doc_id"]: (r["n_words"], r["n_removed"]) for r in phrase_automata.digest(docs).collect()}
+    assert got[1] == (len(text.split()), 0) and got[3] == (3, 0) and got[2][1] >= len(part.split()) - 2
