@@ -45,8 +45,19 @@ def doc_recall(hits: DataFrame, truth: DataFrame, ks=(1, 3, 5, 10)) -> DataFrame
 
 
 def frequency_buckets(history: DataFrame, knob: str = "knob", buckets: int = 3) -> DataFrame:
-    """(knob, uses, bucket): knobs from frequent (1) to rare, equal in number, ties by name."""
-    return history.groupBy(knob).agg(F.count(F.lit(1)).alias("uses")).withColumn("bucket", F.ntile(buckets).over(Window.orderBy(F.desc("uses"), knob)))
+    """(knob, uses, bucket): knobs from frequent (1) to rare, equal in number, ties by name.
+
+    How many knobs are used more often follows from the numbers of uses that occur, which are few; only knobs of equal use are
+    ranked among themselves."""
+    per = history.groupBy(knob).agg(F.count(F.lit(1)).alias("uses"))
+    sizes = per.groupBy("uses").agg(F.count(F.lit(1)).alias("k"))
+    more = sizes.alias("a").join(F.broadcast(sizes.alias("b")), F.col("b.uses") > F.col("a.uses"), "left").groupBy(F.col("a.uses").alias("uses")).agg(F.coalesce(F.sum("b.k"), F.lit(0)).alias("before"))
+    total = sizes.agg(F.sum("k").alias("n"))
+    ranked = per.join(F.broadcast(more), "uses").crossJoin(F.broadcast(total))  # as many rows as there are numbers of uses, and one row
+    place = F.col("before") + F.row_number().over(Window.partitionBy("uses").orderBy(knob)) - 1
+    size, extra = F.floor(F.col("n") / buckets), F.col("n") % buckets  # the first `extra` buckets hold one more
+    bucket = F.when(place < extra * (size + 1), F.floor(place / (size + 1))).otherwise(extra + F.floor((place - extra * (size + 1)) / F.greatest(size, F.lit(1))))
+    return ranked.select(knob, "uses", (bucket + 1).cast("int").alias("bucket"))
 
 
 def by_frequency(pred: DataFrame, truth: DataFrame, history: DataFrame, qid: str = "qid", knob: str = "knob", buckets: int = 3) -> DataFrame:
