@@ -204,7 +204,7 @@ def links(prints: DataFrame, radius: int = 4) -> DataFrame:
 
 
 def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
-    """(node, root): each linked node with the smallest node it reaches, by alternating large and small stars.
+    """(node, root): each linked node, the roots too, with the smallest node it reaches, by alternating large and small stars.
 
     Each star is one aggregation and one join on the node; each round is stored, so lineage stays short.
     """
@@ -220,7 +220,7 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
         now = stored(small.select(F.col("v").alias("u"), F.col("m").alias("v")).union(small.select("u", F.col("m").alias("v"))).filter("u <> v").distinct(), "stars")
         mark = now.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if mark == seen:
-            return now.select(F.col("u").alias("node"), F.col("v").alias("root"))
+            return now.union(now.select("v", "v").distinct()).toDF("node", "root")  # a star has no row of its own centre
         seen = mark
     raise RuntimeError("components did not settle")
 
