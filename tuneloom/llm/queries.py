@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from . import decontamination, language_id, license_scan, packing, phrase_automata, pseudonyms, quality_rules, secret_scan, simhash_dedup, stages, suffix_dedup
 from .common import table
+from .hash_sql import xxh64_ctes
 from .stages import tokenizer_path
 
 #: Stands for a key from the user's key store.
@@ -115,4 +116,38 @@ def _bytes_sql(length: int = 100) -> str:
       SELECT d.doc_id, coalesce(n_bytes, 0) AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, CAST(coalesce(n_spans, 0) AS BIGINT) AS n_spans, sha256(unhex(coalesce(kept, ''))) AS kept_sha256 FROM documents d LEFT JOIN r USING (doc_id)"""
 
 
-ORACLE_SQL: dict[str, str] = {"op6_suffix_dedup": _bytes_sql(), "op5_phrase_automata": _phrase_sql(), "op8_quality_rules": _quality_sql()}
+def _fingerprint_sql(width: int = 4, radius: int = 4) -> str:
+    upper, lower = "".join(map(chr, range(65, 91))), "".join(map(chr, range(97, 123)))
+    words = _WORDS.replace("string_split_regex(coalesce(text, '')", f"string_split_regex(translate(coalesce(text, ''), '{upper}', '{lower}')")
+    bits = ", ".join(f"sum((h >> {i}) & 1) AS b{i}" for i in range(64))
+    fp = " + ".join(f"CASE WHEN 2 * b{i} > m THEN {1 << i}::UHUGEINT ELSE 0::UHUGEINT END" for i in range(64))
+    return f"""WITH RECURSIVE {words}, t AS MATERIALIZED (SELECT doc_id, {_gram(width)} AS s, i, n FROM w),
+        g AS MATERIALIZED (SELECT doc_id, s FROM t WHERE i <= greatest(n - {width - 1}, 1)), u AS MATERIALIZED (SELECT DISTINCT s FROM g), {xxh64_ctes("u")},
+        b AS (SELECT doc_id, count(*) AS m, {bits} FROM g JOIN xxh USING (s) GROUP BY doc_id),
+        p AS MATERIALIZED (SELECT d.doc_id, coalesce(fp, 0::UBIGINT) AS fp FROM documents d LEFT JOIN (SELECT doc_id, CAST({fp} AS UBIGINT) AS fp FROM b) USING (doc_id)),
+        k AS MATERIALIZED (SELECT fp, min(doc_id) AS least FROM p GROUP BY fp),
+        e AS MATERIALIZED (SELECT x.fp AS a, y.fp AS b FROM k x JOIN k y ON x.fp <> y.fp AND bit_count(xor(x.fp, y.fp)) <= {radius}),
+        r AS (SELECT fp AS a, fp AS b FROM k UNION SELECT r.a, e.b FROM r JOIN e ON r.b = e.a),
+        c AS (SELECT r.a AS fp, min(least) AS component_id FROM r JOIN k ON r.b = k.fp GROUP BY r.a)
+      SELECT doc_id, lower(lpad(hex(fp), 16, '0')) AS fingerprint, component_id FROM p JOIN c USING (fp)"""
+
+
+def _leak_sql(rate: float = 0.05) -> str:
+    plain = r"trim(regexp_replace(lower(text), '\s+', ' ', 'g'))"
+    return f"""WITH t AS MATERIALIZED (SELECT item_id, t, length(t) AS m, CAST(floor({rate} * length(t)) AS BIGINT) AS k FROM (SELECT item_id, {plain} AS t FROM benchmark) WHERE t <> ''),
+        p AS MATERIALIZED (SELECT item_id, t, m, k, i * m // (k + 1) AS place, substr(t, i * m // (k + 1) + 1, (i + 1) * m // (k + 1) - i * m // (k + 1)) AS piece FROM (SELECT *, unnest(range(k + 1)) AS i FROM t)),
+        d AS MATERIALIZED (SELECT doc_id, {plain} AS body FROM documents WHERE text IS NOT NULL),
+        h AS MATERIALIZED (SELECT doc_id, item_id, body, t, m, k, place, piece FROM d JOIN p ON contains(body, piece)),
+        s AS MATERIALIZED (SELECT DISTINCT doc_id, item_id, body, t, m, k, unnest(range(found - place - k, found - place + k + 1)) AS first
+          FROM (SELECT *, unnest(list_filter(range(1, length(body) + 1), lambda i: substr(body, i, length(piece)) = piece)) AS found FROM h)),
+        v AS (SELECT doc_id, item_id, first + size - 1 AS match_end, k, levenshtein(substr(body, first, size), t) AS distance FROM (SELECT *, unnest(range(greatest(m - k, 1), m + k + 1)) AS size FROM s WHERE first >= 1) WHERE first + size - 1 <= length(body))
+      SELECT doc_id, item_id, min(distance) AS distance, min_by(match_end, distance * 4294967296 + match_end) AS match_end FROM v WHERE distance <= k GROUP BY doc_id, item_id"""
+
+
+ORACLE_SQL: dict[str, str] = {
+    "op2_simhash_dedup": _fingerprint_sql(),
+    "op5_phrase_automata": _phrase_sql(),
+    "op6_suffix_dedup": _bytes_sql(),
+    "op8_quality_rules": _quality_sql(),
+    "op10_decontamination": _leak_sql(),
+}
