@@ -106,3 +106,20 @@ def test_encoders_keep_missing_rows(spark):
     assert got == {1: [1.0, 1.0], 2: None}
     table = spark.createDataFrame([(1, [0.5])], "id long, v array<float>")
     assert {r["doc_id"]: r["vec"] for r in encoders.TableEncoder(table, "id", "v").encode(df).collect()} == {1: [0.5], 2: None}
+
+
+def test_balance_keeps_the_nearest_of_the_larger_side(spark):
+    rng = np.random.default_rng(8)
+    sides = []
+    for n in (300, 170):
+        rows = [(str(rng.integers(3)), int(q), int(d), float(rng.choice([0.25, 0.2501, 0.2502, round(rng.random() * 2, 6)]))) for q, d in zip(rng.permutation(n), rng.permutation(n))]
+        sides.append([(k, q, d, x) for k, q, d, x in rows if n == 300 or k != "2"] + [("only" + str(n), 1, 1, 0.5)])
+    frames = [spark.createDataFrame(s, "kind string, qid long, doc_id long, dist double") for s in sides]
+    got = [sorted(tuple(r) for r in f.select("kind", "qid", "doc_id", "dist").collect()) for f in align.balance(*frames, ["kind"])]
+    want = [[], []]
+    for k in {r[0] for r in sides[0]} & {r[0] for r in sides[1]}:
+        own = [sorted((x, q, d) for kind, q, d, x in s if kind == k) for s in sides]
+        m = min(map(len, own))
+        for w, o in zip(want, own):
+            w += [(k, q, d, x) for x, q, d in o[:m]]
+    assert got == [sorted(w) for w in want] and len(got[0]) == len(got[1]) > 100

@@ -29,12 +29,24 @@ def anchors(docs: DataFrame, source: str, most: int) -> DataFrame:
     return docs.filter(F.col("source") == source).orderBy(F.md5(F.col("doc_id").cast("string")), "doc_id").limit(most).select(F.col("doc_id").alias("qid"), "source", "vec", "knobs")
 
 
-def balance(pos: DataFrame, neg: DataFrame, keys: list[str]) -> tuple[DataFrame, DataFrame]:
-    """Equally many positives and negatives for each key, the nearest first."""
-    n = pos.groupBy(*keys).agg(F.count(F.lit(1)).alias("np")).join(neg.groupBy(*keys).agg(F.count(F.lit(1)).alias("nn")), keys)
-    least = n.select(*keys, F.least("np", "nn").alias("m"))
-    w = Window.partitionBy(*keys).orderBy("dist", "qid", "doc_id")
-    cut = lambda df: df.join(least, keys).withColumn("r", F.row_number().over(w)).filter("r <= m").drop("r", "m")
+def balance(pos: DataFrame, neg: DataFrame, keys: list[str], step: float = 0.001) -> tuple[DataFrame, DataFrame]:
+    """Equally many positives and negatives for each key, the nearest first; ties by qid, then doc_id.
+
+    Pairs are counted by steps of distance, so only the step in which a key's last pair falls is ranked, and no task sorts a
+    whole key. A pair without a distance comes last."""
+    cell = F.floor(F.coalesce("dist", F.lit(1e9)) / step)
+    counted = lambda df, n: df.groupBy(*keys).agg(F.count(F.lit(1)).alias(n))
+    least = counted(pos, "np").join(counted(neg, "nn"), keys).select(*keys, F.least("np", "nn").alias("m"))
+
+    def cut(df: DataFrame) -> DataFrame:
+        df = df.withColumn("_cell", cell)
+        per = df.groupBy(*keys, "_cell").agg(F.count(F.lit(1)).alias("_own"))
+        upto = F.sum("_own").over(Window.partitionBy(*keys).orderBy("_cell"))  # some 2,000 steps a key
+        room = per.withColumn("_upto", upto).join(least, keys).select(*keys, "_cell", "_own", (F.col("m") - F.col("_upto") + F.col("_own")).alias("_room")).filter("_room > 0")
+        near = df.join(room, [*keys, "_cell"])
+        last = near.filter("_room < _own").withColumn("_r", F.row_number().over(Window.partitionBy(*keys, "_cell").orderBy("dist", "qid", "doc_id"))).filter("_r <= _room")
+        return near.filter("_room >= _own").select(df.columns).unionByName(last.select(df.columns)).drop("_cell")
+
     return cut(pos), cut(neg)
 
 
