@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .vindex import topk_exact
+from .vindex import topk_few
 
 
 def normal_value(points: DataFrame, keys: list[str], q: float = 0.05, exact: bool = True) -> DataFrame:
@@ -41,6 +41,6 @@ def select(queries: DataFrame, desc: DataFrame, k: int = 3) -> DataFrame:
     """hits_telemetry (qid, rank, metric, dist, text). queries: qid, vec; desc: metric, vec, knobs, text."""
     ident = F.conv(F.substring(F.md5("metric"), 1, 15), 16, 10).cast("long").alias("doc_id")
     docs = desc.select(ident, F.lit("telemetry").alias("source"), "vec", "knobs")
-    hits = topk_exact(queries, docs, k)
+    hits = topk_few(queries, docs, k)
     names = desc.select(ident, "metric", "text")
     return hits.join(names, "doc_id").select("qid", "rank", "metric", "dist", "text", "knobs")
