@@ -1,8 +1,10 @@
 """Cases that large tables bring: equal prompts, more questions than a broadcast may hold, many copies of one vector."""
 
+import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
-from tuneloom.operators import describe, prompt, reason
+from tuneloom.operators import describe, prompt, reason, vindex
 from tuneloom.plans import methods
 
 
@@ -24,3 +26,44 @@ def test_more_questions_than_one_broadcast_holds(spark):
     desc = spark.createDataFrame([("a", [1.0, 0.0], ["x"], "A"), ("b", [0.0, 1.0], ["y"], "B")], "metric string, vec array<double>, knobs array<string>, text string")
     got = describe.select(q, desc, 1).groupBy("metric").count().collect()
     assert {r["metric"]: r["count"] for r in got} == {"a": sum(i % 7 == 0 for i in range(25_000)), "b": sum(i % 7 > 0 for i in range(25_000))}
+
+
+def _brute(q, d, k, per_source=False):
+    """(qid, source or None) -> [(distance, id)] from the definition, one pair at a time."""
+    unit = lambda v: np.array(v, float) / np.linalg.norm(v)
+    out = {}
+    for qid, v in q:
+        for i, s, x in d:
+            if x is not None and np.any(x):
+                out.setdefault((qid, s if per_source else None), []).append((round(float(np.linalg.norm(unit(v) - unit(x))), 6), i))
+    return {key: sorted(v)[:k] for key, v in out.items()}
+
+
+@pytest.mark.parametrize("per_source", [False, True])
+def test_search_of_copies_nulls_and_ties(spark, per_source):
+    rng = np.random.default_rng(2)
+    vec = [rng.normal(size=6) for _ in range(150)] + [np.array([1.0, 2, 0, 0, 0, 0])] * 60 + [rng.integers(-1, 2, 6) for _ in range(60)] + [np.zeros(6)]
+    d = [(i * 7 % 1009, "abc"[i % 3], [float(x) for x in v]) for i, v in enumerate(vec)] + [(2000, "a", None)]
+    q = [(i, [float(x) for x in v]) for i, v in enumerate(vec[140:230]) if np.any(v)]
+    docs = spark.createDataFrame([(i, s, v, [s + str(i)]) for i, s, v in d], "doc_id long, source string, vec array<double>, knobs array<string>").repartition(4)
+    got = {}
+    for r in vindex.topk_exact(spark.createDataFrame(q, "qid long, vec array<double>"), docs, 4, per_source=per_source).orderBy("rank").collect():
+        assert r["knobs"] == [r["source"] + str(r["doc_id"])]
+        got.setdefault((r["qid"], r["source"] if per_source else None), []).append((r["dist"], r["doc_id"]))
+    assert got == _brute(q, d, 4, per_source)
+
+
+def test_search_in_several_small_batches(spark):
+    rng = np.random.default_rng(4)
+    d = [(i, "a", [float(x) for x in v]) for i, v in enumerate(rng.normal(size=(400, 3)).round(1))]
+    docs = spark.createDataFrame([(*r, ["k"]) for r in d], "doc_id long, source string, vec array<double>, knobs array<string>").coalesce(1)
+    q = [(i, v) for i, _, v in d[:50]]
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 3)
+    try:
+        rows = vindex.topk_blocked(spark.createDataFrame(q, "qid long, vec array<double>"), docs, 5, block=20, cells=7).orderBy("rank").collect()
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    got = {}
+    for r in rows:
+        got.setdefault((r["qid"], None), []).append((r["dist"], r["doc_id"]))
+    assert got == _brute(q, d, 5)
