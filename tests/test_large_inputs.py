@@ -67,3 +67,25 @@ def test_search_in_several_small_batches(spark):
     for r in rows:
         got.setdefault((r["qid"], None), []).append((r["dist"], r["doc_id"]))
     assert got == _brute(q, d, 5)
+
+
+def test_cells_and_buckets_write_no_pairs(spark):
+    rng = np.random.default_rng(6)
+    d = [(i, "a", [float(x) for x in v]) for i, v in enumerate(rng.normal(size=(300, 8)))] + [(400, "a", [0.0] * 8), (401, "a", None)]
+    docs = spark.createDataFrame([(*r, ["k"]) for r in d], "doc_id long, source string, vec array<double>, knobs array<string>").repartition(3)
+    q = [(i, v) for i, _, v in d[:40]]
+    asked, want = spark.createDataFrame(q, "qid long, vec array<double>"), _brute(q, d, 3)
+    ivf = vindex.IVF(nlist=5, nprobe=5).fit(docs)
+    indexed = ivf.index(docs)
+    one = vindex.IVF(nlist=5, nprobe=1)
+    one.centers = ivf.centers
+    cell = {r["doc_id"]: r["cell"] for r in indexed.collect()}
+    near = {}
+    for qid, v in q:
+        near |= _brute([(qid, v)], [r for r in d if r[0] in cell and cell[r[0]] == cell[qid]], 3)
+    for hits, found in ((ivf.search(asked, indexed, 3), want), (one.search(asked, indexed, 3), near), (vindex.lsh_search(asked, docs, 3, radius=1.0, bucket=4.0), {key: [x for x in v if x[0] < 1] for key, v in want.items()})):
+        assert "Join" not in hits._jdf.queryExecution().optimizedPlan().toString()
+        got = {}
+        for r in hits.orderBy("rank").collect():
+            got.setdefault((r["qid"], None), []).append((r["dist"], r["doc_id"]))
+        assert got == found
