@@ -4,9 +4,11 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from tuneloom.operators import describe, prompt, reason, vindex
+from tuneloom.operators import corpus, describe, prompt, reason, vindex
 from tuneloom.plans import methods
 
+from .conftest import SMALL
+
 
 def test_equal_prompts_of_two_questions_keep_their_records(spark, tmp_path):
     turns = [(c, t, r, x) for c in range(3) for t, r, x in ((0, "user", "why so slow"), (1, "assistant", "set it"))]
@@ -89,3 +91,18 @@ def test_cells_and_buckets_write_no_pairs(spark):
         for r in hits.orderBy("rank").collect():
             got.setdefault((r["qid"], None), []).append((r["dist"], r["doc_id"]))
         assert got == found
+
+
+def test_labels_in_place_equal_labels_by_join(spark):
+    df = spark.createDataFrame([(1, "Alpha beta, GAMMA and delta"), (2, "nothing"), (3, None), (4, "beta beta")], "doc_id long, text string")
+    catalog = spark.createDataFrame([("alpha", 3), ("beta", 2), ("gamma", 2), ("delta", 9)], "knob string, df long")
+    want = {r["doc_id"]: r["knobs"] for r in corpus.label(df, "text", catalog, ["doc_id"], 3).collect()}
+    got = corpus.label_rows(df, "text", catalog, 3)
+    assert {r["doc_id"]: r["knobs"] for r in got.collect()} == want == {1: ["alpha", "beta", "gamma"], 4: ["beta"]}
+    assert "Exchange" not in got._jdf.queryExecution().executedPlan().toString()
+
+
+def test_corpus_is_read_once(spark):
+    questions, docs = methods.main_corpus(spark, SMALL)
+    for df in (questions, docs):
+        assert "Project" not in df._jdf.queryExecution().optimizedPlan().toString() and df.inputFiles()
