@@ -5,7 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from tuneloom.operators import corpus, describe, prompt, reason, vindex
-from tuneloom.plans import methods
+from tuneloom.plans import methods, workloads
 
 from .conftest import SMALL
 
@@ -106,3 +106,8 @@ def test_corpus_is_read_once(spark):
     questions, docs = methods.main_corpus(spark, SMALL)
     for df in (questions, docs):
         assert "Project" not in df._jdf.queryExecution().optimizedPlan().toString() and df.inputFiles()
+
+
+def test_expert_summary_reads_a_table(spark):
+    df = workloads.expert_summary(spark, SMALL)
+    assert [f.rsplit("/", 1)[1] for f in df.inputFiles()] == ["orders.parquet"] and df.count() > 10
