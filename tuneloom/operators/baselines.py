@@ -42,7 +42,7 @@ def plm_fit(train: DataFrame, catalog: list[str], dim: int, iters: int = 60, rat
             if n:
                 yield pd.DataFrame({"n": [n], "g": [g.ravel()]})
 
-        parts = rows.mapInPandas(run, "n long, g array<double>").withColumn("pid", F.spark_partition_id()).orderBy("pid").collect()
+        parts = sorted(rows.mapInPandas(run, "n long, g array<double>").withColumn("pid", F.spark_partition_id()).collect(), key=lambda r: r["pid"])  # a sort in Spark would run the job twice
         n = sum(r["n"] for r in parts)
         if not n:
             break
