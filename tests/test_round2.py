@@ -5,6 +5,12 @@ import pytest
 from pyspark.sql import functions as F
 
 from tuneloom.operators import esd, reason
+from tuneloom.plans import relational, workloads
+from tuneloom.sources import tables
+
+from .conftest import SMALL
+
+QUERIES, READ = workloads.QUERIES | relational.QUERIES, tables.read
 
 
 def test_a_long_prompt_is_read_once(spark):
@@ -47,3 +53,18 @@ def test_a_long_series_is_refused(spark):
     with pytest.raises(Exception, match="cut it by time"):
         esd.detect(points, ["metric"], max_points=99).collect()
     assert esd.detect(points, ["metric"], max_points=100).count() == 2
+
+
+@pytest.mark.parametrize("name, table", [("answer_parse", "events"), ("answer_validate", "events"), ("failure_rates", "events"), ("metric_scrape", "events"), ("augment_chain", "part"), ("augment_cot", "part"), ("augment_direct", "part"), ("augment_diversity", "part")])
+def test_a_given_table_is_read(spark, monkeypatch, name, table):
+    seen = []
+    for module in (workloads, relational, tables):
+        monkeypatch.setattr(module, "read", lambda s, d, t, *a, **k: seen.append(t) or READ(s, d, t, *a, **k))
+    assert QUERIES[name](spark, SMALL).count() > 0
+    assert seen == [table] * len(seen) and seen
+
+
+def test_answers_of_every_form(spark):
+    by = {r["f"]: (r["n"], r["good"]) for r in workloads.answer_parse(spark, SMALL).groupBy((F.col("qid") % 9).alias("f")).agg(F.count("*").alias("n"), F.sum(F.col("ok").cast("int")).alias("good")).collect()}
+    assert len(by) == 9 and all(good == (n if f in (0, 1, 5, 6, 8) else 0) for f, (n, good) in by.items())
+    assert {r["status"] for r in workloads.answer_validate(spark, SMALL).select("status").distinct().collect()} == {"ok", "unknown", "outside"}
