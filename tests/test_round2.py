@@ -4,8 +4,8 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from tuneloom.operators import esd, reason
-from tuneloom.plans import relational, workloads
+from tuneloom.operators import align, esd, reason, vindex
+from tuneloom.plans import experiments, relational, workloads
 from tuneloom.sources import tables
 
 from .conftest import SMALL
@@ -68,3 +68,37 @@ def test_answers_of_every_form(spark):
     by = {r["f"]: (r["n"], r["good"]) for r in workloads.answer_parse(spark, SMALL).groupBy((F.col("qid") % 9).alias("f")).agg(F.count("*").alias("n"), F.sum(F.col("ok").cast("int")).alias("good")).collect()}
     assert len(by) == 9 and all(good == (n if f in (0, 1, 5, 6, 8) else 0) for f, (n, good) in by.items())
     assert {r["status"] for r in workloads.answer_validate(spark, SMALL).select("status").distinct().collect()} == {"ok", "unknown", "outside"}
+
+
+def test_each_source_is_searched_once(spark, monkeypatch):
+    rng = np.random.default_rng(2)
+    rows = [(i, s, [float(x) for x in rng.normal(size=8)], [f"k{i % 3}"]) for i in range(40) for s in ("question", "manual")]
+    docs = spark.createDataFrame(rows, "doc_id long, source string, vec array<double>, knobs array<string>")
+    calls, search = [], vindex.topk_exact
+    count = lambda *a, **k: calls.append(k) or search(*a, **k)
+    monkeypatch.setattr(align, "topk_exact", count)
+    monkeypatch.setattr(align, "topk_blocked", lambda *a, **k: pytest.fail("a search of its own"))
+    queries = align.anchors(docs, "question", 9).unionByName(align.anchors(docs, "manual", 9))
+    pairs = align.build_pairs(queries, docs, top_m=10)
+    assert len(calls) == 2 and {r["pair_type"] for r in pairs.select("pair_type").distinct().collect()} == {"qm", "qq", "mm"}
+    assert "MapInArrow" not in pairs._jdf.queryExecution().executedPlan().toString()
+    calls.clear()
+    monkeypatch.setattr(vindex, "topk_exact", count)
+    monkeypatch.setattr(vindex, "topk_blocked", lambda *a, **k: pytest.fail("a search of its own"))
+    heads = {s: align.Head(8, 16, i) for i, s in enumerate(("question", "manual"))}
+    asked = docs.filter("source = 'question' and doc_id < 7").select(F.col("doc_id").alias("qid"), "vec")
+    hits = experiments.retrieved(asked, docs, heads, 5)
+    assert set(hits) == {"question-only", "manual-only", "no-train", "aligned"} and len(calls) == 2
+    for name, sources in (("question-only", {"question"}), ("manual-only", {"manual"}), ("no-train", None)):
+        want = {(r["qid"], r["rank"], r["doc_id"], r["source"], r["dist"]) for r in search(asked, docs, 5, sources=sources).collect()}
+        assert {(r["qid"], r["rank"], r["doc_id"], r["source"], r["dist"]) for r in hits[name].collect()} == want
+
+
+def test_heads_move_rows_with_a_vector_and_a_head(spark):
+    heads = {s: align.Head(2, 4, i) for i, s in enumerate(("question", "manual"))}
+    for h in heads.values():
+        h.w["b2"] = np.array([0.5, -0.25])
+    rows = [(1, "question", [3.0, 4.0]), (2, "manual", None), (3, "other", [3.0, 4.0]), (4, None, [1.0, 0.0]), (5, "manual", [0.0, 2.0])]
+    got = {r["id"]: r["vec"] for r in align.apply(spark.createDataFrame(rows, "id long, source string, vec array<double>").coalesce(1), heads).collect()}
+    assert got[2] is None and got[3] == [3.0, 4.0] and got[4] == [1.0, 0.0]
+    assert np.allclose(got[1], heads["question"](np.array([[0.6, 0.8]]))[0]) and np.allclose(got[5], heads["manual"](np.array([[0.0, 1.0]]))[0])
