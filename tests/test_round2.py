@@ -5,7 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from tuneloom.operators import align, esd, reason, vindex
-from tuneloom.plans import experiments, relational, workloads
+from tuneloom.plans import experiments, methods, relational, workloads
 from tuneloom.sources import tables
 
 from .conftest import SMALL
@@ -102,3 +102,12 @@ def test_heads_move_rows_with_a_vector_and_a_head(spark):
     got = {r["id"]: r["vec"] for r in align.apply(spark.createDataFrame(rows, "id long, source string, vec array<double>").coalesce(1), heads).collect()}
     assert got[2] is None and got[3] == [3.0, 4.0] and got[4] == [1.0, 0.0]
     assert np.allclose(got[1], heads["question"](np.array([[0.6, 0.8]]))[0]) and np.allclose(got[5], heads["manual"](np.array([[0.0, 1.0]]))[0])
+
+
+def test_synthetic_questions_read_no_documents_again(spark, monkeypatch):
+    monkeypatch.setattr(workloads, "catalog", lambda *a: pytest.fail("the catalogue is built again"))
+    catalog = spark.createDataFrame([("alpha", 3), ("beta", 2)], "knob string, df long")
+    docs = spark.createDataFrame([(1, "manual", "alpha keeps slow pages here", ["alpha"]), (2, "manual", "beta holds more rows now", ["beta"]), (3, "question", "alpha", ["alpha"])], "doc_id long, source string, text string, knobs array<string>")
+    for method, n in (("cot", 8), ("chain", 8)):
+        made = methods.catalog_questions(catalog, docs, method, 2)
+        assert made.count() == n and {tuple(r["knobs"]) for r in made.collect()} == {("alpha",), ("beta",)}
