@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from tuneloom.operators import align, esd, reason, vindex
+from tuneloom.operators import align, baselines, esd, reason, vindex
 from tuneloom.plans import experiments, methods, relational, workloads
 from tuneloom.sources import tables
 
@@ -111,3 +111,41 @@ def test_synthetic_questions_read_no_documents_again(spark, monkeypatch):
     for method, n in (("cot", 8), ("chain", 8)):
         made = methods.catalog_questions(catalog, docs, method, 2)
         assert made.count() == n and {tuple(r["knobs"]) for r in made.collect()} == {("alpha",), ("beta",)}
+
+
+def _plain_steps(rows, names, dim, iters, rate, l2):
+    x = np.array([[*v, 1.0] for v, _ in rows if v is not None])
+    y = np.array([[float(k in (ks or [])) for k in names] for v, ks in rows if v is not None])
+    w = np.zeros((len(names), dim + 1))
+    for _ in range(iters):
+        w = w - rate * ((1 / (1 + np.exp(-x @ w.T)) - y).T @ x / len(x) + l2 * w)
+    return w
+
+
+def test_nested_classifiers_are_those_of_each_part(spark):
+    rng, names = np.random.default_rng(4), ["a", "b", "c"]
+    made = lambda n: [([float(x) for x in rng.normal(size=5) * (rng.random(5) < 0.6)], [str(k) for k in rng.choice(["a", "b", "c", "d"], 2)]) for _ in range(n)]
+    first, second = [*made(2500), (None, ["a"]), ([0.0] * 5, None), ([1.0, 0.0, 0.0, 0.0, 0.0], []), ([0.0, 2.0, 0.0, 0.0, 0.0], [None, "b", "b"])], made(70)
+    frame = lambda rows: spark.createDataFrame(rows, "vec array<double>, knobs array<string>").repartition(3)
+    how = {"iters": 12, "rate": 1.5, "l2": 1e-3}
+    plain, more = baselines.plm_fit_nested([frame(first), frame(second)], names, 5, **how)
+    for got, rows in ((plain, first), (more, first + second), (baselines.plm_fit(frame(first), names, 5, **how), first), (baselines.plm_fit_augmented(frame(first), frame(second), names, 5, **how), first + second)):
+        assert np.allclose(got.weights, _plain_steps(rows, names, 5, **how), rtol=0, atol=1e-10)
+    asked = spark.createDataFrame([(i, v) for i, (v, _) in enumerate(first)], "qid long, vec array<double>")
+    found = {(r["model"], r["qid"], r["knob"]): r["p"] for r in baselines.plm_predict_all({"plain": plain, "more": more}, asked, 0.4).collect()}
+    want = {(m, i, k): 1 / (1 + np.exp(-(np.dot(c.weights[j, :-1], v) + c.weights[j, -1]))) for m, c in (("plain", plain), ("more", more)) for i, (v, _) in enumerate(first) if v is not None for j, k in enumerate(names)}
+    want = {at: round(p, 9) for at, p in want.items() if round(p, 9) > 0.4}
+    assert found.keys() == want.keys() and len(want) > 1000 and all(abs(found[at] - p) < 2e-9 for at, p in want.items())
+    with pytest.raises(Exception, match="5 places"):
+        baselines.plm_fit(spark.createDataFrame([([1.0, 2.0], ["a"])], "vec array<double>, knobs array<string>"), names, 5)
+    assert not baselines.plm_fit(frame(first).limit(0), names, 5).weights.any() and baselines.plm_fit(frame(first), [], 5).weights.shape == (0, 6)
+
+
+def test_two_classifiers_take_their_steps_together(spark):
+    spark.sparkContext.setJobGroup("plm", "plm_baselines")
+    try:
+        rows = methods.plm_baselines(spark, SMALL).collect()
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert [r["method"] for r in rows] == ["plm", "plm with augmentation"]
+    assert 60 <= len(spark.sparkContext.statusTracker().getJobIdsForGroup("plm")) < 120  # 60 steps; two fits of their own take 120

@@ -2,10 +2,15 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
-import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import prompt, reason
 
@@ -17,47 +22,109 @@ class Classifier:
         self.knobs, self.weights = knobs, weights
 
 
-def plm_fit(train: DataFrame, catalog: list[str], dim: int, iters: int = 60, rate: float = 2.0, l2: float = 1e-4) -> Classifier:
-    """Full-batch steps from zero; each is one job of partial gradients, added in partition order. train: vec, knobs."""
-    index = {k: i for i, k in enumerate(catalog)}
-    w = np.zeros((len(catalog), dim + 1))
-    rows = train.select(F.col("vec").cast("array<double>").alias("vec"), "knobs").persist()
+#: Rows of a block of training data, and its columns.
+BLOCK, BLOCKS = 1024, "part int, n int, at binary, x binary, y binary"
+
+
+def _matrix(column: pa.Array, dim: int) -> np.ndarray:
+    """The rows of an Arrow column of lists that has no nulls."""
+    if len(column) and not (np.diff(column.offsets.to_numpy()) == dim).all():
+        raise ValueError(f"a vector has not {dim} places")
+    return column.flatten().to_numpy(zero_copy_only=False).astype(float, copy=False).reshape(len(column), dim)
+
+
+def _blocks(rows: DataFrame, part: int, catalog: list[str], dim: int) -> DataFrame:
+    """vec, knobs as blocks of rows: the places and values of the vectors that are not zero, and the places of the labels. Rows without a vector are left out."""
+
+    def run(batches):
+        names = pa.array(catalog, pa.string())
+        for batch in batches:
+            batch = batch.filter(batch.column("vec").is_valid())
+            for lo in range(0, batch.num_rows, BLOCK):
+                some = batch.slice(lo, BLOCK)
+                x, knobs = _matrix(some.column("vec"), dim).ravel(), some.column("knobs")
+                of = pc.index_in(knobs.flatten(), value_set=names)
+                known = of.is_valid().to_numpy(zero_copy_only=False)
+                row, col = pc.list_parent_indices(knobs).to_numpy()[known], of.drop_null().to_numpy()
+                at, y = np.flatnonzero(x), np.unique(row.astype(np.int64) * len(catalog) + col)
+                yield pa.RecordBatch.from_pydict({"part": pa.array([part], pa.int32()), "n": pa.array([some.num_rows], pa.int32()), "at": [at.astype(np.int32).tobytes()], "x": [x[at].tobytes()], "y": [y.astype(np.int32).tobytes()]})
+
+    return rows.select(F.col("vec").cast("array<double>").alias("vec"), F.col("knobs").cast("array<string>").alias("knobs")).mapInArrow(run, BLOCKS)
+
+
+def plm_fit_nested(parts: list[DataFrame], catalog: list[str], dim: int, iters: int = 60, rate: float = 2.0, l2: float = 1e-4) -> list[Classifier]:
+    """A classifier for each part, trained on it and all before it; the steps of all are taken together, so that a step reads each row once.
+
+    Full-batch steps from zero; each is one job of partial gradients, added in partition order. parts: vec, knobs."""
+    k = len(catalog)
+    w = np.zeros((len(parts), k, dim + 1))
+    blocks = reduce(DataFrame.unionByName, [_blocks(p, i, catalog, dim) for i, p in enumerate(parts)]).rdd.map(tuple)
+    sc = blocks.context
+    tasks = -(-max(1, blocks.getNumPartitions()) // sc.defaultParallelism) * sc.defaultParallelism  # as each step waits for its last task
+    rows = blocks.repartition(tasks).persist(StorageLevel.MEMORY_AND_DISK)
     for _ in range(iters):
-        shared = rows.sparkSession.sparkContext.broadcast((index, w))
-
-        def run(batches, shared=shared):
-            at, weights = shared.value
-            g, n = np.zeros_like(weights), 0
-            for pdf in batches:
-                if not len(pdf):
-                    continue
-                x = np.concatenate([np.stack(pdf["vec"]), np.ones((len(pdf), 1))], axis=1)
-                y = np.zeros((len(pdf), len(at)))
-                for i, names in enumerate(pdf["knobs"]):
-                    for k in names:
-                        if k in at:
-                            y[i, at[k]] = 1
-                p = 1 / (1 + np.exp(-x @ weights.T))
-                g, n = g + (p - y).T @ x, n + len(pdf)
-            if n:
-                yield pd.DataFrame({"n": [n], "g": [g.ravel()]})
-
-        parts = sorted(rows.mapInPandas(run, "n long, g array<double>").withColumn("pid", F.spark_partition_id()).collect(), key=lambda r: r["pid"])  # a sort in Spark would run the job twice
-        n = sum(r["n"] for r in parts)
-        if not n:
+        shared = sc.broadcast(w)
+
+        def run(some, shared=shared):
+            weights = shared.value
+            g, n = np.zeros_like(weights), np.zeros(len(weights), np.int64)
+            negative = [(np.ascontiguousarray(-o[:, :-1].T), -o[:, -1]) for o in (np.concatenate(weights[i:]) for i in range(len(weights)))]
+            whole, room = np.zeros((BLOCK, dim)), np.empty(BLOCK * len(weights) * k)  # memory of each block
+            for part, size, at, values, y in some:
+                at, (slope, bias) = np.frombuffer(at, np.int32), negative[part]
+                whole.ravel()[at] = np.frombuffer(values)
+                x, p = whole[:size], room[: size * len(bias)].reshape(size, len(bias))
+                np.matmul(x, slope, out=p)
+                p += bias
+                with np.errstate(over="ignore"):
+                    np.exp(p, out=p)
+                p += 1
+                np.reciprocal(p, out=p)
+                row, col = np.divmod(np.frombuffer(y, np.int32), k)
+                p.reshape(size, len(weights) - part, k)[row, :, col] -= 1
+                g[part:, :, :-1] += (p.T @ x).reshape(len(weights) - part, k, dim)
+                g[part:, :, -1] += p.sum(axis=0).reshape(len(weights) - part, k)
+                n[part:] += size
+                whole.ravel()[at] = 0
+            return [(n, g)] if n.any() else []
+
+        found = rows.mapPartitions(run).collect()
+        shared.destroy()
+        if not found:
             break
-        w = w - rate * (np.sum([np.asarray(r["g"]) for r in parts], axis=0).reshape(w.shape) / n + l2 * w)
+        n = sum(r[0] for r in found)[:, None, None]
+        w = np.where(n > 0, w - rate * (sum(r[1] for r in found) / np.maximum(n, 1) + l2 * w), w)
     rows.unpersist()
-    return Classifier(catalog, w)
+    return [Classifier(catalog, m) for m in w]
 
 
-def plm_predict(model: Classifier, queries: DataFrame, threshold: float = 0.5) -> DataFrame:
-    """(qid, knob, p) with p strictly over the threshold. Scores on the JVM; the weights are hundreds of short rows."""
-    weights = queries.sparkSession.createDataFrame([(k, [float(x) for x in w[:-1]], float(w[-1])) for k, w in zip(model.knobs, model.weights)], "knob string, w array<double>, b double")
-    from ..functions.vectors import dot
+def plm_fit(train: DataFrame, catalog: list[str], dim: int, **how) -> Classifier:
+    return plm_fit_nested([train], catalog, dim, **how)[0]
+
+
+def plm_predict_all(models: dict[str, Classifier], queries: DataFrame, threshold: float = 0.5) -> DataFrame:
+    """(model, qid, knob, p) with p strictly over the threshold; each query is read once for all models."""
+    shared = queries.sparkSession.sparkContext.broadcast([(name, m.knobs, m.weights) for name, m in models.items()])
+    kind = queries.select("qid").schema["qid"].dataType
+    schema = T.StructType([T.StructField("model", T.StringType()), T.StructField("qid", kind), T.StructField("knob", T.StringType()), T.StructField("p", T.DoubleType())])
 
-    p = 1 / (1 + F.exp(-(dot(F.col("vec"), F.col("w")) + F.col("b"))))
-    return queries.crossJoin(F.broadcast(weights)).select("qid", "knob", F.round(p, 9).alias("p")).filter(F.col("p") > threshold)
+    def run(batches):
+        for batch in batches:
+            batch = batch.filter(batch.column("vec").is_valid())
+            for name, knobs, w in shared.value:
+                with np.errstate(over="ignore"):
+                    p = 1 / (1 + np.exp(-(_matrix(batch.column("vec"), w.shape[1] - 1) @ w[:, :-1].T + w[:, -1])))
+                row, col = np.nonzero(p > threshold - 1e-8)  # what counts is p as it is rounded below
+                found = [pa.array([name] * len(row), pa.string()), batch.column("qid").take(pa.array(row)), pa.array(knobs, pa.string()).take(pa.array(col)), pa.array(p[row, col])]
+                yield pa.RecordBatch.from_arrays(found, ["model", "qid", "knob", "p"])
+
+    scored = queries.select("qid", F.col("vec").cast("array<double>").alias("vec")).mapInArrow(run, schema)
+    return scored.withColumn("p", F.round("p", 9)).filter(F.col("p") > threshold)
+
+
+def plm_predict(model: Classifier, queries: DataFrame, threshold: float = 0.5) -> DataFrame:
+    """(qid, knob, p) with p strictly over the threshold."""
+    return plm_predict_all({"": model}, queries, threshold).drop("model")
 
 
 def plm_fit_augmented(train: DataFrame, augmented: DataFrame, catalog: list[str], dim: int, **how) -> Classifier:
