@@ -2,7 +2,8 @@
 
 import numpy as np
 
-from tuneloom.plans import workloads
+from tuneloom.operators import baselines
+from tuneloom.plans import methods, workloads
 from tuneloom.sources import tables
 
 from .conftest import SMALL
@@ -18,3 +19,59 @@ def test_every_row_is_asked_for_its_nearest(spark):
     for q, d in zip(ids, dist):
         near = np.lexsort((ids, d))[:5]
         assert [got[q, r + 1] for r in range(5)] == [(ids[i], d[i]) for i in near]
+
+
+def test_an_output_for_each_knob(spark, monkeypatch):
+    seen = {}
+
+    def fit(parts, names, dim, **how):
+        seen.update(names=names, plain=parts[0], more=parts[1])
+        return [baselines.Classifier(names, np.zeros((len(names), dim + 1))) for _ in parts]
+
+    monkeypatch.setattr(methods.baselines, "plm_fit_nested", fit)
+    truth = []
+    monkeypatch.setattr(methods.experiments, "overall", lambda answers, t: truth.append(t))
+    methods.plm_baselines(spark, SMALL)
+    knobs = {r["knob"] for r in workloads.knob_catalog(spark, SMALL).collect()}
+    of = lambda df: {x for r in df.select("knobs").collect() for x in r["knobs"]}
+    said = of(seen["plain"]) | {r["knob"] for r in truth[0].collect()}
+    assert len(knobs) == 582 and set(seen["names"]) == knobs and len(seen["names"]) == 582
+    assert of(seen["more"]) == said and len(said) > 500 and len({r["knob"] for r in truth[0].collect()}) > 200
+
+
+def _steps(x, y, iters, rate, l2):
+    x, w = np.c_[x, np.ones(len(x))], np.zeros((y.shape[1], x.shape[1] + 1))
+    with np.errstate(over="ignore"):
+        for _ in range(iters):
+            w = w - rate * ((1 / (1 + np.exp(-x @ w.T)) - y).T @ x / len(x) + l2 * w)
+    return w
+
+
+def test_rare_and_common_knobs_are_learnt_alike(spark, monkeypatch):
+    """Scores are left out or taken in single precision only where no weight would show it, whatever the signs of the values.
+
+    At this rate the steps of some commoner labels are unstable: summing the rows in another order already gives other weights."""
+    rng, names, graded, kinds = np.random.default_rng(8), [f"k{i}" for i in range(37)], baselines._graded, [0, 0, 0]
+
+    def count(w, *a):
+        fine, coarse = graded(w, *a)
+        for i, n in enumerate((len(fine), len(coarse), len(w) - len(fine) - len(coarse))):
+            kinds[i] += n
+        return fine, coarse
+
+    monkeypatch.setattr(baselines, "_graded", count)
+    share = np.r_[np.full(10, 0.0003), np.full(15, 0.003), np.full(10, 0.006), 0.2, 0.0]
+    for sign, length, how in ((0, 1.0, {"iters": 60, "rate": 100.0, "l2": 0.0}), (1, 1.0, {"iters": 60, "rate": 100.0, "l2": 0.0}), (0, 3.0, {"iters": 20, "rate": 100.0, "l2": 1e-4})):
+        kinds[:] = 0, 0, 0
+        x = rng.random((6000, 12)) - 0.5 * sign
+        x *= length / np.linalg.norm(x, axis=1)[:, None]
+        y = rng.random((6000, 37)) < share
+        rows = [([float(v) for v in a], [names[i] for i in np.flatnonzero(b)]) for a, b in zip(x, y)]
+        frames = [spark.createDataFrame(r, "vec array<double>, knobs array<string>").repartition(3) for r in (rows[:5000], rows[5000:])]
+        for got, n in zip(baselines.plm_fit_nested(frames, names, 12, **how), (5000, 6000)):
+            want, turned = (_steps(x[:n][::way], y[:n][::way].astype(float), **how) for way in (1, -1))
+            stable = np.abs(want - turned).max(axis=1) < 1e-11
+            assert stable[:25].all() and stable.sum() > 33
+            assert np.abs(got.weights - want)[stable].max() < 1e-9, (sign, length, n)
+        assert kinds[0] and kinds[2], kinds
+        assert kinds[1] or length > 1

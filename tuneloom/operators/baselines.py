@@ -24,6 +24,8 @@ class Classifier:
 
 #: Rows of a block of training data, and its columns.
 BLOCK, BLOCKS = 1024, "part int, n int, at binary, x binary, y binary"
+#: What is left out or rounded in a step moves no weight by more than this over all steps; sums in double precision may be off by as much.
+SLACK = 1e-12
 
 
 def _matrix(column: pa.Array, dim: int) -> np.ndarray:
@@ -34,7 +36,7 @@ def _matrix(column: pa.Array, dim: int) -> np.ndarray:
 
 
 def _blocks(rows: DataFrame, part: int, catalog: list[str], dim: int) -> DataFrame:
-    """vec, knobs as blocks of rows: the places and values of the vectors that are not zero, and the places of the labels. Rows without a vector are left out."""
+    """vec, knobs as blocks of rows: the places (in rows of dim + 1) and values of the vectors that are not zero, and the places of the labels. Rows without a vector are left out."""
 
     def run(batches):
         names = pa.array(catalog, pa.string())
@@ -47,55 +49,108 @@ def _blocks(rows: DataFrame, part: int, catalog: list[str], dim: int) -> DataFra
                 known = of.is_valid().to_numpy(zero_copy_only=False)
                 row, col = pc.list_parent_indices(knobs).to_numpy()[known], of.drop_null().to_numpy()
                 at, y = np.flatnonzero(x), np.unique(row.astype(np.int64) * len(catalog) + col)
-                yield pa.RecordBatch.from_pydict({"part": pa.array([part], pa.int32()), "n": pa.array([some.num_rows], pa.int32()), "at": [at.astype(np.int32).tobytes()], "x": [x[at].tobytes()], "y": [y.astype(np.int32).tobytes()]})
+                yield pa.RecordBatch.from_pydict({"part": pa.array([part], pa.int32()), "n": pa.array([some.num_rows], pa.int32()), "at": [(at + at // dim).astype(np.int32).tobytes()], "x": [x[at].tobytes()], "y": [y.astype(np.int32).tobytes()]})
 
     return rows.select(F.col("vec").cast("array<double>").alias("vec"), F.col("knobs").cast("array<string>").alias("knobs")).mapInArrow(run, BLOCKS)
 
 
+def _opened(some, dim: int):
+    """(part, rows with a last place of one, labels) of packed blocks; the rows are good until the next block."""
+    whole = np.zeros((BLOCK, dim + 1))
+    for part, size, at, values, y in some:
+        at = np.frombuffer(at, np.int32)
+        whole[:, :-1] = 0
+        whole[:size, -1] = 1
+        whole.ravel()[at] = np.frombuffer(values)
+        yield part, whole[:size], np.frombuffer(y, np.int32)
+
+
+def _totals(some, parts: int, k: int, dim: int):
+    """Of each part the number of rows, their sum, and the sum of the rows of each label; the longest vector and the least value of all."""
+    n, rows, labelled, far, least = np.zeros(parts, np.int64), np.zeros((parts, dim + 1)), np.zeros((parts, k, dim + 1)), 0.0, 0.0
+    for part, x, y in _opened(some, dim):
+        n[part] += len(x)
+        rows[part] += x.sum(axis=0)
+        if len(y):
+            row, col = np.divmod(y, k)
+            order = np.argsort(col, kind="stable")
+            first = np.flatnonzero(np.r_[True, np.diff(col[order]) > 0])
+            labelled[part, col[order[first]]] += np.add.reduceat(x[row[order]], first, axis=0)
+        far, least = max(far, float(np.sqrt((x[:, :-1] ** 2).sum(axis=1)).max())), min(least, float(x[:, :-1].min(initial=0)))
+    return n, rows, labelled, far, least
+
+
+def _graded(w: np.ndarray, far: float, least: float, moves: float) -> tuple[np.ndarray, np.ndarray]:
+    """(fine, coarse): the outputs whose scores need double precision, and those for which single precision does.
+
+    No row's score is over that of a vector of the greatest length along the weights (along the positive ones where no value is
+    negative). Outputs in neither have scores so near zero on every row that their sum moves no weight by SLACK over all steps.
+    moves: what an error of one in the score of every row moves a weight over all steps."""
+    slope = w[:, :-1]
+    most = far * np.linalg.norm(np.maximum(slope, 0) if least >= 0 else slope, axis=1)
+    p = np.exp(np.minimum(w[:, -1] + most, 0))
+    heard = ~(moves * p <= SLACK)
+    error = 2.0**-24 * ((slope.shape[1] + 4) * far * np.linalg.norm(slope, axis=1) + BLOCK + 8) + p
+    small = (moves * p * error <= SLACK) & (most < 60)
+    return np.flatnonzero(heard & ~small), np.flatnonzero(heard & small)
+
+
+def _scored(some, starts, fine: np.ndarray, coarse: np.ndarray):
+    """The sums of the rows by their scores, for outputs in double precision and, without their bias, for those in single precision.
+
+    fine: negative weights, coarse: weights; starts: of each part the first output of each that learns from it."""
+    g, h = np.zeros(fine.shape[::-1]), np.zeros(coarse.shape[::-1])
+    room, room32 = np.empty(BLOCK * fine.shape[1]), np.empty(BLOCK * coarse.shape[1], np.float32)
+    for part, x, _ in _opened(some, len(fine) - 1):
+        i, j = starts[part]
+        if i < len(g):
+            p = room[: len(x) * (len(g) - i)].reshape(len(x), -1)
+            np.matmul(x, fine[:, i:], out=p)
+            with np.errstate(over="ignore"):
+                np.exp(p, out=p)
+            p += 1
+            np.reciprocal(p, out=p)
+            g[i:] += p.T @ x
+        if j < len(h):
+            x = x.astype(np.float32)
+            p = room32[: len(x) * (len(h) - j)].reshape(len(x), -1)
+            np.matmul(x, coarse[:, j:], out=p)
+            np.exp(p, out=p)
+            h[j:] += p.T @ x
+    return g, h
+
+
 def plm_fit_nested(parts: list[DataFrame], catalog: list[str], dim: int, iters: int = 60, rate: float = 2.0, l2: float = 1e-4) -> list[Classifier]:
     """A classifier for each part, trained on it and all before it; the steps of all are taken together, so that a step reads each row once.
 
-    Full-batch steps from zero; each is one job of partial gradients, added in partition order. parts: vec, knobs."""
-    k = len(catalog)
-    w = np.zeros((len(parts), k, dim + 1))
+    Full-batch steps from zero; each is one job of partial sums, added in partition order. The labels' share of a gradient is the
+    same in each step and summed once; a step whose scores are all too near zero to move a weight needs no job. parts: vec, knobs."""
+    k, m = len(catalog), len(parts)
+    w = np.zeros((m * k, dim + 1))
     blocks = reduce(DataFrame.unionByName, [_blocks(p, i, catalog, dim) for i, p in enumerate(parts)]).rdd.map(tuple)
     sc = blocks.context
-    tasks = -(-max(1, blocks.getNumPartitions()) // sc.defaultParallelism) * sc.defaultParallelism  # as each step waits for its last task
-    rows = blocks.repartition(tasks).persist(StorageLevel.MEMORY_AND_DISK)
-    for _ in range(iters):
-        shared = sc.broadcast(w)
-
-        def run(some, shared=shared):
-            weights = shared.value
-            g, n = np.zeros_like(weights), np.zeros(len(weights), np.int64)
-            negative = [(np.ascontiguousarray(-o[:, :-1].T), -o[:, -1]) for o in (np.concatenate(weights[i:]) for i in range(len(weights)))]
-            whole, room = np.zeros((BLOCK, dim)), np.empty(BLOCK * len(weights) * k)  # memory of each block
-            for part, size, at, values, y in some:
-                at, (slope, bias) = np.frombuffer(at, np.int32), negative[part]
-                whole.ravel()[at] = np.frombuffer(values)
-                x, p = whole[:size], room[: size * len(bias)].reshape(size, len(bias))
-                np.matmul(x, slope, out=p)
-                p += bias
-                with np.errstate(over="ignore"):
-                    np.exp(p, out=p)
-                p += 1
-                np.reciprocal(p, out=p)
-                row, col = np.divmod(np.frombuffer(y, np.int32), k)
-                p.reshape(size, len(weights) - part, k)[row, :, col] -= 1
-                g[part:, :, :-1] += (p.T @ x).reshape(len(weights) - part, k, dim)
-                g[part:, :, -1] += p.sum(axis=0).reshape(len(weights) - part, k)
-                n[part:] += size
-                whole.ravel()[at] = 0
-            return [(n, g)] if n.any() else []
-
-        found = rows.mapPartitions(run).collect()
-        shared.destroy()
-        if not found:
-            break
-        n = sum(r[0] for r in found)[:, None, None]
-        w = np.where(n > 0, w - rate * (sum(r[1] for r in found) / np.maximum(n, 1) + l2 * w), w)
+    # whole waves, as each step waits for its last task; few, as each task returns a sum for each output
+    rows = blocks.repartition(min(4, -(-max(1, blocks.getNumPartitions()) // sc.defaultParallelism)) * sc.defaultParallelism).persist(StorageLevel.MEMORY_AND_DISK)
+    found = rows.mapPartitions(lambda some: [_totals(some, m, k, dim)]).collect()
+    n, total, labelled = (np.repeat(np.cumsum(sum(f[i] for f in found), axis=0), [k, k, 1][i], axis=0) for i in range(3))
+    n, labelled = n[:, None], labelled.reshape(m * k, dim + 1)
+    far, least = max(f[3] for f in found), min(f[4] for f in found)
+    for step in range(iters if n.any() else 0):
+        scores = total / 2  # with weights of zero every score is one half
+        if step:
+            scores, (fine, coarse) = np.zeros_like(w), _graded(w, far, least, rate * iters * max(1.0, far))
+            if len(fine) + len(coarse):
+                starts = [(int(np.searchsorted(fine, p * k)), int(np.searchsorted(coarse, p * k))) for p in range(m)]
+                slope = w[coarse].astype(np.float32)
+                slope[:, -1] = 0
+                shared = sc.broadcast((starts, np.ascontiguousarray(-w[fine].T), np.ascontiguousarray(slope.T)))
+                sums = rows.mapPartitions(lambda some, shared=shared: [_scored(some, *shared.value)]).collect()
+                shared.destroy()
+                scores[fine] = sum(g for g, _ in sums)
+                scores[coarse] = sum(h for _, h in sums) * np.exp(w[coarse, -1:])
+        w = np.where(n > 0, w - rate * ((scores - labelled) / np.maximum(n, 1) + l2 * w), w)
     rows.unpersist()
-    return [Classifier(catalog, m) for m in w]
+    return [Classifier(catalog, x) for x in w.reshape(m, k, dim + 1)]
 
 
 def plm_fit(train: DataFrame, catalog: list[str], dim: int, **how) -> Classifier:
@@ -111,12 +166,14 @@ def plm_predict_all(models: dict[str, Classifier], queries: DataFrame, threshold
     def run(batches):
         for batch in batches:
             batch = batch.filter(batch.column("vec").is_valid())
-            for name, knobs, w in shared.value:
-                with np.errstate(over="ignore"):
-                    p = 1 / (1 + np.exp(-(_matrix(batch.column("vec"), w.shape[1] - 1) @ w[:, :-1].T + w[:, -1])))
-                row, col = np.nonzero(p > threshold - 1e-8)  # what counts is p as it is rounded below
-                found = [pa.array([name] * len(row), pa.string()), batch.column("qid").take(pa.array(row)), pa.array(knobs, pa.string()).take(pa.array(col)), pa.array(p[row, col])]
-                yield pa.RecordBatch.from_arrays(found, ["model", "qid", "knob", "p"])
+            for lo in range(0, batch.num_rows, BLOCK):
+                some = batch.slice(lo, BLOCK)
+                for name, knobs, w in shared.value:
+                    with np.errstate(over="ignore"):
+                        p = 1 / (1 + np.exp(-(_matrix(some.column("vec"), w.shape[1] - 1) @ w[:, :-1].T + w[:, -1])))
+                    row, col = np.nonzero(p > threshold - 1e-8)  # what counts is p as it is rounded below
+                    found = [pa.array([name] * len(row), pa.string()), some.column("qid").take(pa.array(row)), pa.array(knobs, pa.string()).take(pa.array(col)), pa.array(p[row, col])]
+                    yield pa.RecordBatch.from_arrays(found, ["model", "qid", "knob", "p"])
 
     scored = queries.select("qid", F.col("vec").cast("array<double>").alias("vec")).mapInArrow(run, schema)
     return scored.withColumn("p", F.round("p", 9)).filter(F.col("p") > threshold)
